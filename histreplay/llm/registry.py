@@ -7,9 +7,16 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from histreplay.llm import exact_dedup, license_scan, mixing, near_dedup, sharding
+from histreplay.llm import exact_dedup, license_scan, mixing, near_dedup, packing, sharding, token_codes
 from histreplay.llm.common import documents
 
+
+def vocabulary(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
 SHARDS = 8
 SOURCE_WEIGHTS = (5.0, 2.0, 1.0)
 
@@ -19,6 +26,11 @@ def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken")
 
 
+def op4_token_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = token_codes.token_files(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"), end_id=0)
+    return token_codes.read_documents(spark, path).withColumnRenamed("id", "doc_id")
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = exact_dedup.exact_duplicates(documents(spark, sf_dir), hash_all=True)
     return found.select(F.col("id").alias("doc_id"), "keep_id", "group_size", "kept", F.col("full_hash").alias("text_sha256"))
@@ -33,13 +45,18 @@ def op7_jump_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
+def op9_neighbour_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces = packing.pack(documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), with_ids=False)
+    return pieces.withColumnRenamed("id", "doc_id")
+
+
 def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = license_scan.scan_licenses(documents(spark, sf_dir))
     return found.withColumnRenamed("id", "doc_id").drop("detections")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    every = (op3_mix_sources, op5_exact_dedup, op6_minhash_near_dedup, op7_jump_sharding, op10_license_scan)
+    every = (op3_mix_sources, op4_token_codes, op5_exact_dedup, op6_minhash_near_dedup, op7_jump_sharding, op9_neighbour_packing, op10_license_scan)
     return {f.__name__: f for f in every}
 
 
