@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from histreplay.llm import exact_dedup, license_scan, mixing, near_dedup, packing, sharding, token_codes
+from histreplay.llm import exact_dedup, lang_id, license_scan, mixing, near_dedup, packing, sharding, token_codes
 from histreplay.llm.common import documents
 
 
@@ -21,6 +21,10 @@ SHARDS = 8
 SOURCE_WEIGHTS = (5.0, 2.0, 1.0)
 
 
+def op1_hypervector_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lang_id.identify(documents(spark, sf_dir)).withColumnRenamed("id", "doc_id")
+
+
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = mixing.mix(documents(spark, sf_dir), SOURCE_WEIGHTS)
     return found.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken")
@@ -56,7 +60,7 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    every = (op3_mix_sources, op4_token_codes, op5_exact_dedup, op6_minhash_near_dedup, op7_jump_sharding, op9_neighbour_packing, op10_license_scan)
+    every = (op1_hypervector_language, op3_mix_sources, op4_token_codes, op5_exact_dedup, op6_minhash_near_dedup, op7_jump_sharding, op9_neighbour_packing, op10_license_scan)
     return {f.__name__: f for f in every}
 
 
