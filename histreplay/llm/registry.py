@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from histreplay.llm import exact_dedup, lang_id, license_scan, mixing, near_dedup, packing, sharding, token_codes
+from histreplay.llm import exact_dedup, lang_id, license_scan, mixing, near_dedup, packing, quality_resample, quality_rules, sharding, token_codes
 from histreplay.llm.common import documents
 
 
@@ -25,6 +25,11 @@ def op1_hypervector_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lang_id.identify(documents(spark, sf_dir)).withColumnRenamed("id", "doc_id")
 
 
+def op2_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = quality_resample.resample(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return found.select(F.col("id").alias("doc_id"), "log_ratio", "key", "rank", "kept")
+
+
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = mixing.mix(documents(spark, sf_dir), SOURCE_WEIGHTS)
     return found.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken")
@@ -49,6 +54,12 @@ def op7_jump_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
+def op8_risk_controlled_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = quality_rules.judge(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    base = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "rejected_by")
+    return found.select(F.col("id").alias("doc_id"), *base)
+
+
 def op9_neighbour_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     pieces = packing.pack(documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), with_ids=False)
     return pieces.withColumnRenamed("id", "doc_id")
@@ -59,8 +70,15 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumnRenamed("id", "doc_id").drop("detections")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages of corpus_pipeline at the repository's top."""
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir).drop("ids")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    every = (op1_hypervector_language, op3_mix_sources, op4_token_codes, op5_exact_dedup, op6_minhash_near_dedup, op7_jump_sharding, op9_neighbour_packing, op10_license_scan)
+    every = (op1_hypervector_language, op2_importance_resampling, op3_mix_sources, op4_token_codes, op5_exact_dedup, op6_minhash_near_dedup, op7_jump_sharding, op8_risk_controlled_rules, op9_neighbour_packing, op10_license_scan, pipeline)
     return {f.__name__: f for f in every}
 
 
