@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from histreplay.queries import methods
+
+CATALOGS = (methods.QUERIES,)
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return {name: run for c in CATALOGS for name, (run, _) in c.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: sql for c in CATALOGS for name, (_, sql) in c.items() if sql}
