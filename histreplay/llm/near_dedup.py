@@ -22,14 +22,16 @@ class NearDupSpec:
     Two collections of `bands` bands of `rows` minhashes each: 2 * bands * rows hashes are computed, and a table key is
     made from each pair of a band of the first and a band of the second collection, so there are bands ** 2 tables of
     2 * rows hashes. At a similarity of 0.75 the default misses a pair with a chance of 3e-4.
-    Buckets of up to `split` documents give all their pairs; larger ones are taken apart (see candidates).
+    Buckets of up to `split` documents give all their pairs; larger ones are taken apart (see candidates). block_bytes
+    of shingle sets, twice, are in a task's memory when a family of large buckets is searched.
     """
 
     words: int = 5
     percent_of_union: int = 75
     bands: int = 16
     rows: int = 3
-    split: int = 24
+    split: int = 8
+    block_bytes: int = 8 << 20
     seed: int = 7
 
 
@@ -111,15 +113,13 @@ def buckets(reps: DataFrame, spec: NearDupSpec) -> tuple[DataFrame, DataFrame]:
 def candidates(members: DataFrame, groups: DataFrame, spec: NearDupSpec) -> DataFrame:
     """Distinct pairs (a, b), a < b. A bucket of up to `split` documents gives all of its pairs.
 
-    A larger one is dealt into parts of about that size by a hash of bucket and document; each part gives its pairs,
-    and each document a pair with the bucket's first and last. What that leaves open is found in cross_pairs.
+    In a larger one each document pairs with the bucket's first and last. What that leaves open is found in
+    family_links.
     """
     pairs = groups.filter("n = 2").select(F.col("lo").alias("a"), F.col("hi").alias("b")).distinct()
-    more = groups.filter("n > 2")
-    kept = join_groups(members, more, ["bucket"], "n").filter("n is not null")
-    part = F.when(F.col("n") <= spec.split, 0).otherwise(F.pmod(F.xxhash64("bucket", "id"), F.ceil(F.col("n") / spec.split)))
-    parts = kept.groupBy("bucket", part.alias("part")).agg(F.array_sort(F.collect_set("id")).alias("ids")).filter("size(ids) > 1")
-    lists = parts.select("ids").distinct()
+    kept = join_groups(members, groups.filter("n > 2"), ["bucket"], "n").filter("n is not null")
+    few = kept.filter(F.col("n") <= spec.split).groupBy("bucket").agg(F.array_sort(F.collect_set("id")).alias("ids"))
+    lists = few.filter("size(ids) > 1").select("ids").distinct()
     inside = lists.select(F.posexplode("ids").alias("k", "a"), "ids").select("a", F.explode(F.slice("ids", F.col("k") + 2, F.size("ids"))).alias("b"))
     big = kept.filter(F.col("n") > spec.split)
     stars = big.select(F.col("lo").alias("a"), F.col("id").alias("b")).union(big.select(F.col("id").alias("a"), F.col("hi").alias("b"))).filter("a < b")
@@ -168,22 +168,91 @@ def _between(pairs: DataFrame, roots: DataFrame) -> DataFrame:
     return pairs.join(left, "a", "left").join(right, "b", "left").filter(F.coalesce("root_a", "a") != F.coalesce("root_b", "b")).drop("root_a", "root_b")
 
 
-def cross_pairs(members: DataFrame, groups: DataFrame, roots: DataFrame, spec: NearDupSpec) -> DataFrame:
-    """All pairs of the large buckets whose ends are in different components; none where a bucket is one component."""
+def families(members: DataFrame, groups: DataFrame, roots: DataFrame, spec: NearDupSpec) -> DataFrame:
+    """(id, family, root) of the documents in large buckets that still hold several components.
+
+    Buckets that share a document are one family; a bucket that is one component already has no open pair.
+    """
     big = groups.filter(F.col("n") > spec.split).select("bucket", "n")
     inside = join_groups(members, big, ["bucket"], "n").filter("n is not null").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
-    mixed = inside.groupBy("bucket").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).filter("r0 <> r1").select("bucket")
-    rest = stored(inside.join(mixed, "bucket", "left_semi").select("bucket", "id", "root"), "mixed")
-    other = rest.select("bucket", F.col("id").alias("b"), F.col("root").alias("root_b"))
-    return rest.withColumnsRenamed({"id": "a", "root": "root_a"}).join(other, "bucket").filter("a < b and root_a <> root_b").select("a", "b").distinct()
+    inside = stored(inside.select("bucket", "n", "id", "root"), "inside")
+    mixed = inside.groupBy("bucket").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.min("id").alias("head"), F.max("n").alias("n")).filter("r0 <> r1")
+    rest = join_groups(inside.select("bucket", "id", "root"), mixed.select("bucket", "head", "n"), ["bucket"], "n").filter("n is not null")
+    rest = stored(rest.select("head", "id", "root").distinct(), "mixed")
+    named = components(rest.select(F.col("head").alias("a"), F.col("id").alias("b")))
+    return rest.select("id", "root").distinct().join(named.withColumnRenamed("root", "family"), "id")
+
+
+def block_links(ids: np.ndarray, roots: np.ndarray, sets: list[np.ndarray], side: np.ndarray, share: int) -> list[tuple[int, int]]:
+    """Links that join components, between documents of the two sides (within the one side if there is one).
+
+    All documents outside the most common component are held against all of the other side, by counting shared
+    shingles through an inverted index; so no pair between components is left out. Of the links found, those that
+    join what isn't joined yet are returned.
+    """
+    parent: dict[int, int] = {int(r): int(r) for r in roots}
+
+    def find(r: int) -> int:
+        while parent[r] != r:
+            parent[r] = parent[parent[r]]
+            r = parent[r]
+        return r
+
+    lens = np.array([len(x) for x in sets], np.int64)
+    terms, place = np.unique(np.concatenate(sets), return_inverse=True)
+    doc = np.repeat(np.arange(len(sets)), lens)
+    order = np.argsort(place, kind="stable")
+    posted, start = doc[order], np.searchsorted(place[order], np.arange(len(terms) + 1))
+    ends = np.cumsum(lens)
+    kinds, counts = np.unique(roots, return_counts=True)
+    main, out = int(kinds[counts.argmax()]), []
+    one = len(np.unique(side)) == 1
+    for x in range(len(sets)):
+        if find(int(roots[x])) == find(main):
+            continue
+        own = place[ends[x] - lens[x] : ends[x]]
+        shared = np.bincount(np.concatenate([posted[start[t] : start[t + 1]] for t in own]), minlength=len(sets))
+        hit = 100 * shared >= share * (lens[x] + lens - shared)
+        hit[x] = False
+        if not one:
+            hit &= side != side[x]
+        for y in np.flatnonzero(hit):
+            a, b = find(int(roots[x])), find(int(roots[y]))
+            if a != b:
+                parent[max(a, b)] = min(a, b)
+                out.append((int(ids[x]), int(ids[y])))
+    return out
+
+
+def family_links(kin: DataFrame, sets: DataFrame, spec: NearDupSpec) -> DataFrame:
+    """(a, b) links between components of a family, from whole sets, in blocks of about spec.block_bytes of sets.
+
+    A family's documents are dealt into blocks by a hash, and each pair of blocks is one group: the documents outside
+    the main component are a query set against all rows of the family. No pairs are written out, only links.
+    """
+    sized = kin.join(sets, "id").withColumn("bytes", F.octet_length("grams"))
+    sized = stored(sized, "kin")
+    count = sized.groupBy("family").agg(F.ceil(F.sum("bytes") / spec.block_bytes).cast("int").alias("blocks"))
+    dealt = sized.join(count, "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
+    spread = dealt.select("family", "id", "root", "grams", "block", other)
+    spread = spread.select("family", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "block", "id", "root", "grams")
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, roots, side = (np.array(table.column(k).to_pylist(), np.int64) for k in ("id", "root", "block"))
+        found = block_links(ids, roots, [np.frombuffer(x, np.uint64) for x in table.column("grams").to_pylist()], side, spec.percent_of_union)
+        return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
+
+    return spread.groupBy("family", "bi", "bj").applyInArrow(run, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", spec: NearDupSpec = NearDupSpec()) -> DataFrame:
     """(id, n_shingles, component_id, kept), a row for each document.
 
     Documents with equal shingle sets are one class, of which the smallest id goes on; candidate pairs come from the
-    tensored tables, and every link is confirmed on whole sets. Links are sought in two waves: each document with its
-    most similar earlier candidate first, then the pairs that still lie between components.
+    tensored tables, and every link is confirmed on whole sets. Links are sought in three waves: each document with
+    its most similar earlier candidate, then the pairs that still lie between components, then, exhaustively, large
+    buckets that still hold several components.
     Null and empty texts have no shingle, link with nothing and are kept. Rows that repeat an id are one document with
     a text each: equal texts change nothing, different ones are joined under the id. A null id is its own component
     (null) and kept. An empty table gives an empty result.
@@ -207,11 +276,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     if more.limit(1).count():
         roots = components(links)
     if groups.filter(F.col("n") > spec.split).limit(1).count():
-        rest = stored(_estimated(cross_pairs(members, groups, roots, spec).join(pairs.select("a", "b"), ["a", "b"], "left_anti"), reps, spec), "pairs")
-        if rest.limit(1).count():
-            ids = rest.select(F.col("a").alias(id_col)).union(rest.select(F.col("b").alias(id_col))).distinct()
+        kin = families(members, groups, roots, spec)
+        if kin.limit(1).count():
+            ids = kin.select(F.col("id").alias(id_col))
             sets = shingle_table(by_ids(docs, ids, [id_col], "left_semi"), id_col, text_col, spec)
-            links = links.union(stored(confirmed(rest, stored(sets, "sets"), spec), "linked"))
+            links = links.union(stored(family_links(kin, sets, spec), "linked"))
             roots = components(links)
     if same.limit(1).count():
         roots = components(links.union(same.select(F.col("rep").alias("a"), F.col("id").alias("b"))))
