@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from histreplay.queries import methods
+from histreplay.queries import methods, workloads
 
-CATALOGS = (methods.QUERIES,)
+CATALOGS = (methods.QUERIES, workloads.QUERIES)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
