@@ -31,7 +31,7 @@ class NearDupSpec:
     bands: int = 16
     rows: int = 3
     split: int = 8
-    block_bytes: int = 8 << 20
+    block_bytes: int = 4 << 20
     seed: int = 7
 
 
@@ -199,10 +199,15 @@ def block_links(ids: np.ndarray, roots: np.ndarray, sets: list[np.ndarray], side
         return r
 
     lens = np.array([len(x) for x in sets], np.int64)
-    terms, place = np.unique(np.concatenate(sets), return_inverse=True)
-    doc = np.repeat(np.arange(len(sets)), lens)
-    order = np.argsort(place, kind="stable")
-    posted, start = doc[order], np.searchsorted(place[order], np.arange(len(terms) + 1))
+    flat = np.concatenate(sets)
+    order = np.argsort(flat)
+    flat = flat[order]
+    new = np.concatenate([[True], flat[1:] != flat[:-1]])
+    start = np.append(np.flatnonzero(new), len(flat))
+    place = np.empty(len(flat), np.int32)
+    place[order] = np.cumsum(new) - 1
+    posted = np.repeat(np.arange(len(sets), dtype=np.int32), lens)[order]
+    del flat, order, new
     ends = np.cumsum(lens)
     kinds, counts = np.unique(roots, return_counts=True)
     main, out = int(kinds[counts.argmax()]), []
@@ -239,8 +244,9 @@ def family_links(kin: DataFrame, sets: DataFrame, spec: NearDupSpec) -> DataFram
     spread = spread.select("family", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "block", "id", "root", "grams")
 
     def run(table: pa.Table) -> pa.Table:
-        ids, roots, side = (np.array(table.column(k).to_pylist(), np.int64) for k in ("id", "root", "block"))
-        found = block_links(ids, roots, [np.frombuffer(x, np.uint64) for x in table.column("grams").to_pylist()], side, spec.percent_of_union)
+        ids, roots, side = (table.column(k).to_numpy().astype(np.int64) for k in ("id", "root", "block"))
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in table.column("grams")]
+        found = block_links(ids, roots, sets, side, spec.percent_of_union)
         return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
     return spread.groupBy("family", "bi", "bj").applyInArrow(run, "a long, b long")
