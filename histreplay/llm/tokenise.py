@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-import itertools
 import re
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
-#: Pieces kept by a worker; when there are more, the cache starts anew.
-CACHE_PIECES = 400_000
+import numpy as np
+
+#: Pieces that a worker keeps, about 200 bytes each; when there are more, the cache starts anew.
+CACHE_PIECES = 1_200_000
+#: New words that are encoded in one call of the library.
+JOINED = 2000
 #: The letters, numbers and white space of Latin-1, and by them the two vocabularies' public split patterns.
 _L, _N, _S = "A-Za-zªµºÀ-ÖØ-öø-ÿ", "0-9²³¹¼½¾", r"\t-\r \x85\xa0"
 _SPLIT = {
@@ -47,16 +50,44 @@ class Encoder:
                 return None
         return self.split.findall(text.lower() if self.lower else text)
 
+    def _learn(self, new: list[str]) -> None:
+        """Encodes new pieces. Plain words go in one text, where the library cuts them apart again as it does in any text."""
+        lead = "" if self.lower else " "
+        words = [x for x in new if x.startswith(lead) and x[len(lead) :].isalpha()]
+        rest = set(new).difference(words)
+        for k in range(0, len(words), JOINED):
+            own = words[k : k + JOINED]
+            found = self.library.encode((" " if self.lower else "").join(own), add_special_tokens=False)
+            ids = array("I", found.ids).tobytes()
+            ends = (4 * (np.flatnonzero(np.diff(np.array(found.word_ids, np.int64))) + 1)).tolist()
+            if len(ends) + 1 != len(own):
+                rest.update(own)
+                continue
+            self.cache.update(zip(own, map(ids.__getitem__, map(slice, [0, *ends], [*ends, len(ids)]))))
+        left = list(rest)
+        self.cache.update(zip(left, self._library(left)))
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        cut = [self.pieces(x) for x in texts]
-        new = list(set(itertools.chain.from_iterable(x for x in cut if x)).difference(self.cache))
-        if len(self.cache) + len(new) > CACHE_PIECES:
+        """One look into the cache for each piece; the places of those it lacks are filled in once they are known."""
+        if len(self.cache) > CACHE_PIECES:
             self.cache.clear()
-            new = list(set(itertools.chain.from_iterable(x for x in cut if x)))
-        if new:
-            self.cache.update(zip(new, self._library(new)))
-        get = self.cache.__getitem__
-        return [b"".join(map(get, x)) if x is not None else self._library([texts[k]])[0] for k, x in enumerate(cut)]
+        get, out, open_ = self.cache.get, [], []
+        for k, text in enumerate(texts):
+            own = self.pieces(text)
+            if own is None:
+                out.append(self._library([text]))
+                continue
+            found = list(map(get, own))
+            gaps = [i for i, x in enumerate(found) if x is None]
+            if gaps:
+                open_.append((found, gaps, [own[i] for i in gaps]))
+            out.append(found)
+        if open_:
+            self._learn(list({x for _, _, words in open_ for x in words}))
+            for found, gaps, words in open_:
+                for i, x in zip(gaps, words):
+                    found[i] = self.cache[x]
+        return [b"".join(x) for x in out]
 
 
 @lru_cache(maxsize=4)
