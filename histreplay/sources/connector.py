@@ -1,4 +1,7 @@
-"""A Python data source for stripe files: `spark.read.format("stripes")`, one partition a file, user ranges pushed down."""
+"""A Python data source for stripe files: `spark.read.format("stripes")`, one partition a file, user ranges pushed down.
+
+Needs spark.sql.python.filterPushdown.enabled; it is a runtime setting.
+"""
 
 from __future__ import annotations
 
