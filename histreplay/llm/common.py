@@ -16,6 +16,9 @@ from pyspark.sql.window import Window
 BROADCAST_ROWS = 1_000_000
 #: A join key that holds at least this share of the rows counts as hot; there are at most 1 / share of them.
 HOT_SHARE = 1 / 500
+#: Rows of a batch to a Python worker.
+ARROW_ROWS = 500
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 _local_scratch: str | None = None
 
@@ -32,10 +35,18 @@ def scratch(spark: SparkSession) -> str:
 
 
 def stored(df: DataFrame, tag: str) -> DataFrame:
-    """Writes a table to the shared folder and reads it back: cuts lineage and fixes the rows for later passes."""
+    """Writes a table to the shared folder and reads it back: cuts lineage and fixes the rows for later passes.
+
+    While it is written, batches to Python workers hold ARROW_ROWS rows, since a row may be a whole text or set.
+    """
     spark = df.sparkSession
     path = f"{scratch(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    former = spark.conf.get(_BATCH, None)
+    spark.conf.set(_BATCH, str(ARROW_ROWS))
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(_BATCH) if former is None else spark.conf.set(_BATCH, former)
     return spark.read.schema(df.schema).parquet(path)
 
 
