@@ -40,11 +40,12 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
         third = join_groups(rows, open_keys, ["n_bytes", "prefix"], "n_prefix").filter("n_prefix is not null")
     else:
         source = docs.select(F.col(id_col).cast("long").alias("id"), *shape, text.alias("__text"))
-        if open_keys.count() <= BROADCAST_ROWS:
-            source = source.join(F.broadcast(open_keys.drop("n_prefix")), ["n_bytes", "prefix"], "left_semi")
-        third = source.select("id", whole_hash(F.col("__text")).alias("full_hash"))
-        third = stored(third, "full")
-        rows = _with_hash(rows.drop("full_hash"), third)
+        few = open_keys.count() <= BROADCAST_ROWS
+        keys = F.broadcast(open_keys.drop("n_prefix"))
+        if few:
+            source = source.join(keys, ["n_bytes", "prefix"], "left_semi")
+        third = stored(source.select("id", "n_bytes", "prefix", whole_hash(F.col("__text")).alias("full_hash")), "full")
+        rows = third.unionByName(rows.join(keys, ["n_bytes", "prefix"], "left_anti")) if few else third
     groups = third.groupBy("full_hash").agg(F.max("id").alias("keep_id"), F.count("*").alias("group_size")).filter("group_size > 1")
     hashed = rows.filter("full_hash is not null")
     found = join_groups(hashed, groups, ["full_hash"], "group_size")
@@ -55,16 +56,6 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     return found.select("id", keep.alias("keep_id"), F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"), keep.eqNullSafe(F.col("id")).alias("kept"), "full_hash")
 
 
-def _with_hash(rows: DataFrame, hashes: DataFrame) -> DataFrame:
-    """Adds the hashes of the rows that have one. Rows that repeat an id may have several texts: those keep their own."""
-    counted = rows.groupBy("id").agg(F.count("*").alias("n_id"))
-    single = counted.filter("n_id = 1 and id is not null").select("id")
-    once = rows.join(single, "id", "left_semi").join(hashes.join(single, "id", "left_semi"), "id", "left")
-    often = hashes.join(single, "id", "left_anti").select("id", F.lit(None).cast("int").alias("n_bytes"), F.lit(None).cast("long").alias("prefix"), "full_hash")
-    settled = rows.join(single, "id", "left_anti").join(hashes.select("id").distinct(), "id", "left_anti")
-    return once.unionByName(often).unionByName(settled.withColumn("full_hash", F.lit(None).cast("string")))
-
-
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One document of each group of equal texts, that of the largest id; all columns stay. Rows that repeat id and text leave one row."""
     found = exact_duplicates(docs, id_col, text_col, hash_all=True)

@@ -14,6 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from histreplay.llm.common import ship
 from histreplay.llm.textbytes import mix
@@ -143,38 +144,36 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
     return found
 
 
-def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec = LangSpec(), id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """The columns `keep` (the id by default), lang_pred and score, for each document.
+def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec = LangSpec(), text_col: str = "text", names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """All columns of docs, and the predicted language and its score under the two names.
 
     score is the cosine with the nearest prototype, 0 where it is negative; the smaller name wins a tie. Null texts,
     texts without a letter, and all texts if nothing was learned, get `und` and 0. Only the text decides.
     """
     ship(docs.sparkSession)
-    names = sorted(prototypes)
-    units = np.array([prototypes[n] / max(1e-9, np.linalg.norm(prototypes[n])) for n in names], np.float32)
+    langs = sorted(prototypes)
+    units = np.array([prototypes[n] / max(1e-9, np.linalg.norm(prototypes[n])) for n in langs], np.float32)
+    place, columns = docs.columns.index(text_col), [*docs.columns, *names]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = memory(spec)
         for batch in batches:
-            langs, scores = [], []
-            for text in batch.column(batch.num_columns - 1).to_pylist():
-                codes, counts = trigrams(text or "")
-                if not len(codes) or not names:
-                    langs.append(UNKNOWN)
+            found, scores = [], []
+            for text in batch.column(place):
+                codes, counts = trigrams(text.as_py() or "")
+                if not len(codes) or not langs:
+                    found.append(UNKNOWN)
                     scores.append(0.0)
                     continue
                 v = own.bundle(codes, counts)
                 cosine = units @ (v / max(1e-9, float(np.linalg.norm(v))))
                 k = int(cosine.argmax())
-                langs.append(names[k])
+                found.append(langs[k])
                 scores.append(min(1.0, max(0.0, float(cosine[k]))))
-            rest = [batch.column(k) for k in range(batch.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*rest, pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*batch.schema.names[:-1], "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.string()), pa.array(scores, pa.float64())], columns)
 
-    keep = keep or [id_col]
-    source = docs.select(*keep, F.col(text_col).alias("__text"))
-    schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema.fields[:-1]], "lang_pred string", "score double"])
-    return source.mapInArrow(run, schema)
+    kinds = T.StructType([*docs.schema.fields, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
+    return docs.mapInArrow(run, kinds)
 
 
 def held_out(id_col: str = "doc_id") -> Column:
@@ -185,12 +184,12 @@ def held_out(id_col: str = "doc_id") -> Column:
 def identify(docs: DataFrame, spec: LangSpec = LangSpec(), id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """(id, held_out, lang_pred, score) of each document, learned from the languages of those not held out."""
     prototypes = learn(docs.filter(~held_out(id_col)), spec, text_col, lang_col)
-    found = predict(docs.select(F.col(id_col).alias("id"), held_out(id_col).alias("held_out"), F.col(text_col).alias("text")), prototypes, spec, "id", "text", ["id", "held_out"])
-    return found
+    rows = docs.select(F.col(id_col).alias("id"), held_out(id_col).alias("held_out"), F.col(text_col).alias("text"))
+    return predict(rows, prototypes, spec).select("id", "held_out", "lang_pred", "score")
 
 
 def keep_identified(docs: DataFrame, spec: LangSpec = LangSpec(), least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """The documents with an identified language and a score of `least` or more; all columns stay."""
     prototypes = learn(docs.filter(~held_out(id_col)), spec, text_col, lang_col)
-    found = predict(docs.withColumn("__copy", F.col(text_col)), prototypes, spec, id_col, "__copy", docs.columns)
-    return found.filter((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least)).select(*docs.columns)
+    found = predict(docs, prototypes, spec, text_col, ("__lang_pred", "__score"))
+    return found.filter((F.col("__lang_pred") != UNKNOWN) & (F.col("__score") >= least)).select(*docs.columns)

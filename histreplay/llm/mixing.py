@@ -96,15 +96,14 @@ def leading_words(text: Column, words: Column) -> Column:
 def mixed_documents(docs: DataFrame, weights: Sequence[float] | dict, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **how) -> DataFrame:
     """The documents as the mix takes them: one row for each time a document is taken whole, and one for a part."""
     taken = mix(docs, weights, id_col=id_col, text_col=text_col, source_col=source_col, **how)
-    crc = F.crc32(F.coalesce(F.col(text_col), F.lit("")).cast("binary"))
-    plan = taken.filter("taken > 0").withColumn("__src", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("-")))
-    plan = stored(plan.groupBy("id", "__src", "size").agg(F.min("epochs").alias("epochs"), F.max("part").alias("part")), "taken")
-    size = n_words(F.col(text_col))
-    keyed = docs.withColumns({"__src": F.coalesce(F.concat(F.lit("s"), F.col(source_col).cast("string")), F.lit("-")), "__size": size, "__crc": crc})
-    same = keyed[id_col].cast("long").eqNullSafe(plan["id"]) & (keyed["__src"] == plan["__src"]) & (keyed["__size"] == plan["size"])
-    joined = keyed.join(plan.select("id", "__src", "size", "epochs", "part"), same).drop(plan["__src"])
-    whole = F.col("epochs") + (F.col("part") >= F.col("__size")).cast("long")
-    cut = F.when((F.col("part") > 0) & (F.col("part") < F.col("__size")), 1).otherwise(0)
+    src = F.coalesce(F.concat(F.lit("s"), F.col(source_col).cast("string")), F.lit("-"))
+    plan = taken.filter("taken > 0").select(F.col("id").alias("__id"), F.coalesce(F.concat(F.lit("s"), "source"), F.lit("-")).alias("__source"), F.col("size").alias("__words"), F.col("epochs").alias("__epochs"), F.col("part").alias("__part"))
+    plan = stored(plan.groupBy("__id", "__source", "__words").agg(F.min("__epochs").alias("__epochs"), F.max("__part").alias("__part")), "taken")
+    keyed = docs.withColumns({"__src": src, "__size": n_words(F.col(text_col))})
+    same = keyed[id_col].cast("long").eqNullSafe(plan["__id"]) & (keyed["__src"] == plan["__source"]) & (keyed["__size"] == plan["__words"])
+    joined = keyed.join(plan, same)
+    whole = F.col("__epochs") + (F.col("__part") >= F.col("__size")).cast("long")
+    cut = F.when((F.col("__part") > 0) & (F.col("__part") < F.col("__size")), 1).otherwise(0)
     copies = joined.withColumn("__k", F.explode(F.sequence(F.lit(1), (whole + cut).cast("int")))).filter("__k > 0")
-    text = F.when(F.col("__k") > whole, leading_words(F.col(text_col), F.col("part"))).otherwise(F.col(text_col))
+    text = F.when(F.col("__k") > whole, leading_words(F.col(text_col), F.col("__part"))).otherwise(F.col(text_col))
     return copies.withColumn(text_col, text).select(*docs.columns)
