@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from histreplay.queries import methods, streams, surface, workloads
+from histreplay.queries import measures, methods, streams, surface, workloads
 
-CATALOGS = (methods.QUERIES, workloads.QUERIES, surface.QUERIES, streams.QUERIES)
+CATALOGS = (methods.QUERIES, workloads.QUERIES, measures.QUERIES, surface.QUERIES, streams.QUERIES)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -56,33 +56,45 @@ def multi_range(asks: DataFrame, stripes: DataFrame, strategy: str = "range", pa
     return hit.filter((F.col("first_us") <= F.col("end_us")) & (F.col("last_us") >= F.col("start_us")) & (F.col("stripe_no") >= F.col("lo"))).drop("start_us", "end_us", "lo")
 
 
-def cut(asks: DataFrame, read: DataFrame, traits: tuple[str, ...]) -> DataFrame:
+def cut(asks: DataFrame, read: DataFrame, traits: tuple[str, ...], generation: int | None = None) -> DataFrame:
     """Joins a request's stripes in order, cuts them to [start, end] and to the needed tail: (request_id, i_*) arrays.
 
-    Only bounds and lengths of asks are joined in; sequences are made once, here, and not shuffled again.
+    Only bounds and lengths of asks are joined in; sequences are made once, here, and not shuffled again. With a
+    generation, events that a later build has loaded (trait ingest_gen) don't count, whatever their time.
     """
     packed = F.sort_array(F.collect_list(F.struct("stripe_no", *[F.col(t) for t in traits])))
     joined = read.groupBy("request_id", "feature_group").agg(packed.alias("s"))
     flat = joined.select("request_id", "feature_group", *[F.flatten(F.col("s")[t]).alias(t) for t in traits])
     bounds = asks.select("request_id", "feature_group", "start_us", "end_us", "need")
     ev = F.arrays_zip(*traits)
-    kept = flat.join(bounds, ["request_id", "feature_group"]).withColumn("ev", _tail(F.filter(ev, lambda e: (e["us"] >= F.col("start_us")) & (e["us"] <= F.col("end_us"))), F.col("need")))
+    inside = F.filter(ev, lambda e: (e["us"] >= F.col("start_us")) & (e["us"] <= F.col("end_us")))
+    if generation is not None:
+        inside = F.filter(inside, lambda e: e["ingest_gen"] <= generation)
+    kept = flat.join(bounds, ["request_id", "feature_group"]).withColumn("ev", _tail(inside, F.col("need")))
     return kept.select("request_id", "feature_group", *[F.col("ev")[t].alias(f"i_{t}") for t in traits])
 
 
-def reconstruct(slim: DataFrame, stripes: DataFrame, length: int | None = None, strategy: str = "affinity", stripe_len: int = 8, traits: tuple[str, ...] = ("us", "event_id")) -> DataFrame:
+def reconstruct(slim: DataFrame, stripes: DataFrame, length: int | None = None, strategy: str = "affinity", stripe_len: int = 8, traits: tuple[str, ...] = ("us", "event_id"), generation: int | None = None) -> DataFrame:
     """(request_id, user_id, t_us, traits): the last `length` events up to each request, oldest first, as arrays.
 
     Takes the pointers apart, works out which stripes each request needs, reads them in one batched join, cuts, and
-    puts the logged events after them. length None is the whole window; it counts logged events too.
+    puts the logged events after them. length None is the whole window; it counts logged events too. generation is the
+    build that the pointers were logged against, for tiers with late arrivals (trait ingest_gen); late events shift
+    ranks, so the stripes are then found by their times (strategy range or broadcast).
     """
     asks = unpack(slim).filter("seq_len > 0")
-    if strategy in ("equi", "affinity") or length is not None:
-        asks = project.spans(asks, stripes, length, stripe_len).filter("need > 0")
+    if generation is not None:
+        if strategy not in ("range", "broadcast"):
+            raise ValueError("pinned generations are replayed by range or broadcast")
+        asks = asks.withColumn("need", project.need(F.col("seq_len"), F.col("mutable"), length)).filter("need > 0")
+        read = multi_range(asks, project.traits(stripes, (*traits, "ingest_gen")), strategy)
+        old = cut(asks, read, (*traits, "ingest_gen"), generation).drop("feature_group", "i_ingest_gen")
     else:
-        asks = asks.withColumn("need", F.col("seq_len"))
-    read = multi_range(asks, project.traits(stripes, traits), strategy)
-    old = cut(asks, read, traits).drop("feature_group")
+        if strategy in ("equi", "affinity") or length is not None:
+            asks = project.spans(asks, stripes, length, stripe_len).filter("need > 0")
+        else:
+            asks = asks.withColumn("need", F.col("seq_len"))
+        old = cut(asks, multi_range(asks, project.traits(stripes, traits), strategy), traits).drop("feature_group")
     out = slim.join(old, "request_id", "left")
     parts = {t: F.when(F.col(f"i_{t}").isNull(), F.col(f"m_{t}")).otherwise(F.concat(f"i_{t}", f"m_{t}")) for t in traits}
     if length is not None:

@@ -151,3 +151,44 @@ def days_touched(hist: DataFrame, requests: DataFrame, lookback_days: int) -> Da
     days = hist.select("user_id", F.floor(F.col("us") / DAY).alias("day")).distinct()
     asks = requests.withColumn("end_day", F.floor(F.col("t_us") / DAY))
     return asks.join(days, "user_id").filter((F.col("day") < F.col("end_day")) & (F.col("day") >= F.col("end_day") - (lookback_days - 1))).groupBy("request_id").agg(F.count("*").alias("runs"))
+
+
+def footprint(counts: DataFrame, canonical: int) -> DataFrame:
+    """(wide_total, replay_total, factor): elements kept for all examples, against logged parts plus one canonical copy."""
+    wide, slim = F.sum(F.col("seq_len") + F.col("mutable")), F.sum("mutable")
+    return counts.agg(wide.alias("wide_total"), (slim + F.lit(canonical)).alias("replay_total")).withColumn("factor", F.col("wide_total") / F.col("replay_total"))
+
+
+def log_volume(counts: DataFrame, traits: int = 5) -> DataFrame:
+    """(bucket, requests, wide_values, slim_values) by length (powers of two): values logged with an example.
+
+    A wide row grows with the length; a slim one has its mutable part and a pointer of fixed size.
+    """
+    n = F.col("seq_len") + F.col("mutable")
+    bucket = F.floor(F.log2(n.cast("double"))).cast("long")
+    slim = F.col("mutable") * traits + F.when(F.col("seq_len") > 0, POINTER_SCALARS).otherwise(0)
+    return counts.groupBy(bucket.alias("bucket")).agg(F.count("*").alias("requests"), F.sum(n * traits).alias("wide_values"), F.sum(slim).alias("slim_values"))
+
+
+def amplification(runs: DataFrame, store: DataFrame) -> DataFrame:
+    """(read_runs, write_amp): runs that a query touches on average, and how often an event is written."""
+    return runs.agg(F.avg("runs").alias("read_runs")).crossJoin(store.agg((1 + F.avg("merges")).alias("write_amp")))
+
+
+def batch_latency(runs: DataFrame) -> DataFrame:
+    """(tenant, change) of mean seconds a batch, replay against wide rows, from runs (tenant, mode, seconds)."""
+    mean = {m: F.avg(F.when(F.col("mode") == m, F.col("seconds"))) for m in ("replay", "wide")}
+    return runs.groupBy("tenant").agg((mean["replay"] / mean["wide"] - 1).alias("change"))
+
+
+def throughput(runs: DataFrame) -> DataFrame:
+    """(mode, rate) in rows a worker and second, from runs (mode, rows, seconds, workers)."""
+    return runs.groupBy("mode").agg((F.sum("rows") / F.sum(F.col("seconds") * F.col("workers"))).alias("rate"))
+
+
+def sharing(counts: DataFrame, tenants: tuple[TenantSpec, ...] = TENANTS) -> DataFrame:
+    """(tenant, window_share): what part of the longest tenant's elements each one needs."""
+    top = max(t.seq_len for t in tenants)
+    rows = F.array(*[F.struct(F.lit(t.name).alias("tenant"), F.least(F.col("seq_len") + F.col("mutable"), F.lit(t.seq_len)).alias("own"), F.least(F.col("seq_len") + F.col("mutable"), F.lit(top)).alias("all")) for t in tenants])
+    sums = counts.select(F.explode(rows).alias("x")).groupBy("x.tenant").agg(F.sum("x.own").alias("own"), F.sum("x.all").alias("all"))
+    return sums.select("tenant", (F.col("own") / F.col("all")).alias("window_share"))

@@ -3,6 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from histreplay import sqlapi
 from histreplay.functions.digest import ordered
 from histreplay.operators import baselines, generations, history, mutable, project, protocol, replay, stripes, verify
 from histreplay.schema import LayoutSpec, PointerSpec
@@ -128,3 +129,24 @@ def test_empty_history(spark, hist):
     none = hist.limit(0)
     assert stripes.build(none, LAYOUT).count() == 0
     assert replay.reconstruct(slim_of(spark, none, 150), stripes.build(none, LAYOUT), 4, "equi").first()["event_id"] == []
+
+
+def test_late_event_is_excluded_by_generation(spark, hist):
+    first = hist.withColumn("ingest_gen", F.lit(1))
+    late = spark.createDataFrame([(1, 20, 8, "view", 0.0, 0, "all", 2)], "user_id long, us long, event_id long, event_type string, value double, item_id int, feature_group string, ingest_gen int")
+    st = stripes.build(first.unionByName(late), LAYOUT, ("us", "event_id", "ingest_gen"))
+    slim = slim_of(spark, hist, 150)
+    assert replay.reconstruct(slim, st, None, "range", generation=1).first()["event_id"] == [1, 2, 3, 4, 5, 6]
+    assert replay.reconstruct(slim, st, 3, "range", generation=1).first()["event_id"] == [4, 5, 6]
+    assert replay.reconstruct(slim, st, None, "range", generation=2).first()["event_id"] != [1, 2, 3, 4, 5, 6]
+    with pytest.raises(ValueError):
+        replay.reconstruct(slim, st, None, "equi", generation=1)
+
+
+def test_history_tail_in_sql(spark, hist):
+    sqlapi.register(spark, stripes.build(hist, LAYOUT), "micro")
+    rows = spark.sql("SELECT event_id FROM micro_tail(1, 150, 3) ORDER BY us, event_id").collect()
+    assert [r["event_id"] for r in rows] == [4, 5, 6]
+    got = spark.sql("SELECT r.id, t.event_id FROM VALUES (1, 100L), (2, 45L) r(id, at), LATERAL micro_tail(1, r.at, 2) t ORDER BY 1, 2").collect()
+    assert [tuple(r) for r in got] == [(1, 4), (1, 5), (2, 2), (2, 3)]
+    assert [r["event_id"] for r in spark.sql("SELECT event_id FROM replay_tail(array(10L, 40L, 99L), array(1L, 2L, 4L), 50L, 1)").collect()] == [2]
