@@ -30,8 +30,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of documents in training windows, with their token ids."""
-    return packing.pack(docs, vocabulary("word_bpe_49k.json")).withColumnRenamed("id", "doc_id")
+    """Pieces of documents in training windows, with their token ids. Other stages share the workers: a small cache."""
+    return packing.pack(docs, vocabulary("word_bpe_49k.json"), spec=packing.PackSpec(cache_pieces=100_000)).withColumnRenamed("id", "doc_id")
 
 
 STAGES = [

@@ -21,6 +21,7 @@ ARROW_ROWS = 500
 _BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 _local_scratch: str | None = None
+_written: list[str] = []
 
 
 def scratch(spark: SparkSession) -> str:
@@ -41,6 +42,7 @@ def stored(df: DataFrame, tag: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{scratch(spark)}/{tag}-{uuid.uuid4().hex}"
+    _written.append(path)
     former = spark.conf.get(_BATCH, None)
     spark.conf.set(_BATCH, str(ARROW_ROWS))
     try:
@@ -50,6 +52,15 @@ def stored(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> int:
+    """Deletes the tables that stored() has written in this process; for callers who have written their results."""
+    n = len(_written)
+    while _written:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_written.pop())
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    return n
+
+
 def ship(spark: SparkSession) -> None:
     """Lets Python workers on this machine import the package when only the driver's sys.path has it."""
     root = str(Path(__file__).resolve().parents[2])

@@ -21,7 +21,7 @@ from histreplay.llm.textbytes import mix
 
 #: Latin letters up to U+024F and the space have places in a table; any other letter is folded into the places after.
 _TABLE = 0x250
-_PLACES = 256
+_PLACES = 128
 UNKNOWN = "und"
 
 
@@ -73,7 +73,7 @@ def trigrams(text: str) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Memory:
-    """Trigram vectors by code, made when first needed."""
+    """Trigram vectors by code, made when first needed; a task has one of its own, so its memory ends with the task."""
 
     def __init__(self, spec: LangSpec) -> None:
         bits = np.random.Generator(np.random.PCG64(spec.seed)).integers(0, 2, (_PLACES, spec.dims), np.int8)
@@ -107,15 +107,6 @@ class Memory:
         return out
 
 
-_memories: dict[LangSpec, Memory] = {}
-
-
-def memory(spec: LangSpec) -> Memory:
-    if spec not in _memories:
-        _memories[spec] = Memory(spec)
-    return _memories[spec]
-
-
 def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "text", lang_col: str = "lang") -> dict[str, np.ndarray]:
     """Prototypes by language. Each text counts the same, whatever its length; null texts and languages are left out.
 
@@ -125,7 +116,7 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
     ship(labelled.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, sums = memory(spec), {}
+        own, sums = Memory(spec), {}
         for batch in batches:
             for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 codes, counts = trigrams(text)
@@ -156,7 +147,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec =
     place, columns = docs.columns.index(text_col), [*docs.columns, *names]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = memory(spec)
+        own = Memory(spec)
         for batch in batches:
             found, scores = [], []
             for text in batch.column(place):

@@ -12,12 +12,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from histreplay.llm.common import ship
-from histreplay.llm.tokenise import encoder, groups_of_texts
+from histreplay.llm.tokenise import CACHE_PIECES, encoder, groups_of_texts
 
 
 @dataclass(frozen=True)
 class PackSpec:
-    """window: tokens of a sequence; shard_bytes: text that shares an index, about; terms: of a query, the weightiest."""
+    """window: tokens of a sequence; shard_bytes: text that shares an index, about; terms: of a query, the weightiest;
+
+    cache_pieces: what a Python worker keeps of encoded pieces, about 200 bytes each, also after the operator's end.
+    """
 
     window: int = 4096
     end_id: int = 2
@@ -25,6 +28,7 @@ class PackSpec:
     terms: int = 12
     k1: float = 1.2
     b: float = 0.75
+    cache_pieces: int = CACHE_PIECES
 
 
 class Index:
@@ -129,7 +133,7 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
         yield pa.RecordBatch.from_arrays(arrays, list(columns))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok = encoder(vocabulary, kind)
+        tok = encoder(vocabulary, kind, spec.cache_pieces)
         end = np.array([spec.end_id], "<u4").tobytes()
         own, ids, tokens = None, [], []
         for batch in batches:

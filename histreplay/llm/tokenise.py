@@ -29,13 +29,14 @@ class Encoder:
     every other text goes to the library whole.
     """
 
-    def __init__(self, path: str, kind: str) -> None:
+    def __init__(self, path: str, kind: str, most: int = CACHE_PIECES) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.lower = kind == "word_level"
         self.split = _SPLIT[kind]
         self.cache: dict[str, bytes] = {}
+        self.most = most
 
     def _library(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
@@ -69,7 +70,7 @@ class Encoder:
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """One look into the cache for each piece; the places of those it lacks are filled in once they are known."""
-        if len(self.cache) > CACHE_PIECES:
+        if len(self.cache) > self.most:
             self.cache.clear()
         get, out, open_ = self.cache.get, [], []
         for k, text in enumerate(texts):
@@ -91,12 +92,12 @@ class Encoder:
 
 
 @lru_cache(maxsize=4)
-def encoder(path: str, kind: str) -> Encoder:
+def encoder(path: str, kind: str, most: int = CACHE_PIECES) -> Encoder:
     """One for each worker and vocabulary; the library's own threads stay off, since Spark's tasks fill the cores."""
     import os
 
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    return Encoder(path, kind)
+    return Encoder(path, kind, most)
 
 
 def groups_of_texts(texts: list[str], most: int = 1 << 19) -> Iterator[tuple[int, list[str]]]:

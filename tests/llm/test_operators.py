@@ -72,6 +72,16 @@ def test_join_groups_with_hot_key(spark):
     assert got.count() == 3000 and got.filter("n = 2000").count() == 2000 and got.filter("n is null").count() == 500
 
 
+def test_release(spark):
+    from histreplay.llm import common
+
+    df = common.stored(spark.range(3).toDF("id"), "gone")
+    path = common._written[-1]
+    assert df.count() == 3 and common.release(spark) > 0 and common.release(spark) == 0
+    with pytest.raises(Exception):
+        spark.read.parquet(path).count()
+
+
 def test_components(spark):
     rnd = random.Random(5)
     links = [(rnd.randint(0, 200), rnd.randint(0, 200)) for _ in range(150)] + [(300 + k, 301 + k) for k in range(60)]
