@@ -51,17 +51,21 @@ def primary_read(counts: DataFrame, tenants: tuple[TenantSpec, ...] = TENANTS) -
 
 
 def lookup(asks: DataFrame, stripes: DataFrame, tenants: tuple[TenantSpec, ...], stripe_len: int, window: int | None = None) -> DataFrame:
-    """(tenant, lookups, lookup_elems) of the immutable tier: one lookup a request, or one a user and window of time."""
-    out = None
+    """(tenant, lookups, lookup_elems) of the immutable tier: one lookup a request, or one a user and window of time.
+
+    Ranks are resolved once for all tenants.
+    """
+    ranked = project.with_ranks(asks.filter("seq_len > 0"), stripes)
+    wanted = F.explode(F.array(*[F.struct(F.lit(t.name).alias("tenant"), F.lit(t.seq_len).alias("length")) for t in tenants])).alias("w")
+    rows = ranked.select("*", wanted).select("*", "w.tenant", F.least("seq_len", F.greatest(F.lit(0), F.col("w.length") - F.col("mutable"))).cast("long").alias("need"))
+    lo, hi = project.stripe_span(F.col("window_rank"), F.col("seq_len"), F.col("need"), stripe_len)
+    slot = F.col("request_id") if window is None else F.floor(F.col("t_us") / window)
+    found = rows.filter("need > 0").withColumns({"lo": lo, "hi": hi, "slot": slot})
+    ranges = found.groupBy("tenant", "user_id", "feature_group", "slot").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
     index = stripes.select("user_id", "feature_group", "stripe_no", "n_events")
-    for t in tenants:
-        found = project.spans(asks, stripes, t.seq_len, stripe_len).filter("need > 0")
-        slot = F.col("request_id") if window is None else F.floor(F.col("t_us") / window)
-        ranges = found.withColumn("slot", slot).groupBy("user_id", "feature_group", "slot").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-        read = ranges.join(index, ["user_id", "feature_group"]).filter((F.col("stripe_no") >= F.col("lo")) & (F.col("stripe_no") <= F.col("hi")))
-        own = read.groupBy("user_id", "slot").agg(F.sum("n_events").alias("e")).agg(F.count("*").alias("lookups"), F.coalesce(F.sum("e"), F.lit(0)).alias("lookup_elems")).withColumn("tenant", F.lit(t.name))
-        out = own if out is None else out.unionByName(own)
-    return out
+    read = ranges.join(index, ["user_id", "feature_group"]).filter((F.col("stripe_no") >= F.col("lo")) & (F.col("stripe_no") <= F.col("hi")))
+    each = read.groupBy("tenant", "user_id", "slot").agg(F.sum("n_events").alias("e"))
+    return each.groupBy("tenant").agg(F.count("*").alias("lookups"), F.sum("e").alias("lookup_elems"))
 
 
 def over_read(counts: DataFrame, tenants: tuple[TenantSpec, ...]) -> DataFrame:
