@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import ship
+from histreplay.llm.common import by_ids, ship, stored, tidied
 from histreplay.llm.textbytes import mix
 
 #: Latin letters up to U+024F and the space have places in a table; any other letter is folded into the places after.
@@ -118,8 +118,8 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, sums = Memory(spec), {}
         for batch in batches:
-            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                codes, counts = trigrams(text)
+            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                codes, counts = trigrams(text.as_py())
                 if len(codes):
                     v = own.bundle(codes, counts)
                     sums[lang] = sums.get(lang, 0) + np.rint(v * (1e6 / max(1e-9, float(np.linalg.norm(v))))).astype(np.int64)
@@ -127,7 +127,7 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
         yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(values, pa.list_(pa.int64()))], ["lang", "v"])
 
     rows = labelled.select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text")).filter("lang is not null and text is not null")
-    sums = rows.mapInArrow(run, "lang string, v array<long>").select("lang", F.posexplode("v").alias("k", "x"))
+    sums = rows.mapInArrow(tidied(run), "lang string, v array<long>").select("lang", F.posexplode("v").alias("k", "x"))
     table = sums.groupBy("lang", "k").agg(F.sum("x").alias("x")).groupBy("lang").agg(F.sort_array(F.collect_list(F.struct("k", "x"))).alias("v"))
     found = {r["lang"]: np.array([p["x"] for p in r["v"]], np.float64) for r in table.limit(spec.languages + 1).collect()}
     if len(found) > spec.languages:
@@ -136,7 +136,7 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
 
 
 def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec = LangSpec(), text_col: str = "text", names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
-    """All columns of docs, and the predicted language and its score under the two names.
+    """The columns of docs but the text, and the predicted language and its score under the two names.
 
     score is the cosine with the nearest prototype, 0 where it is negative; the smaller name wins a tie. Null texts,
     texts without a letter, and all texts if nothing was learned, get `und` and 0. Only the text decides.
@@ -144,13 +144,14 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec =
     ship(docs.sparkSession)
     langs = sorted(prototypes)
     units = np.array([prototypes[n] / max(1e-9, np.linalg.norm(prototypes[n])) for n in langs], np.float32)
-    place, columns = docs.columns.index(text_col), [*docs.columns, *names]
+    rest = [f for f in docs.schema.fields if f.name != text_col]
+    columns = [*[f.name for f in rest], *names]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Memory(spec)
         for batch in batches:
             found, scores = [], []
-            for text in batch.column(place):
+            for text in batch.column(batch.num_columns - 1):
                 codes, counts = trigrams(text.as_py() or "")
                 if not len(codes) or not langs:
                     found.append(UNKNOWN)
@@ -161,10 +162,10 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec =
                 k = int(cosine.argmax())
                 found.append(langs[k])
                 scores.append(min(1.0, max(0.0, float(cosine[k]))))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.string()), pa.array(scores, pa.float64())], columns)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, pa.string()), pa.array(scores, pa.float64())], columns)
 
-    kinds = T.StructType([*docs.schema.fields, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
-    return docs.mapInArrow(run, kinds)
+    kinds = T.StructType([*rest, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
+    return docs.select(*[F.col(f.name) for f in rest], text_col).mapInArrow(tidied(run), kinds)
 
 
 def held_out(id_col: str = "doc_id") -> Column:
@@ -180,7 +181,13 @@ def identify(docs: DataFrame, spec: LangSpec = LangSpec(), id_col: str = "doc_id
 
 
 def keep_identified(docs: DataFrame, spec: LangSpec = LangSpec(), least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """The documents with an identified language and a score of `least` or more; all columns stay."""
+    """The documents with an identified language and a score of `least` or more; all columns stay.
+
+    Texts alone decide, so what is rejected is written as the texts' ids, sizes and hashes, and taken out by those.
+    """
     prototypes = learn(docs.filter(~held_out(id_col)), spec, text_col, lang_col)
-    found = predict(docs, prototypes, spec, text_col, ("__lang_pred", "__score"))
-    return found.filter((F.col("__lang_pred") != UNKNOWN) & (F.col("__score") >= least)).select(*docs.columns)
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    keys = {"__id": F.col(id_col), "__bytes": F.octet_length(text), "__hash": F.xxhash64(text)}
+    found = predict(docs.select(*[c.alias(k) for k, c in keys.items()], F.col(text_col).alias("text")), prototypes, spec)
+    gone = stored(found.filter((F.col("lang_pred") == UNKNOWN) | (F.col("score") < least)).select(*keys).distinct(), "unidentified")
+    return by_ids(docs.withColumns(keys), gone, list(keys), "left_anti").select(*docs.columns)

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import by_ids, join_groups, ship, stored
+from histreplay.llm.common import by_ids, join_groups, ship, stored, tidied
 from histreplay.llm.components import components
 from histreplay.llm.textbytes import mix, shingle_sets, slices
 
@@ -79,7 +79,7 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> Da
             kinds = (pa.int64(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(x, kind) for x, kind in zip(out, kinds)]], ["id", "n_shingles", "set_key", "a", "b", "mins"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, n_shingles long, set_key binary, a array<long>, b array<long>, mins binary")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "id long, n_shingles long, set_key binary, a array<long>, b array<long>, mins binary")
 
 
 def shingle_table(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> DataFrame:
@@ -93,7 +93,7 @@ def shingle_table(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec
                 grams = pa.array([sets[at[d] : at[d + 1]].tobytes() for d in range(len(at) - 1)], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(at) - 1), grams], ["id", "grams"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, grams binary")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "id long, grams binary")
 
 
 def buckets(reps: DataFrame, spec: NearDupSpec) -> tuple[DataFrame, DataFrame]:
@@ -140,7 +140,7 @@ def _estimated(pairs: DataFrame, reps: DataFrame, spec: NearDupSpec) -> DataFram
             yield pa.RecordBatch.from_arrays([c.filter(keep) for c in (batch.column(0), batch.column(1), pa.array(est, pa.float64()))], ["a", "b", "est"])
 
     near = pairs.join(left, "a").join(right, "b").filter(100 * F.least("n_a", "n_b") >= spec.percent_of_union * F.greatest("n_a", "n_b"))
-    return near.select("a", "b", "mins_a", "mins_b").mapInArrow(run, "a long, b long, est double")
+    return near.select("a", "b", "mins_a", "mins_b").mapInArrow(tidied(run), "a long, b long, est double")
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, spec: NearDupSpec) -> DataFrame:
@@ -159,7 +159,7 @@ def confirmed(pairs: DataFrame, sets: DataFrame, spec: NearDupSpec) -> DataFrame
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], ["a", "b"])
 
     left, right = (sets.select(F.col("id").alias(k), F.col("grams").alias(f"grams_{k}")) for k in "ab")
-    return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "grams_a", "grams_b").mapInArrow(run, "a long, b long")
+    return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "grams_a", "grams_b").mapInArrow(tidied(run), "a long, b long")
 
 
 def _between(pairs: DataFrame, roots: DataFrame) -> DataFrame:

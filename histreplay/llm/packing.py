@@ -11,8 +11,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import ship
-from histreplay.llm.tokenise import CACHE_PIECES, encoder, groups_of_texts
+from histreplay.llm.common import ship, tidied
+from histreplay.llm.tokenise import CACHE_PIECES, encoded, encoder
+
+
+#: Rows of a batch that goes back to Spark.
+PIECES = 256
 
 
 @dataclass(frozen=True)
@@ -103,6 +107,8 @@ def fill_windows(tokens: list[np.ndarray], spec: PackSpec) -> Iterator[tuple[int
 def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackSpec = PackSpec(), id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True) -> DataFrame:
     """(id, start, length, ids_crc32, doc_tokens, sequence_id, offset[, ids]), a row for each piece of a document.
 
+    ids holds the piece's token ids as little-endian unsigned 32-bit integers.
+
     A hash of id and text deals the documents to shards of about spec.shard_bytes, whose number grows with the corpus;
     one shard at a time is in a task's memory, and holds no fewer than one whole document. Each shard's windows are
     full but for its last. sequence_id is shard * 2^32 + window.
@@ -121,33 +127,31 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
 
     def packed(number: int, ids: list, tokens: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         out: list[list] = [[] for _ in columns]
+        kinds = [*[pa.int64()] * 7, pa.binary()]
         for sequence, offset, d, start, length in fill_windows(tokens, spec):
-            piece = tokens[d][start : start + length]
-            row = [ids[d], start, length, zlib.crc32(piece.tobytes()), len(tokens[d]), (number << 32) + sequence, offset]
+            piece = tokens[d][start : start + length].tobytes()
+            row = [ids[d], start, length, zlib.crc32(piece), len(tokens[d]), (number << 32) + sequence, offset]
             for column, x in zip(out, [*row, piece] if with_ids else row):
                 column.append(x)
-        kinds = [pa.int64()] * 7 + [pa.list_(pa.uint32())]
-        arrays = [pa.array(x, k) for x, k in zip(out, kinds)]
-        if with_ids:
-            arrays[7] = arrays[7].cast(pa.list_(pa.int64()))
-        yield pa.RecordBatch.from_arrays(arrays, list(columns))
+            if len(out[0]) == PIECES:
+                yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(out, kinds)], list(columns))
+                out = [[] for _ in columns]
+        yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(out, kinds)], list(columns))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tok = encoder(vocabulary, kind, spec.cache_pieces)
         end = np.array([spec.end_id], "<u4").tobytes()
         own, ids, tokens = None, [], []
         for batch in batches:
-            numbers, names, texts = (batch.column(k).to_pylist() for k in (2, 0, 1))
-            for at, group in groups_of_texts(texts):
-                for k, data in enumerate(tok.encode(group), at):
-                    if numbers[k] != own:
-                        if ids:
-                            yield from packed(own, ids, tokens)
-                        own, ids, tokens = numbers[k], [], []
-                    ids.append(names[k])
-                    tokens.append(np.frombuffer(data + end, "<u4"))
+            for name, number, data in encoded(batch, tok, (0, 2), 1):
+                if number != own:
+                    if ids:
+                        yield from packed(own, ids, tokens)
+                    own, ids, tokens = number, [], []
+                ids.append(name)
+                tokens.append(np.frombuffer(data + end, "<u4"))
         if ids:
             yield from packed(own, ids, tokens)
 
-    schema = "id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + (", ids array<long>" if with_ids else "")
-    return dealt.mapInArrow(run, schema)
+    schema = "id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + (", ids binary" if with_ids else "")
+    return dealt.mapInArrow(tidied(run), schema)

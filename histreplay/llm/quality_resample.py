@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import bucket_of, range_bounds, ship, shuffle_width, stored, with_prefix_sums
+from histreplay.llm.common import bucket_of, range_bounds, ship, shuffle_width, stored, with_prefix_sums, tidied
 from histreplay.llm.mixing import uniform
 from histreplay.llm.textbytes import slices, windows, word_hashes, word_spans
 
@@ -62,7 +62,7 @@ def learn(docs: DataFrame, labels: DataFrame, spec: ResampleSpec = ResampleSpec(
                 target += np.bincount(bucket[good[first + doc]], minlength=spec.buckets)
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(spec.buckets)), pa.array(raw), pa.array(target)], ["k", "raw", "target"])
 
-    counts = rows.select(F.col("__id").isNotNull().alias("good"), F.col(text_col).alias("text")).mapInArrow(run, "k long, raw long, target long")
+    counts = rows.select(F.col("__id").isNotNull().alias("good"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "k long, raw long, target long")
     raw, target = np.zeros(spec.buckets), np.zeros(spec.buckets)
     for r in counts.groupBy("k").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect():
         raw[r["k"]], target[r["k"]] = r["raw"], r["target"]
@@ -84,7 +84,7 @@ def weigh(docs: DataFrame, ratios: np.ndarray, spec: ResampleSpec = ResampleSpec
                 total = np.bincount(doc, ratios[bucket], minlength=len(off) - 1)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(off) - 1), pa.array(n), pa.array(total / np.maximum(n, 1))], ["id", "n_grams", "log_ratio"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, n_grams long, log_ratio double")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "id long, n_grams long, log_ratio double")
 
 
 def resample(docs: DataFrame, labels: DataFrame, spec: ResampleSpec = ResampleSpec(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import bucket_of, ship, stored
+from histreplay.llm.common import bucket_of, ship, stored, tidied
 from histreplay.llm.textbytes import _SPACE, slices, windows, word_hashes, word_spans
 
 #: The base rules' symbols.
@@ -117,7 +117,7 @@ def measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", st
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), batch.column(1).slice(first, n), *[pa.array(x, pa.int64()) for x in measure_slice(data, off)]], ["id", "stratum", *COUNTS])
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(stratum_col).cast("string"), F.lit("none")).alias("stratum"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(run, "id long, stratum string, " + ", ".join(f"{c} long" for c in COUNTS))
+    return rows.mapInArrow(tidied(run), "id long, stratum string, " + ", ".join(f"{c} long" for c in COUNTS))
 
 
 def binomial_tail(k: int, n: int, p: float) -> float:

@@ -16,8 +16,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import bucket_of, range_bounds, scratch, ship, shuffle_width
-from histreplay.llm.tokenise import encoder, groups_of_texts
+from histreplay.llm.common import bucket_of, range_bounds, scratch, ship, shuffle_width, tidied
+from histreplay.llm.tokenise import encoded, encoder
 
 #: Fixed values of the format: magic, bits of a chunk, entries of a directory block.
 MAGIC, CHUNK_BITS, BLOCK = b"DAC1", 8, 512
@@ -116,22 +116,19 @@ def write_tokens(docs: DataFrame, path: str, vocabulary: str, kind: str = "byte_
             return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(columns, kinds)], ["part", "segment", "first_token", "ids", "n_tokens", "codes"])
 
         for batch in batches:
-            ids, parts = batch.column(0).to_pylist(), batch.column(2).to_pylist()
-            texts = batch.column(1).to_pylist()
-            for at, group in groups_of_texts(texts):
-                for k, data in enumerate(tok.encode(group), at):
-                    if parts[k] != own:
-                        if held:
-                            yield close()
-                        own, segment, first = parts[k], 0, 0
-                    held.append((ids[k], len(data) // 4 + 1, data + end))
-                    size += held[-1][1]
-                    if size >= SEGMENT_IDS:
+            for name, part, data in encoded(batch, tok, (0, 2), 1):
+                if part != own:
+                    if held:
                         yield close()
+                    own, segment, first = part, 0, 0
+                held.append((name, len(data) // 4 + 1, data + end))
+                size += held[-1][1]
+                if size >= SEGMENT_IDS:
+                    yield close()
         if held:
             yield close()
 
-    ordered.select("id", "text", "part").mapInArrow(run, "part int, segment long, first_token long, ids array<long>, n_tokens array<long>, codes binary").write.parquet(path)
+    ordered.select("id", "text", "part").mapInArrow(tidied(run), "part int, segment long, first_token long, ids array<long>, n_tokens array<long>, codes binary").write.parquet(path)
 
 
 def read_documents(spark, path: str) -> DataFrame:
@@ -158,7 +155,7 @@ def read_documents(spark, path: str) -> DataFrame:
                 columns = [pa.array(ids, pa.int64()), pa.array(start + ends - counts), pa.array(counts), pa.array(crcs, pa.int64())]
                 yield pa.RecordBatch.from_arrays(columns, ["id", "start", "n_tokens", "ids_crc32"])
 
-    return table.select("part", "first_token", "ids", "n_tokens", "codes").mapInArrow(run, "id long, start long, n_tokens long, ids_crc32 long")
+    return table.select("part", "first_token", "ids", "n_tokens", "codes").mapInArrow(tidied(run), "id long, start long, n_tokens long, ids_crc32 long")
 
 
 def read_tokens(table: DataFrame, first: Column | int, count: int) -> DataFrame:

@@ -8,6 +8,7 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
 
 #: Pieces that a worker keeps, about 200 bytes each; when there are more, the cache starts anew.
 CACHE_PIECES = 1_200_000
@@ -100,13 +101,16 @@ def encoder(path: str, kind: str, most: int = CACHE_PIECES) -> Encoder:
     return Encoder(path, kind, most)
 
 
-def groups_of_texts(texts: list[str], most: int = 1 << 19) -> Iterator[tuple[int, list[str]]]:
-    """(first index, texts) in runs of at most about `most` characters."""
-    at, size = 0, 0
-    for k, x in enumerate(texts):
-        if size and size + len(x) > most:
-            yield at, texts[at:k]
-            at, size = k, 0
-        size += len(x)
-    if at < len(texts):
-        yield at, texts[at:]
+def encoded(batch: pa.RecordBatch, tok: Encoder, columns: tuple[int, ...], text: int, rows: int = 256, most: int = 1 << 19) -> Iterator[tuple]:
+    """(*columns, ids) of each row in order; `rows` rows or about `most` characters of text are in Python at a time."""
+    for at in range(0, batch.num_rows, rows):
+        part = batch.slice(at, rows)
+        rest, texts = [part.column(k).to_pylist() for k in columns], part.column(text)
+        held, size, first = [], 0, 0
+        for k in range(part.num_rows):
+            held.append(texts[k].as_py())
+            size += len(held[-1])
+            if size >= most or k + 1 == part.num_rows:
+                for i, ids in enumerate(tok.encode(held), first):
+                    yield (*[c[i] for c in rest], ids)
+                held, size, first = [], 0, k + 1
