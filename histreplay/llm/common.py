@@ -6,6 +6,7 @@ import os
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator, Sequence
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -35,20 +36,24 @@ def scratch(spark: SparkSession) -> str:
     return _local_scratch
 
 
-def stored(df: DataFrame, tag: str) -> DataFrame:
-    """Writes a table to the shared folder and reads it back: cuts lineage and fixes the rows for later passes.
-
-    While it is written, batches to Python workers hold ARROW_ROWS rows, since a row may be a whole text or set.
-    """
-    spark = df.sparkSession
-    path = f"{scratch(spark)}/{tag}-{uuid.uuid4().hex}"
-    _written.append(path)
+@contextmanager
+def small_batches(spark: SparkSession) -> Iterator[None]:
+    """Batches to Python workers hold ARROW_ROWS rows in what runs meanwhile, since a row may be a whole text or set."""
     former = spark.conf.get(_BATCH, None)
     spark.conf.set(_BATCH, str(ARROW_ROWS))
     try:
-        df.write.parquet(path)
+        yield
     finally:
         spark.conf.unset(_BATCH) if former is None else spark.conf.set(_BATCH, former)
+
+
+def stored(df: DataFrame, tag: str) -> DataFrame:
+    """Writes a table to the shared folder and reads it back: cuts lineage and fixes the rows for later passes."""
+    spark = df.sparkSession
+    path = f"{scratch(spark)}/{tag}-{uuid.uuid4().hex}"
+    _written.append(path)
+    with small_batches(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import by_ids, ship, stored, tidied
+from histreplay.llm.common import by_ids, ship, small_batches, stored, tidied
 from histreplay.llm.textbytes import mix
 
 #: Latin letters up to U+024F and the space have places in a table; any other letter is folded into the places after.
@@ -129,7 +129,8 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
     rows = labelled.select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text")).filter("lang is not null and text is not null")
     sums = rows.mapInArrow(tidied(run), "lang string, v array<long>").select("lang", F.posexplode("v").alias("k", "x"))
     table = sums.groupBy("lang", "k").agg(F.sum("x").alias("x")).groupBy("lang").agg(F.sort_array(F.collect_list(F.struct("k", "x"))).alias("v"))
-    found = {r["lang"]: np.array([p["x"] for p in r["v"]], np.float64) for r in table.limit(spec.languages + 1).collect()}
+    with small_batches(labelled.sparkSession):
+        found = {r["lang"]: np.array([p["x"] for p in r["v"]], np.float64) for r in table.limit(spec.languages + 1).collect()}
     if len(found) > spec.languages:
         raise ValueError(f"more than {spec.languages} languages; raise LangSpec.languages if that is meant")
     return found

@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import bucket_of, range_bounds, shuffle_width, stored, with_prefix_sums
+from histreplay.llm.common import BROADCAST_ROWS, bucket_of, range_bounds, shuffle_width, stored, with_prefix_sums
 
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -94,14 +94,17 @@ def leading_words(text: Column, words: Column) -> Column:
 
 
 def mixed_documents(docs: DataFrame, weights: Sequence[float] | dict, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **how) -> DataFrame:
-    """The documents as the mix takes them: one row for each time a document is taken whole, and one for a part."""
+    """The documents as the mix takes them: one row for each time a document is taken whole, and one for a part.
+
+    Texts are shuffled only where the plan, a row for each document taken, is too long to broadcast.
+    """
     taken = mix(docs, weights, id_col=id_col, text_col=text_col, source_col=source_col, **how)
     src = F.coalesce(F.concat(F.lit("s"), F.col(source_col).cast("string")), F.lit("-"))
     plan = taken.filter("taken > 0").select(F.col("id").alias("__id"), F.coalesce(F.concat(F.lit("s"), "source"), F.lit("-")).alias("__source"), F.col("size").alias("__words"), F.col("epochs").alias("__epochs"), F.col("part").alias("__part"))
     plan = stored(plan.groupBy("__id", "__source", "__words").agg(F.min("__epochs").alias("__epochs"), F.max("__part").alias("__part")), "taken")
     keyed = docs.withColumns({"__src": src, "__size": n_words(F.col(text_col))})
     same = keyed[id_col].cast("long").eqNullSafe(plan["__id"]) & (keyed["__src"] == plan["__source"]) & (keyed["__size"] == plan["__words"])
-    joined = keyed.join(plan, same)
+    joined = keyed.join(F.broadcast(plan) if plan.count() <= BROADCAST_ROWS else plan, same)
     whole = F.col("__epochs") + (F.col("__part") >= F.col("__size")).cast("long")
     cut = F.when((F.col("__part") > 0) & (F.col("__part") < F.col("__size")), 1).otherwise(0)
     copies = joined.withColumn("__k", F.explode(F.sequence(F.lit(1), (whole + cut).cast("int")))).filter("__k > 0")

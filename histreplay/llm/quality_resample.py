@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import bucket_of, range_bounds, ship, shuffle_width, stored, with_prefix_sums, tidied
+from histreplay.llm.common import bucket_of, range_bounds, ship, shuffle_width, small_batches, stored, tidied, with_prefix_sums
 from histreplay.llm.mixing import uniform
 from histreplay.llm.textbytes import slices, windows, word_hashes, word_spans
 
@@ -64,8 +64,9 @@ def learn(docs: DataFrame, labels: DataFrame, spec: ResampleSpec = ResampleSpec(
 
     counts = rows.select(F.col("__id").isNotNull().alias("good"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "k long, raw long, target long")
     raw, target = np.zeros(spec.buckets), np.zeros(spec.buckets)
-    for r in counts.groupBy("k").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect():
-        raw[r["k"]], target[r["k"]] = r["raw"], r["target"]
+    with small_batches(docs.sparkSession):
+        for r in counts.groupBy("k").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect():
+            raw[r["k"]], target[r["k"]] = r["raw"], r["target"]
     if not target.any():
         return np.zeros(spec.buckets)
     logs = [np.log(x + spec.smooth) - np.log(x.sum() + spec.smooth * spec.buckets) for x in (target, raw)]
