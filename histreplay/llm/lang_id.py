@@ -23,6 +23,8 @@ from histreplay.llm.textbytes import mix
 _TABLE = 0x250
 _PLACES = 128
 UNKNOWN = "und"
+#: Trigram vectors that a task keeps, a byte a dimension.
+VECTORS = 20_000
 
 
 @dataclass(frozen=True)
@@ -77,33 +79,31 @@ class Memory:
 
     def __init__(self, spec: LangSpec) -> None:
         bits = np.random.Generator(np.random.PCG64(spec.seed)).integers(0, 2, (_PLACES, spec.dims), np.int8)
-        self.items = (2 * bits - 1).astype(np.float32)
+        self.items = 2 * bits - 1
         self.place = np.full(_PLACES**3, -1, np.int32)
-        self.rows = np.zeros((0, spec.dims), np.float32)
+        self.rows = np.empty((VECTORS, spec.dims), np.int8)
         self.used = 0
 
     def of(self, codes: np.ndarray) -> np.ndarray:
-        """Row numbers of the codes' vectors in rows. The table starts anew when it holds 20,000 of them."""
-        if self.used > 20_000:
-            self.place[:] = -1
-            self.used = 0
+        """Row numbers of the codes' vectors in rows. The table starts anew when they don't fit."""
+        if len(codes) > VECTORS:
+            raise ValueError("more trigrams at once than vectors are kept")
         new = codes[self.place[codes] < 0]
+        if self.used + len(new) > VECTORS:
+            self.place[:] = -1
+            self.used, new = 0, codes
         if len(new):
             a, b, c = new // _PLACES**2, new // _PLACES % _PLACES, new % _PLACES
-            made = np.roll(self.items[a], 2, 1) * np.roll(self.items[b], 1, 1) * self.items[c]
-            if self.used + len(new) > len(self.rows):
-                self.rows = np.concatenate([self.rows[: self.used], made, np.zeros((1024, made.shape[1]), np.float32)])
-            else:
-                self.rows[self.used : self.used + len(new)] = made
+            self.rows[self.used : self.used + len(new)] = np.roll(self.items[a], 2, 1) * np.roll(self.items[b], 1, 1) * self.items[c]
             self.place[new] = np.arange(self.used, self.used + len(new))
             self.used += len(new)
         return self.place[codes]
 
     def bundle(self, codes: np.ndarray, counts: np.ndarray) -> np.ndarray:
-        at = self.of(codes)
         out = np.zeros(self.items.shape[1], np.float32)
-        for k in range(0, len(at), 4096):
-            out += counts[k : k + 4096].astype(np.float32) @ self.rows[at[k : k + 4096]]
+        for k in range(0, len(codes), 2048):
+            at = self.of(codes[k : k + 2048])
+            out += counts[k : k + 2048].astype(np.float32) @ self.rows[at].astype(np.float32)
         return out
 
 

@@ -41,7 +41,9 @@ class Index:
     def __init__(self, tokens: list[np.ndarray], spec: PackSpec) -> None:
         self.n, self.terms = len(tokens), spec.terms
         lens = np.array([len(t) for t in tokens], np.int64)
-        keys = np.concatenate(tokens).astype(np.uint64) << np.uint64(32) | np.repeat(np.arange(self.n, dtype=np.uint64), lens)
+        keys = np.concatenate(tokens).astype(np.uint64)
+        keys <<= np.uint64(32)
+        keys |= np.repeat(np.arange(self.n, dtype=np.uint32), lens)
         keys.sort()
         first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
         tf = np.diff(np.append(first, len(keys))).astype(np.float64)
