@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -11,6 +13,7 @@ from pyspark.sql import functions as F
 #: Words are runs of digits, letters and all characters beyond ASCII; A-Z count as a-z.
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 RAW_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+RAW_GAP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
 BASE = (("mit license", "mit"), ("apache license", "apache"), ("general public license", "gpl"))
 
 #: Families: label stem, keyword that a text must have, names as patterns over single-spaced words, versions.
@@ -135,8 +138,8 @@ def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     """
     every = rules()
     text = F.coalesce(F.col(text_col), F.lit(""))
-    words = F.coalesce(F.regexp_count(text, F.lit(RAW_WORD)), F.lit(0)).cast("long")
-    hinted = F.rlike(text, F.lit("(?i)" + "|".join(_hints([r.keyword for r in every] + [p for p, _ in BASE]))))
+    words = count_runs(text).cast("long")
+    hinted = _hinted(F.lower(text), every)
     clean = F.trim(F.regexp_replace(lowered(text), NOT_WORD, " "))
     flat = F.when(hinted, F.concat(F.lit(" "), clean, F.lit(" ")))
     rows = docs.select(F.col(id_col).alias("id"), words.alias("n_words"), flat.alias("flat"))
@@ -164,11 +167,29 @@ def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 _HITS = "array<struct<label:string,rule:string,start:int,end:int,priority:int,confidence:double>>"
 
 
-def _hints(keywords: list[str]) -> list[str]:
-    """Patterns of which each keyword has one: its longest word, whole where that is short; none that holds another."""
-    longest = {max(k.split(" "), key=len) for k in keywords}
-    own = [w for w in sorted(longest) if not any(v != w and v in w and len(v) > 3 for v in longest)]
-    return [w if len(w) > 3 else f"(?<![a-z]){w}(?![a-z])" for w in own]
+def count_runs(text: Column) -> Column:
+    """How many words a text has: each is replaced, with what parts it from the next, by one letter.
+
+    A text without a word stays as it is, and then can't begin with that letter.
+    """
+    marks = F.regexp_replace(text, F.lit(f"{RAW_GAP}*{RAW_WORD}{RAW_GAP}*"), F.lit("x"))
+    return F.when(F.startswith(marks, F.lit("x")), F.length(marks)).otherwise(0)
+
+
+def hint_of(rule: Rule) -> str:
+    """A literal that every match has: the stem of `licence` where the pattern can't do without, else a word of the keyword."""
+    needed, before = rule.pattern, ""
+    while needed != before:  # optional groups and groups of alternatives, from the inside out
+        needed, before = re.sub(r"\(\?:[^()]*\)\?|\(\?:[^()]*\|[^()]*\)|\(\?![^()]*\)", " ", needed), needed
+    return "licen" if "licen" in needed else max(rule.keyword.split(" "), key=len)
+
+
+def _hinted(low: Column, every: list[Rule]) -> Column:
+    """Whether a lower-cased text may hold a match; short words count only where they stand alone."""
+    found = {hint_of(r) for r in every} | {"license"}
+    own = sorted(w for w in found if not any(v != w and v in w for v in found if len(v) > 2))
+    tests = [F.contains(low, F.lit(w)) if len(w) > 2 else F.rlike(low, F.lit(f"(?<![a-z0-9]){w}(?![a-z0-9])")) for w in sorted(own, key=len, reverse=True)]
+    return reduce(lambda a, b: a | b, tests)
 
 
 def _places(tokens: Column, phrase: str) -> Column:
