@@ -1,4 +1,4 @@
-"""Packing documents into training windows with lexical neighbours, found by a BM25 index in shards."""
+"""Packing documents into training windows with lexical neighbours, found by BM25 in shards of like documents."""
 
 from __future__ import annotations
 
@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import ship, tidied
+from histreplay.llm.common import range_bounds, ship, stored, tidied
 from histreplay.llm.tokenise import CACHE_PIECES, encoded, encoder
 
 
@@ -29,59 +29,79 @@ class PackSpec:
     window: int = 4096
     end_id: int = 2
     shard_bytes: int = 8 << 20
-    terms: int = 12
+    terms: int | None = 12
     k1: float = 1.2
     b: float = 0.75
     cache_pieces: int = CACHE_PIECES
 
 
+@dataclass(frozen=True)
+class Corpus:
+    """What BM25 takes from all documents: their number, mean length in tokens, and how many of them hold each token id."""
+
+    n: int
+    mean: float
+    df: np.ndarray
+
+
 class Index:
-    """A BM25 inverted index over the token ids of one shard's documents."""
+    """A BM25 index over the token ids of one shard's documents, with the statistics of the corpus, or else the shard's own."""
 
-    def __init__(self, tokens: list[np.ndarray], spec: PackSpec) -> None:
+    def __init__(self, tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None = None) -> None:
         self.n, self.terms = len(tokens), spec.terms
         lens = np.array([len(t) for t in tokens], np.int64)
-        keys = np.concatenate(tokens).astype(np.uint64)
-        keys <<= np.uint64(32)
-        keys |= np.repeat(np.arange(self.n, dtype=np.uint32), lens)
+        keys = np.repeat(np.arange(self.n, dtype=np.uint64) << np.uint64(32), lens)
+        keys |= np.concatenate(tokens)
         keys.sort()
         first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-        tf = np.diff(np.append(first, len(keys))).astype(np.float64)
+        tf = np.diff(np.append(first, len(keys))).astype(np.float32)
         keys = keys[first]
-        term, self.doc = (keys >> np.uint64(32)).astype(np.int64), (keys & np.uint64(0xFFFFFFFF)).astype(np.int64)
-        start = np.flatnonzero(np.concatenate([[True], term[1:] != term[:-1]]))
-        self.start = np.append(start, len(term))
-        df = np.diff(self.start)
-        self.idf = np.log1p((self.n - df + 0.5) / (df + 0.5))
-        rank = np.repeat(np.arange(len(start)), df)
-        norm = spec.k1 * (1 - spec.b + spec.b * lens / max(1.0, lens.mean()))
-        self.weight = self.idf[rank] * tf * (spec.k1 + 1) / (tf + norm[self.doc])
-        # A document's query terms: its weightiest ones that another document has too.
-        shared = np.flatnonzero(df[rank] > 1)
-        order = shared[np.lexsort((rank[shared], -self.weight[shared], self.doc[shared]))]
-        at = np.searchsorted(self.doc[order], np.arange(self.n + 1))
-        self.queries = [rank[order[at[d] : min(at[d + 1], at[d] + spec.terms)]] for d in range(self.n)]
+        doc = (keys >> np.uint64(32)).astype(np.int32)
+        ids, self.rank, self.held = np.unique((keys & np.uint64(0xFFFFFFFF)).astype(np.uint32), return_inverse=True, return_counts=True)
+        self.rank = self.rank.astype(np.int32)
+        n, mean, df = (self.n, lens.mean(), self.held) if corpus is None else (corpus.n, corpus.mean, corpus.df[ids])
+        idf = np.log1p((n - df + 0.5) / (df + 0.5)).astype(np.float32)
+        norm = (spec.k1 * (1 - spec.b + spec.b * lens / max(1.0, mean))).astype(np.float32)
+        self.weight = idf[self.rank] * tf * np.float32(spec.k1 + 1) / (tf + norm[doc])
+        self.start = np.append(np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]])), len(doc))
+        # The postings of documents that may still be found, document by document.
+        self.live = (np.arange(self.n), self.rank, self.weight, self.start[:-1])
+
+    def query(self, seed: int) -> np.ndarray:
+        """A document's terms that another document of the shard has too; with spec.terms the weightiest of them."""
+        own = slice(self.start[seed], self.start[seed + 1])
+        rank, weight = self.rank[own], self.weight[own]
+        shared = self.held[rank] > 1
+        rank, weight = rank[shared], weight[shared]
+        return rank if self.terms is None else rank[np.lexsort((rank, -weight))[: self.terms]]
 
     def neighbours(self, seed: int, unused: np.ndarray) -> np.ndarray:
-        """Unused documents that share a query term, best first; ties by place."""
-        terms = self.queries[seed]
-        if not len(terms):
-            return terms
-        spans = [slice(self.start[t], self.start[t + 1]) for t in terms]
-        score = np.bincount(np.concatenate([self.doc[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.n)
-        score[~unused] = 0
+        """Unused documents that share a query term, best first; ties by place. What is used once stays so."""
+        asked = np.zeros(len(self.held), np.float32)
+        asked[self.query(seed)] = 1
+        docs, rank, weight, start = self.live
+        if 4 * np.count_nonzero(unused[docs]) < 3 * len(docs):
+            kept = unused[docs]
+            lens = np.diff(np.append(start, len(rank)))
+            own = np.repeat(kept, lens)
+            lens = lens[kept]
+            self.live = docs, rank, weight, start = docs[kept], rank[own], weight[own], np.cumsum(lens) - lens
+        if not len(docs):
+            return docs
+        score = np.add.reduceat(weight * asked[rank], start)
+        score[~unused[docs]] = 0
         found = np.flatnonzero(score)
-        return found[np.argsort(-score[found], kind="stable")]
+        return docs[found[np.argsort(-score[found], kind="stable")]]
 
 
-def fill_windows(tokens: list[np.ndarray], spec: PackSpec) -> Iterator[tuple[int, int, int, int, int]]:
+def fill_windows(tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None = None) -> Iterator[tuple[int, int, int, int, int]]:
     """(sequence, offset, document, start, length) of each piece. All windows but the last are full.
 
     A window starts with what the last one has cut off, or with the first unused document as its seed; the seed's
     unused neighbours follow, best first, then unused documents in order. What doesn't fit is cut and goes on in the
     next window as its seed.
     """
-    n, index = len(tokens), Index(tokens, spec)
+    n, index = len(tokens), Index(tokens, spec, corpus)
     unused, ahead = np.ones(n, bool), 0
     sequence = offset = 0
     doc, at, queue = -1, 0, iter(())
@@ -106,32 +126,131 @@ def fill_windows(tokens: list[np.ndarray], spec: PackSpec) -> Iterator[tuple[int
             sequence, offset, queue = sequence + 1, 0, iter(())
 
 
+def tokenised(docs: DataFrame, vocabulary: str, kind: str, spec: PackSpec, id_col: str, text_col: str) -> DataFrame:
+    """(id, n, wide, data): token ids with the end id, as little-endian integers of two bytes, or four where wide; stored."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tok = encoder(vocabulary, kind, spec.cache_pieces)
+        end = np.array([spec.end_id], "<u4").tobytes()
+        out: list[tuple] = []
+        for batch in batches:
+            for name, data in encoded(batch, tok, (0,), 1):
+                t = np.frombuffer(data + end, "<u4")
+                wide = bool(t.max() > 0xFFFF)
+                out.append((name, len(t), wide, (t if wide else t.astype("<u2")).tobytes()))
+                if len(out) == PIECES:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], list(names))
+                    out = []
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], list(names))
+
+    names, kinds = ("id", "n", "wide", "data"), (pa.int64(), pa.int64(), pa.bool_(), pa.binary())
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    return stored(rows.mapInArrow(tidied(run), "id long, n long, wide boolean, data binary"), "tokens")
+
+
+def ids_of(data: bytes, wide: bool) -> np.ndarray:
+    return np.frombuffer(data, "<u4" if wide else "<u2")
+
+
+def counted(tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct token ids and their counts."""
+    own = np.sort(tokens, kind="stable")
+    first = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
+    return own[first], np.diff(np.append(first, len(own)))
+
+
+def corpus_of(coded: DataFrame) -> Corpus:
+    """The statistics over all rows; the driver gets a row for each token id in use."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        df = np.zeros(1 << 16, np.int64)
+        for batch in batches:
+            for wide, data in zip(batch.column(0).to_pylist(), batch.column(1)):
+                terms, _ = counted(ids_of(data.as_py(), wide))
+                if terms[-1] >= len(df):
+                    df = np.append(df, np.zeros(int(terms[-1]) + 1 - len(df), np.int64))
+                df[terms] += 1
+        held = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array(held, pa.int64()), pa.array(df[held], pa.int64())], ["term", "df"])
+
+    size = coded.agg(F.count("*").alias("n"), F.sum("n").alias("tokens")).first()
+    found = coded.select("wide", "data").mapInArrow(tidied(run), "term long, df long").groupBy("term").agg(F.sum("df").alias("df")).collect()
+    df = np.zeros(1 + max((r["term"] for r in found), default=0), np.int64)
+    for r in found:
+        df[r["term"]] = r["df"]
+    return Corpus(size["n"], (size["tokens"] or 0) / max(1, size["n"]), df)
+
+
+def place_of(name: int | None, tokens: np.ndarray, corpus: Corpus) -> int:
+    """Where a document stands among all: by its two weightiest terms (count times idf) that others have too, then by a hash."""
+    terms, counts = counted(tokens)
+    df = corpus.df[terms]
+    weight = np.where(df > 1, np.log1p((corpus.n - df + 0.5) / (df + 0.5)) * counts, 0)
+    first = int(weight.argmax())
+    top = int(terms[first])
+    weight[first] = -1
+    return (top & 0xFFFFF) << 43 | (int(terms[weight.argmax()]) & 0xFFFFF) << 23 | zlib.crc32(tokens.tobytes(), zlib.crc32(str(name).encode())) & 0x7FFFFF
+
+
+def shard_cuts(places: DataFrame, shards: int) -> np.ndarray:
+    """Places at which a new shard begins, so that shards have about equal numbers of tokens; a few scalars for each shard reach the driver."""
+    fine = np.array(range_bounds(places, "place", 4 * shards), np.int64)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums = np.zeros(len(fine) + 1, np.int64)
+        for batch in batches:
+            np.add.at(sums, np.searchsorted(fine, batch.column(0).to_numpy()), batch.column(1).to_numpy())
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(sums)), pa.int64()), pa.array(sums, pa.int64())], ["k", "n"])
+
+    sums = np.zeros(len(fine) + 1, np.int64)
+    for r in places.select("place", "n").mapInArrow(run, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
+        sums[r["k"]] = r["n"]
+    shard = np.minimum(shards - 1, (np.cumsum(sums) - sums) * shards // max(1, int(sums.sum())))
+    return fine[shard[1:] > shard[:-1]]
+
+
 def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackSpec = PackSpec(), id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True) -> DataFrame:
     """(id, start, length, ids_crc32, doc_tokens, sequence_id, offset[, ids]), a row for each piece of a document.
 
     ids holds the piece's token ids as little-endian unsigned 32-bit integers.
 
-    A hash of id and text deals the documents to shards of about spec.shard_bytes, whose number grows with the corpus;
-    one shard at a time is in a task's memory, and holds no fewer than one whole document. Each shard's windows are
-    full but for its last. sequence_id is shard * 2^32 + window.
+    All documents are tokenised once and stored; BM25's statistics are those of all of them. Ordered by their weightiest
+    terms, they are cut into shards of about spec.shard_bytes of text, whose number grows with the corpus; one shard at
+    a time is in a task's memory, and holds no fewer than one whole document. Neighbours are looked for within the
+    shard. Each shard's windows are full but for its last. sequence_id is shard * 2^32 + window.
 
     Null texts count as empty: the end id alone. Rows that repeat an id are packed each. Equal rows come in any order,
     which shows in no column. An empty table gives an empty result.
     """
     ship(docs.sparkSession)
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    total = docs.agg(F.sum(F.octet_length(text) + 1)).first()[0] or 0
+    total = docs.agg(F.sum(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))) + 1)).first()[0] or 0
     shards = max(1, -(-int(total) // spec.shard_bytes))
-    shard = F.pmod(F.xxhash64(F.col(id_col), F.crc32(text.cast("binary"))), F.lit(shards)).cast("int")
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("text"), shard.alias("shard"))
-    dealt = rows.repartitionById(shards, "shard").sortWithinPartitions("shard", F.col("id").asc_nulls_first(), "text")
+    coded = tokenised(docs, vocabulary, kind, spec, id_col, text_col)
+    corpus = corpus_of(coded)
+
+    def placed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [place_of(i, ids_of(d.as_py(), w), corpus) for i, w, d in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3))]
+            yield pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), batch.column(1)], ["place", "n"])
+
+    cuts = shard_cuts(stored(coded.mapInArrow(tidied(placed), "place long, n long"), "places"), shards) if shards > 1 else np.zeros(0, np.int64)
+    shards = len(cuts) + 1
+
+    def sharded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [place_of(i, ids_of(d.as_py(), w), corpus) for i, w, d in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3))] if shards > 1 else [0] * batch.num_rows
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array(np.searchsorted(cuts, found), pa.int32())], ["id", "wide", "data", "shard"])
+
+    rows = coded.mapInArrow(tidied(sharded), "id long, wide boolean, data binary, shard int")
+    dealt = rows.repartitionById(shards, "shard").sortWithinPartitions("shard", F.col("id").asc_nulls_first(), "data")
     columns = ("id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset") + (("ids",) if with_ids else ())
 
     def packed(number: int, ids: list, tokens: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         out: list[list] = [[] for _ in columns]
         kinds = [*[pa.int64()] * 7, pa.binary()]
-        for sequence, offset, d, start, length in fill_windows(tokens, spec):
-            piece = tokens[d][start : start + length].tobytes()
+        for sequence, offset, d, start, length in fill_windows(tokens, spec, corpus):
+            piece = tokens[d][start : start + length].astype("<u4").tobytes()
             row = [ids[d], start, length, zlib.crc32(piece), len(tokens[d]), (number << 32) + sequence, offset]
             for column, x in zip(out, [*row, piece] if with_ids else row):
                 column.append(x)
@@ -141,17 +260,15 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
         yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(out, kinds)], list(columns))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok = encoder(vocabulary, kind, spec.cache_pieces)
-        end = np.array([spec.end_id], "<u4").tobytes()
         own, ids, tokens = None, [], []
         for batch in batches:
-            for name, number, data in encoded(batch, tok, (0, 2), 1):
+            for name, wide, data, number in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3).to_pylist()):
                 if number != own:
                     if ids:
                         yield from packed(own, ids, tokens)
                     own, ids, tokens = number, [], []
                 ids.append(name)
-                tokens.append(np.frombuffer(data + end, "<u4"))
+                tokens.append(ids_of(data.as_py(), wide))
         if ids:
             yield from packed(own, ids, tokens)
 

@@ -455,6 +455,39 @@ def test_bm25_by_brute_force():
         assert np.allclose(score[got], score[best])
 
 
+def test_bm25_takes_statistics_of_all_documents(spark):
+    rnd = np.random.default_rng(3)
+    docs = [rnd.integers(0, 40, rnd.integers(5, 60)).astype("<u2") for _ in range(30)]
+    rows = [(k, len(d), False, bytearray(d.tobytes())) for k, d in enumerate(docs)]
+    corpus = packing.corpus_of(spark.createDataFrame(rows, "id long, n long, wide boolean, data binary").repartition(4))
+    assert corpus.n == 30 and math.isclose(corpus.mean, np.mean([len(d) for d in docs]))
+    assert corpus.df.tolist() == [sum(t in d for d in docs) for t in range(len(corpus.df))]
+    spec, part = packing.PackSpec(terms=1000), docs[:6]
+    index, mean = packing.Index(part, spec, corpus), corpus.mean
+    score = np.zeros(6)
+    for t in set(part[0].tolist()):
+        df = corpus.df[t]
+        for k, d in enumerate(part):
+            tf = int((d == t).sum())
+            score[k] += math.log1p((30 - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (1 - 0.75 + 0.75 * len(d) / mean))
+    unused = np.arange(6) > 0
+    got = index.neighbours(0, unused)
+    assert got.tolist() == [k for k in np.argsort(-score, kind="stable") if k and score[k] > 0]
+
+
+def test_packing_deals_like_documents_to_one_shard(spark):
+    rnd = random.Random(4)
+    topics = [[f"{a}{b}" for b in rnd.sample(["ab", "ce", "di", "fo", "gu", "ha", "ji"], 5)] for a in ("stone", "water", "light", "paper")]
+    rows = [(k, " ".join(rnd.choices(topics[k % 4], k=200)), "en", "a") for k in range(80)]
+    size = sum(len(t) + 1 for _, t, *_ in rows)
+    got = packing.pack(table(spark, rows), P.path("word_bpe_49k.json"), spec=packing.PackSpec(window=512, shard_bytes=size // 8)).collect()
+    held = defaultdict(set)
+    for r in got:
+        held[r["sequence_id"] >> 32].add(r["id"] % 4)
+    assert len(held) > 4 and {r["id"] for r in got} == set(range(80))
+    assert sum(len(x) == 1 for x in held.values()) >= len(held) - 3
+
+
 def brute_base(text):
     low = re.sub("[A-Z]", lambda m: m[0].lower(), text)
     w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
