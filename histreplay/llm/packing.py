@@ -21,7 +21,7 @@ PIECES = 256
 
 @dataclass(frozen=True)
 class PackSpec:
-    """window: tokens of a sequence; shard_bytes: text that shares an index, about; terms: of a query, the weightiest;
+    """window: tokens of a sequence; shard_bytes: text that shares an index, about; terms: of a query, the weightiest, or None for all;
 
     cache_pieces: what a Python worker keeps of encoded pieces, about 200 bytes each, also after the operator's end.
     """
@@ -29,7 +29,7 @@ class PackSpec:
     window: int = 4096
     end_id: int = 2
     shard_bytes: int = 8 << 20
-    terms: int | None = 12
+    terms: int | None = None
     k1: float = 1.2
     b: float = 0.75
     cache_pieces: int = CACHE_PIECES

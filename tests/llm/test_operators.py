@@ -455,6 +455,16 @@ def test_bm25_by_brute_force():
         assert np.allclose(score[got], score[best])
 
 
+def test_bm25_of_the_production_spec_has_all_terms():
+    rnd = np.random.default_rng(5)
+    docs = [rnd.integers(0, 80, rnd.integers(40, 120)).astype(np.uint32) for _ in range(30)]
+    full, index = packing.Index(docs, packing.PackSpec(terms=1000)), packing.Index(docs, packing.PackSpec())
+    for seed in range(30):
+        unused = np.arange(30) != seed
+        assert set(index.query(seed)) == {k for k, t in enumerate(sorted(set(np.concatenate(docs).tolist()))) if t in docs[seed] and sum(t in d for d in docs) > 1}
+        assert index.neighbours(seed, unused).tolist() == full.neighbours(seed, unused).tolist()
+
+
 def test_bm25_takes_statistics_of_all_documents(spark):
     rnd = np.random.default_rng(3)
     docs = [rnd.integers(0, 40, rnd.integers(5, 60)).astype("<u2") for _ in range(30)]
