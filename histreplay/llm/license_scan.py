@@ -54,6 +54,8 @@ FAMILIES = (
     ("bsd-4-clause", "bsd", (r"(?:original bsd|bsd 4 clause|4 clause bsd|four clause bsd)(?: licen[sc]e)?",), ()),
     ("bsd", "bsd licen", (r"bsd licen[sc]e",), ()),
 )
+#: Stems whose identifier has other words.
+SPDX_NAMES = {"mspl": "ms pl", "msrl": "ms rl"}
 #: Creative Commons: the short form's words and the long form's.
 CC_PARTS = (("by", "attribution"), ("by-sa", "attribution share ?alike"), ("by-nc", "attribution non ?commercial"), ("by-nd", "attribution no ?deriv(?:ative)?s?(?: works)?"), ("by-nc-sa", "attribution non ?commercial share ?alike"), ("by-nc-nd", "attribution non ?commercial no ?deriv(?:ative)?s?(?: works)?"))
 CC_VERSIONS = ("1 0", "2 0", "2 5", "3 0", "4 0")
@@ -78,7 +80,7 @@ PHRASES = (
 
 @dataclass(frozen=True)
 class Rule:
-    """priority: smaller is stronger; confidence: of a detection, 0 to 1. pattern matches whole words."""
+    """priority: smaller is stronger; confidence: of a detection, 0 to 1. pattern matches whole words; each match has the keyword."""
 
     name: str
     label: str
@@ -103,9 +105,11 @@ def rules() -> list[Rule]:
                 add(f"{label}+", keyword, rf"{name}{tail}(?: of the licen[sc]e)? or (?:at your option )?any later version", 1, 1.0)
                 add(label, keyword, rf"{name}{tail}", 2, 0.95)
                 add(label, keyword, rf"version {v} of the {name}", 2, 0.95)
-                add(label, keyword, rf"spdx licen[sc]e identifier {stem} {v}(?! \d)(?: only)?", 0, 1.0)
             add(stem, keyword, rf"(?:licen[sc]ed|released|distributed|available) under (?:the )?(?:terms of the )?{name}", 4, 0.9)
             add(stem, keyword, name, 5, 0.7 if versions else 0.85)
+    for stem, v in dict.fromkeys((f[0], v) for f in FAMILIES for v in (*f[3], "")):
+        words = f"{SPDX_NAMES.get(stem, stem.replace('-', ' '))} {v}".strip()
+        add(f"{stem}-{v.replace(' ', '.')}" if v else stem, "spdx licen", rf"spdx licen[sc]e identifier {words}(?! \d)(?: only)?", 0, 1.0)
     for short, long in CC_PARTS:
         words = short.replace("-", " ")
         for v in CC_VERSIONS:

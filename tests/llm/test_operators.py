@@ -557,6 +557,38 @@ def test_license_rules_equal_plain_regexes(spark):
         assert {(d["label"], d["rule"], d["start"], d["end"]) for d in got[k]["detections"]} == want
 
 
+def shortest(pattern):
+    """A text that the pattern matches, without what is optional."""
+    out = ""
+    for op, x in pattern:
+        match str(op):
+            case "LITERAL":
+                out += chr(x)
+            case "IN":
+                out += chr(x[0][1])
+            case "ANY":
+                out += "x"
+            case "BRANCH":
+                out += shortest(x[1][0])
+            case "SUBPATTERN":
+                out += shortest(x[3])
+            case "MAX_REPEAT" | "MIN_REPEAT":
+                out += x[0] * shortest(x[2])
+    return out
+
+
+def test_license_gates_let_every_rule_match(spark):
+    every = license_scan.rules()
+    texts = [shortest(re._parser.parse(r.pattern)) for r in every]
+    for r, text in zip(every, texts):
+        assert re.fullmatch(r.pattern, text) and r.keyword in text, r
+    headers = [(k, f"// {t}", r.label) for k, (r, t) in enumerate(zip(every, texts)) if "spdx" in r.pattern]
+    headers += [(9001, "SPDX-License-Identifier: MIT", "mit"), (9002, "SPDX-License-Identifier: MPL-2.0", "mpl-2.0"), (9003, "SPDX-License-Identifier: BSD-3-Clause", "bsd-3-clause")]
+    got = {r["id"]: r["labels"] for r in license_scan.scan_licenses(table(spark, [(k, t, "en", "a") for k, t, _ in headers])).collect()}
+    for k, text, label in headers:
+        assert label in got[k].split(","), (text, got[k])
+
+
 @pytest.mark.parametrize("name", sorted(queries()))
 def test_queries_cover_the_table(spark, name):
     found = queries()[name](spark, SF)
