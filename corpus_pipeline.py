@@ -30,8 +30,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of documents in training windows, with their token ids. Small caches and shards: stages share the workers."""
-    return packing.pack(docs, vocabulary("word_bpe_49k.json"), spec=packing.PackSpec(shard_bytes=4 << 20, cache_pieces=50_000)).withColumnRenamed("id", "doc_id")
+    """Pieces of documents in training windows, with their token ids. Small caches: stages share the workers."""
+    return packing.pack(docs, vocabulary("word_bpe_49k.json"), spec=packing.PackSpec(cache_pieces=50_000)).withColumnRenamed("id", "doc_id")
 
 
 STAGES = [

@@ -62,3 +62,11 @@ def test_empty(spark, rows):
     docs = frame(spark, rows).limit(0)
     for name, _ in corpus_pipeline.STAGES:
         assert stage(spark, name, docs).count() == 0
+
+
+def test_pack_stage_has_the_shards_of_op9(spark, rows, monkeypatch):
+    seen = []
+    monkeypatch.setattr(corpus_pipeline.packing, "pack", lambda docs, *a, spec, **k: seen.append(spec) or docs.withColumnRenamed("doc_id", "id"))
+    stage(spark, "pack", frame(spark, rows))
+    own = corpus_pipeline.packing.PackSpec()
+    assert (seen[0].shard_bytes, seen[0].terms, seen[0].window) == (own.shard_bytes, own.terms, own.window)
