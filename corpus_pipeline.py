@@ -10,7 +10,7 @@ from histreplay.llm.registry import SOURCE_WEIGHTS, vocabulary
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops texts of which no language can be told: null, or without a letter."""
+    """Drops texts of which no language can be told: null, without a letter, or far below the usual score of their language."""
     return lang_id.keep_identified(docs)
 
 

@@ -136,11 +136,12 @@ def learn(labelled: DataFrame, spec: LangSpec = LangSpec(), text_col: str = "tex
     return found
 
 
-def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec = LangSpec(), text_col: str = "text", names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec = LangSpec(), text_col: str = "text", names: tuple[str, ...] = ("lang_pred", "score")) -> DataFrame:
     """The columns of docs but the text, and the predicted language and its score under the two names.
 
     score is the cosine with the nearest prototype, 0 where it is negative; the smaller name wins a tie. Null texts,
-    texts without a letter, and all texts if nothing was learned, get `und` and 0. Only the text decides.
+    texts without a letter, and all texts if nothing was learned, get `und` and 0. Only the text decides. A third name
+    adds the number of a text's trigrams.
     """
     ship(docs.sparkSession)
     langs = sorted(prototypes)
@@ -151,9 +152,10 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Memory(spec)
         for batch in batches:
-            found, scores = [], []
+            found, scores, sizes = [], [], []
             for text in batch.column(batch.num_columns - 1):
                 codes, counts = trigrams(text.as_py() or "")
+                sizes.append(int(counts.sum()))
                 if not len(codes) or not langs:
                     found.append(UNKNOWN)
                     scores.append(0.0)
@@ -163,9 +165,10 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], spec: LangSpec =
                 k = int(cosine.argmax())
                 found.append(langs[k])
                 scores.append(min(1.0, max(0.0, float(cosine[k]))))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, pa.string()), pa.array(scores, pa.float64())], columns)
+            own_columns = [pa.array(found, pa.string()), pa.array(scores, pa.float64()), pa.array(sizes, pa.int64())]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *own_columns[: len(names)]], columns)
 
-    kinds = T.StructType([*rest, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
+    kinds = T.StructType([*rest, *[T.StructField(n, k) for n, k in zip(names, (T.StringType(), T.DoubleType(), T.LongType()))]])
     return docs.select(*[F.col(f.name) for f in rest], text_col).mapInArrow(tidied(run), kinds)
 
 
@@ -181,14 +184,35 @@ def identify(docs: DataFrame, spec: LangSpec = LangSpec(), id_col: str = "doc_id
     return predict(rows, prototypes, spec).select("id", "held_out", "lang_pred", "score")
 
 
+#: The share of the usual score of its language and size that a text must have, and how many texts tell what is usual.
+USUAL_SHARE = 0.5
+USUAL_TEXTS = 20
+
+
 def keep_identified(docs: DataFrame, spec: LangSpec = LangSpec(), least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """The documents with an identified language and a score of `least` or more; all columns stay.
 
-    Texts alone decide, so what is rejected is written as the texts' ids, sizes and hashes, and taken out by those.
+    A text must also reach USUAL_SHARE of the median score that the labelled texts of its predicted language have, those
+    with as many trigrams up to a power of two. Where USUAL_TEXTS of them are lacking, the next smaller size counts;
+    without any, the text stays. If nothing was learned, all texts with a letter stay.
+
+    Texts alone decide, so what is rejected is written as the texts' ids, sizes and hashes, and taken out by those. At
+    most some tens of numbers for each language reach the driver.
     """
     prototypes = learn(docs.filter(~held_out(id_col)), spec, text_col, lang_col)
     text = F.coalesce(F.col(text_col), F.lit(""))
     keys = {"__id": F.col(id_col), "__bytes": F.octet_length(text), "__hash": F.xxhash64(text)}
-    found = predict(docs.select(*[c.alias(k) for k, c in keys.items()], F.col(text_col).alias("text")), prototypes, spec)
-    gone = stored(found.filter((F.col("lang_pred") == UNKNOWN) | (F.col("score") < least)).select(*keys).distinct(), "unidentified")
+    own = ~held_out(id_col) & F.col(lang_col).isNotNull()
+    rows = docs.select(*[c.alias(k) for k, c in keys.items()], own.alias("__own"), F.col(lang_col).alias("__lang"), F.col(text_col).alias("text"))
+    found = stored(predict(rows, prototypes, spec, names=("lang_pred", "score", "grams")).withColumn("level", F.floor(F.log2(F.greatest("grams", F.lit(1)))).cast("int")), "languages")
+    usual: dict[str, dict[int, float]] = {}
+    labelled = found.filter((F.col("__own")) & (F.col("__lang") == F.col("lang_pred")))
+    for r in labelled.groupBy("lang_pred", "level").agg(F.count("*").alias("n"), F.percentile_approx("score", 0.5).alias("mid")).collect():
+        if r["n"] >= USUAL_TEXTS:
+            usual.setdefault(r["lang_pred"], {})[r["level"]] = r["mid"]
+    bounds = [(lang, level, max(least, USUAL_SHARE * mid[max(k for k in mid if k <= level)])) for lang, mid in usual.items() for level in range(min(mid), 64)]
+    table = docs.sparkSession.createDataFrame(bounds, "lang_pred string, level int, bound double")
+    judged = found.join(F.broadcast(table), ["lang_pred", "level"], "left")
+    low = (F.col("lang_pred") != UNKNOWN) & (F.col("score") < F.coalesce("bound", F.lit(least)))
+    gone = stored(judged.filter((F.col("grams") == 0) | low).select(*keys).distinct(), "unidentified")
     return by_ids(docs.withColumns(keys), gone, list(keys), "left_anti").select(*docs.columns)

@@ -64,6 +64,19 @@ def test_empty(spark, rows):
         assert stage(spark, name, docs).count() == 0
 
 
+def test_language_stage_rejects_letter_junk(spark):
+    rnd = random.Random(12)
+    vocab = ["".join(rnd.choices("abcdefghij", k=rnd.randint(2, 7))) for _ in range(400)]
+    clean = [(k, " ".join(rnd.choices(vocab, k=rnd.randint(60, 120))), "en", "s0") for k in range(200)]
+    junk = [(1000 + k, " ".join("".join(rnd.choices("klmnopqrstuvwxyz", k=rnd.randint(2, 9))) for _ in range(90)), None, "s0") for k in range(20)]
+    assert {r["doc_id"] for r in stage(spark, "language_id", frame(spark, clean + junk)).collect()} == {r[0] for r in clean}
+
+
+def test_language_stage_keeps_letters_when_nothing_is_learned(spark):
+    rows = [(k, f"some text {k}", None, "s0") for k in range(20)] + [(99, "123", None, "s0")]
+    assert {r["doc_id"] for r in stage(spark, "language_id", frame(spark, rows)).collect()} == set(range(20))
+
+
 def test_pack_stage_has_the_shards_of_op9(spark, rows, monkeypatch):
     seen = []
     monkeypatch.setattr(corpus_pipeline.packing, "pack", lambda docs, *a, spec, **k: seen.append(spec) or docs.withColumnRenamed("doc_id", "id"))
