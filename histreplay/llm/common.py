@@ -26,11 +26,13 @@ _written: list[str] = []
 
 
 def scratch(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a local one where that is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir; where that is unset, a local one in local mode only."""
     global _local_scratch
     base = spark.conf.get("spark.checkpoint.dir", None)
     if base:
         return base.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir is unset: the executors share no folder with the driver")
     if _local_scratch is None:
         _local_scratch = f"file://{tempfile.mkdtemp(prefix='histreplay-')}"
     return _local_scratch
@@ -57,13 +59,34 @@ def stored(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def release(spark: SparkSession) -> int:
-    """Deletes the tables that stored() has written in this process; for callers who have written their results."""
-    n = len(_written)
-    while _written:
-        path = spark._jvm.org.apache.hadoop.fs.Path(_written.pop())
+def written() -> int:
+    """How many tables stored() has written in this process and release() has not deleted."""
+    return len(_written)
+
+
+def release(spark: SparkSession, since: int = 0, keep: int = 0) -> int:
+    """Deletes the tables that stored() has written in this process, but for the first `since` and the last `keep`.
+
+    For callers who have written their results.
+    """
+    gone = _written[since : len(_written) - keep]
+    del _written[since : len(_written) - keep]
+    for name in gone:
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-    return n
+    return len(gone)
+
+
+def unused(columns: Sequence[str], *names: str) -> list[str]:
+    """The names, each with as many underscores added as make it differ from all columns (in any case of letters)."""
+    taken = {c.lower() for c in columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def ship(spark: SparkSession) -> None:
@@ -146,13 +169,15 @@ def with_prefix_sums(df: DataFrame, group: list[str], bucket: str, order: list[C
     return local.join(base, same).select(*df.columns, *[(F.col(f"__l_{c}") + F.col(f"__b_{c}")).alias(name) for c, name in sums.items()])
 
 
-def join_groups(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str) -> DataFrame:
+def join_groups(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str, fixed: bool = False) -> DataFrame:
     """Left-joins rows with a table that has one row for each key; keys are not null, `weight` counts the key's rows.
 
     Hot keys (a share of HOT_SHARE or more, so at most 1 / HOT_SHARE of them) are broadcast, and their rows are dealt
     out at random in the shuffle join that serves the others. The cold side's salt is 0, written so that the optimiser
-    can't fold it and drop it from the join's keys.
+    can't fold it and drop it from the join's keys. Three passes read the groups, which are written first unless they are `fixed`:
+    a written table already.
     """
+    groups = groups if fixed else stored(groups, "groups")
     total = groups.agg(F.sum(weight)).first()[0] or 0
     value_cols = [c for c in groups.columns if c not in keys]
     least = max(2, int(total * HOT_SHARE))

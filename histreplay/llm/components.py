@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import stored
+from histreplay.llm.common import join_groups, stored
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -13,15 +13,16 @@ def components(links: DataFrame) -> DataFrame:
 
     Alternates two steps until the links are stars: each node hands its larger neighbours to its smallest neighbour,
     then each node hands its smaller ones to the smallest. The number of links never grows and the number of rounds
-    is logarithmic in practice; a node's neighbours are never gathered in one row, only their minimum is.
+    is logarithmic in practice; a node's neighbours are never gathered in one row, only their minimum is, and the links
+    of a node with very many are dealt over all tasks.
     """
     links = stored(links.filter("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct(), "links")
     while True:
         both = links.select(F.col("hi").alias("u"), F.col("lo").alias("v")).union(links.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n"))
+        least = stored(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n")), "least")
         large = _handed(both.filter("v > u"), least)
         large = stored(large, "links")
-        least = large.groupBy(F.col("hi").alias("u")).agg(F.min("lo").alias("m"), F.count("*").alias("n"))
+        least = stored(large.groupBy(F.col("hi").alias("u")).agg(F.min("lo").alias("m"), F.count("*").alias("n")), "least")
         small = large.select(F.col("hi").alias("u"), F.col("lo").alias("v"))
         small = stored(_handed(small, least).union(least.select(F.col("u").alias("hi"), F.col("m").alias("lo"))).distinct(), "links")
         parents, children = small.select(F.col("hi").alias("id")), small.select(F.col("lo").alias("id")).distinct()
@@ -35,4 +36,4 @@ def components(links: DataFrame) -> DataFrame:
 
 def _handed(pairs: DataFrame, least: DataFrame) -> DataFrame:
     """Links from v to the smallest neighbour of u for each pair (u, v)."""
-    return pairs.join(least.select("u", "m"), "u").filter("v <> m").select(F.greatest("v", "m").alias("hi"), F.least("v", "m").alias("lo")).distinct()
+    return join_groups(pairs, least, ["u"], "n", fixed=True).filter("v <> m").select(F.greatest("v", "m").alias("hi"), F.least("v", "m").alias("lo")).distinct()

@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import by_ids, ship, small_batches, stored, tidied
+from histreplay.llm.common import by_ids, ship, small_batches, stored, tidied, unused
 from histreplay.llm.textbytes import mix
 
 #: Latin letters up to U+024F and the space have places in a table; any other letter is folded into the places after.
@@ -34,7 +34,6 @@ class LangSpec:
     dims: int = 1024
     seed: int = 5
     languages: int = 1000
-    slice_chars: int = 1 << 19
 
 
 def _letter_places() -> np.ndarray:
@@ -201,7 +200,7 @@ def keep_identified(docs: DataFrame, spec: LangSpec = LangSpec(), least: float =
     """
     prototypes = learn(docs.filter(~held_out(id_col)), spec, text_col, lang_col)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    keys = {"__id": F.col(id_col), "__bytes": F.octet_length(text), "__hash": F.xxhash64(text)}
+    keys = dict(zip(unused(docs.columns, "id_of", "bytes", "hash"), (F.col(id_col), F.octet_length(text), F.xxhash64(text))))
     own = ~held_out(id_col) & F.col(lang_col).isNotNull()
     rows = docs.select(*[c.alias(k) for k, c in keys.items()], own.alias("__own"), F.col(lang_col).alias("__lang"), F.col(text_col).alias("text"))
     found = stored(predict(rows, prototypes, spec, names=("lang_pred", "score", "grams")).withColumn("level", F.floor(F.log2(F.greatest("grams", F.lit(1)))).cast("int")), "languages")

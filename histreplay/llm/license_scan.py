@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
+import json
 import re
+from collections.abc import Callable
 from dataclasses import dataclass
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from histreplay.llm.license_texts import SENTENCES
 
 #: Words are runs of digits, letters and all characters beyond ASCII; A-Z count as a-z.
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-RAW_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-RAW_GAP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
+RAW_GAP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 BASE = (("mit license", "mit"), ("apache license", "apache"), ("general public license", "gpl"))
 
 #: Families: label stem, keyword that a text must have, names as patterns over single-spaced words, versions.
@@ -59,23 +61,8 @@ SPDX_NAMES = {"mspl": "ms pl", "msrl": "ms rl"}
 #: Creative Commons: the short form's words and the long form's.
 CC_PARTS = (("by", "attribution"), ("by-sa", "attribution share ?alike"), ("by-nc", "attribution non ?commercial"), ("by-nd", "attribution no ?deriv(?:ative)?s?(?: works)?"), ("by-nc-sa", "attribution non ?commercial share ?alike"), ("by-nc-nd", "attribution non ?commercial no ?deriv(?:ative)?s?(?: works)?"))
 CC_VERSIONS = ("1 0", "2 0", "2 5", "3 0", "4 0")
-#: Sentences of licence texts and notices, as single-spaced words: label, keyword, pattern.
-PHRASES = (
-    ("mit", "permission is hereby granted", r"permission is hereby granted free of charge to any person obtaining a copy of this software"),
-    ("isc", "permission to use copy modify", r"permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted"),
-    ("bsd", "redistribution and use", r"redistribution and use in source and binary forms with or without modification are permitted"),
-    ("bsd-3-clause", "names of its contributors", r"neither the name of .{1,80}? nor the names of its contributors may be used to endorse or promote"),
-    ("bsd-4-clause", "advertising materials", r"all advertising materials mentioning features or use of this software"),
-    ("zlib", "this software is provided", r"this software is provided as is without any express or implied warranty in no event will the authors be held liable"),
-    ("boost", "permission is hereby granted", r"permission is hereby granted free of charge to any person or organization obtaining a copy of the software"),
-    ("public-domain", "public domain", r"(?:released|placed|dedicated) (?:in|into|to) the public domain"),
-    ("unlicense", "unencumbered", r"this is free and unencumbered software released into the public domain"),
-    ("cc0", "cc0", r"cc0(?: 1 0(?: universal)?)?"),
-    ("wtfpl", "want to public", r"do what the (?:fuck|hell) you want to public licen[sc]e"),
-    ("beerware", "beer", r"beer ?ware licen[sc]e"),
-    ("proprietary", "all rights reserved", r"all rights reserved"),
-    ("no-copying", "may not be reproduced", r"may not be reproduced(?: or (?:copied|distributed))? without (?:prior |the )?(?:written )?(?:permission|consent)"),
-)
+#: Labels of weak sentences, which stand in many kinds of text.
+WEAK = ("proprietary", "cc0", "cc", "non-commercial")
 
 
 @dataclass(frozen=True)
@@ -118,8 +105,8 @@ def rules() -> list[Rule]:
             add(f"cc-{short}-{v.replace(' ', '.')}", "creativecommons", rf"creativecommons org licenses {words} {v}", 1, 1.0)
         add(f"cc-{short}", f"cc {words}", rf"(?:licen[sc]ed under |licen[sc]e )cc {words}", 4, 0.8)
         add(f"cc-{short}", "creative commons", rf"creative commons {long}(?: licen[sc]e)?", 5, 0.7)
-    for label, keyword, pattern in PHRASES:
-        add(label, keyword, pattern, 3, 0.9 if label not in ("proprietary", "cc0") else 0.6)
+    for label, keyword, pattern in SENTENCES:
+        add(label, keyword, pattern, 3, 0.6 if label in WEAK else 0.9)
     return out
 
 
@@ -138,54 +125,97 @@ def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     greatest confidence, base detections counting 0.9; 0 without any.
 
     Null and empty texts have no words and no labels. Repeated rows give a row each, an empty table none. Texts
-    without any keyword of a rule are settled by a substring test; nothing is shuffled.
+    without any keyword of a rule are settled by a substring test; nothing is shuffled. Of a text's detections, all are
+    sorted once and passed once.
     """
     every = rules()
     text = F.coalesce(F.col(text_col), F.lit(""))
-    words = count_runs(text).cast("long")
     hinted = _hinted(F.lower(text), every)
     clean = F.trim(F.regexp_replace(lowered(text), NOT_WORD, " "))
     flat = F.when(hinted, F.concat(F.lit(" "), clean, F.lit(" ")))
-    rows = docs.select(F.col(id_col).alias("id"), words.alias("n_words"), flat.alias("flat"))
+    rows = docs.select(F.col(id_col).alias("id"), count_words(text).alias("n_words"), flat.alias("flat"))
     tokens = F.filter(F.split(F.trim("flat"), " "), lambda w: w != "")
     base_hint = F.greatest(*[F.coalesce(F.contains(F.col("flat"), F.lit(f" {p} ")), F.lit(False)) for p, _ in BASE])
-    table = F.array(*[F.struct(*[F.lit(x).alias(n) for n, x in (("rule", r.name), ("label", r.label), ("keyword", r.keyword), ("pattern", rf"(?<= )(?:{r.pattern})(?= )"), ("priority", r.priority), ("confidence", r.confidence))]) for r in every])
-    gated = F.filter(table, lambda r: F.contains(F.col("flat"), r["keyword"]))
-    found = rows.withColumn("tokens", F.when(base_hint, tokens)).withColumn("hits", F.when(F.col("flat").isNotNull(), F.flatten(F.transform(gated, lambda r: _intervals(F.col("flat"), r)))))
+    gated = F.flatten(F.transform(F.filter(_table(every), lambda g: F.contains(F.col("flat"), g["keyword"])), lambda g: g["rules"]))
+    hits = F.sort_array(F.flatten(F.transform(gated, lambda r: _intervals(F.col("flat"), r))))
+    found = rows.withColumns({"tokens": F.when(base_hint, tokens), "hits": F.when(F.col("flat").isNotNull(), hits)})
     starts = [_places(F.col("tokens"), p) for p, _ in BASE]
     places = F.array_sort(F.flatten(F.array(*[F.when(F.coalesce(F.size("tokens"), F.lit(0)) > 0, s).otherwise(F.array().cast("array<int>")) for s in starts])))
     named = F.array(*[F.when(F.contains(F.col("flat"), F.lit(f" {p} ")), F.lit(label)) for p, label in BASE])
-    found = found.withColumns({"places": places, "named": F.array_sort(F.array_distinct(F.array_compact(named)))})
-    strong = F.filter("hits", lambda d: ~F.exists("hits", lambda e: _suppresses(e, d)))
-    found = found.withColumn("detections", F.array_sort(F.array_distinct(F.coalesce(strong, F.array().cast(_HITS))), lambda x, y: F.when(x["start"] != y["start"], x["start"] - y["start"]).when(x["end"] != y["end"], x["end"] - y["end"]).otherwise(F.when(x["rule"] < y["rule"], -1).when(x["rule"] > y["rule"], 1).otherwise(0))))
+    found = found.withColumns({"places": places, "named": F.array_sort(F.array_distinct(F.array_compact(named))), "detections": _outer(F.coalesce("hits", F.array().cast(_HITS)))})
     labels = F.array_sort(F.array_distinct(F.concat("named", F.transform("detections", lambda d: d["label"]))))
     score = F.greatest(F.coalesce(F.array_max(F.transform("detections", lambda d: d["confidence"])), F.lit(0.0)), F.when(F.size("named") > 0, 0.9).otherwise(0.0))
+    shown = F.transform("detections", lambda d: F.struct(d["label"].alias("label"), d["rule"].alias("rule"), d["start"].alias("start"), (-d["back"]).alias("end"), d["priority"].alias("priority"), d["confidence"].alias("confidence")))
     return found.select(
         "id", "n_words", F.size("places").cast("long").alias("n_base"),
         F.when(F.size("places") > 0, F.array_min("places")).cast("long").alias("first_word"),
         F.when(F.size("places") > 0, F.array_max("places")).cast("long").alias("last_word"),
-        F.array_join("named", ",").alias("base_labels"), F.array_join(labels, ",").alias("labels"), score.alias("score"), "detections",
+        F.array_join("named", ",").alias("base_labels"), F.array_join(labels, ",").alias("labels"), score.alias("score"), shown.alias("detections"),
     )
 
 
-_HITS = "array<struct<label:string,rule:string,start:int,end:int,priority:int,confidence:double>>"
+#: A detection; its natural order is by start, longer first, stronger first, then by rule. back is the end's negative.
+_HITS = "array<struct<start:int,back:int,priority:int,rule:string,label:string,confidence:double>>"
+#: What marks a match's begin and end; neither occurs in joined words.
+_BEGIN, _END = "\x01", "\x02"
+
+
+def count_words(text: Column) -> Column:
+    return F.size(F.array_remove(F.split(text, RAW_GAP), "")).cast("long")
+
+
+def _table(every: list[Rule]) -> Column:
+    """The rules by keyword, as one constant: read from JSON while the query is planned."""
+    groups: dict[str, list[dict]] = {}
+    for r in every:
+        groups.setdefault(r.keyword, []).append({"rule": r.name, "label": r.label, "pattern": rf"(?<= )(?:{r.pattern})(?= )", "priority": r.priority, "confidence": r.confidence})
+    kind = "array<struct<keyword:string,rules:array<struct<rule:string,label:string,pattern:string,priority:int,confidence:double>>>>"
+    return F.from_json(F.lit(json.dumps([{"keyword": k, "rules": own} for k, own in groups.items()])), kind)
+
+
+def _folded(items: Column, first: Column, step: Callable[[Column, Column], tuple[Column, Column]]) -> Column:
+    """What a pass over an array hands out: step(state, item) gives the next state and an array of hits.
+
+    Arrays grow by copying, so the pass goes by blocks of about the root of the length: n ** 1.5 copies and not n ** 2.
+    """
+    none = F.array().cast(_HITS)
+    width = F.ceil(F.sqrt(F.size(items))).cast("int")
+    blocks = F.transform(F.sequence(F.lit(0), F.ceil(F.size(items) / width).cast("int") - 1), lambda b: F.slice(items, b * width + 1, width))
+
+    def one(s: Column, x: Column) -> Column:
+        state, out = step(s["state"], x)
+        return F.struct(state.alias("state"), F.concat(s["out"], out).alias("out"))
+
+    def block(s: Column, xs: Column) -> Column:
+        inner = F.aggregate(xs, F.struct(s["state"].alias("state"), none.alias("out")), one)
+        return F.transform(F.array(inner), lambda i: F.struct(i["state"].alias("state"), F.array_append(s["out"], i["out"]).alias("out")))[0]
+
+    start = F.struct(first.alias("state"), F.array().cast(f"array<{_HITS}>").alias("out"))
+    return F.when(F.size(items) > 0, F.aggregate(blocks, start, block, lambda s: F.flatten(s["out"]))).otherwise(none)
 
 
-def count_runs(text: Column) -> Column:
-    """How many words a text has: each is replaced, with what parts it from the next, by one letter.
+def _outer(hits: Column) -> Column:
+    """Sorted hits without those inside another one of the same or a stronger priority.
 
-    A text without a word stays as it is, and then can't begin with that letter.
+    What holds a hit comes before it. The state has for each priority the furthest end of the hits of it or a stronger.
     """
-    marks = F.regexp_replace(text, F.lit(f"{RAW_GAP}*{RAW_WORD}{RAW_GAP}*"), F.lit("x"))
-    return F.when(F.startswith(marks, F.lit("x")), F.length(marks)).otherwise(0)
+
+    def step(ends: Column, hit: Column) -> tuple[Column, Column]:
+        end = -hit["back"]
+        inside = F.get(ends, hit["priority"]) >= end
+        after = F.transform(ends, lambda x, k: F.when(k >= hit["priority"], F.greatest(x, end)).otherwise(x))
+        return after, F.when(inside, F.array().cast(_HITS)).otherwise(F.array(hit))
+
+    return _folded(hits, F.array(*[F.lit(-1)] * 6), step)
 
 
 def hint_of(rule: Rule) -> str:
-    """A literal that every match has: the stem of `licence` where the pattern can't do without, else a word of the keyword."""
+    """A literal that every match has: the stem of `licence` where the pattern can't do without, else its longest word."""
     needed, before = rule.pattern, ""
     while needed != before:  # optional groups and groups of alternatives, from the inside out
         needed, before = re.sub(r"\(\?:[^()]*\)\?|\(\?:[^()]*\|[^()]*\)|\(\?![^()]*\)", " ", needed), needed
-    return "licen" if "licen" in needed else max(rule.keyword.split(" "), key=len)
+    words = re.findall(r"[^\W_]+", re.sub(r"\w\?|\[[^]]*\]|\{[^}]*\}", " ", needed))
+    return "licen" if "licen" in needed else max([*words, *rule.keyword.split(" ")], key=len)
 
 
 def _hinted(low: Column, every: list[Rule]) -> Column:
@@ -210,23 +240,12 @@ def _stands(tokens: Column, at: Column, words: list[str]) -> Column:
 
 
 def _intervals(text: Column, rule: Column) -> Column:
-    """All matches of the rule with their places, from what lies between the matches."""
-    between = F.split(text, rule["pattern"])
-    match = F.regexp_extract_all(text, rule["pattern"], F.lit(0))
-    first = F.struct(F.lit(0).alias("at"), F.array().cast(_HITS).alias("hits"))
-
-    def step(state: Column, k: Column) -> Column:
-        start = state["at"] + F.length(F.get(between, k))
-        end = start + F.length(F.get(match, k))
-        hit = F.struct(rule["label"].alias("label"), rule["rule"].alias("rule"), start.alias("start"), end.alias("end"), rule["priority"].alias("priority"), rule["confidence"].alias("confidence"))
-        return F.struct(end.alias("at"), F.concat(state["hits"], F.array(hit)).alias("hits"))
-
-    count = F.size(match)
-    return F.when(count > 0, F.aggregate(F.sequence(F.lit(0), count - 1), first, step, lambda s: s["hits"])).otherwise(F.array().cast(_HITS))
-
-
-def _suppresses(e: Column, d: Column) -> Column:
-    holds = (e["start"] <= d["start"]) & (e["end"] >= d["end"])
-    longer = (e["end"] - e["start"]) > (d["end"] - d["start"])
-    stronger = (e["priority"] < d["priority"]) | ((e["priority"] == d["priority"]) & (e["rule"] < d["rule"]))
-    return holds & F.when(longer, e["priority"] <= d["priority"]).otherwise(stronger)
+    """All matches of the rule with their places: each is marked, and the text cut before the marks."""
+    pieces = F.split(F.regexp_replace(text, rule["pattern"], F.lit(f"{_BEGIN}$0{_END}")), _BEGIN)
+
+    def step(at: Column, piece: Column) -> tuple[Column, Column]:
+        length = F.instr(piece, F.lit(_END)) - 1
+        hit = F.struct(at.alias("start"), (-(at + length)).alias("back"), rule["priority"].alias("priority"), rule["rule"].alias("rule"), rule["label"].alias("label"), rule["confidence"].alias("confidence"))
+        return at + F.length(piece) - 1, F.array(hit)
+
+    return F.transform(F.array(pieces), lambda p: F.when(F.size(p) > 1, _folded(F.slice(p, F.lit(2), F.size(p)), F.length(p[0]), step)).otherwise(F.array().cast(_HITS)))[0]

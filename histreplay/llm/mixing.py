@@ -9,13 +9,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import BROADCAST_ROWS, bucket_of, range_bounds, shuffle_width, stored, with_prefix_sums
+from histreplay.llm.common import BROADCAST_ROWS, bucket_of, range_bounds, shuffle_width, stored, unused, with_prefix_sums
 
 WORD = r"[^\x20\x09-\x0D]+"
 
 
 def n_words(text: Column) -> Column:
-    return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
+    return F.coalesce(F.size(F.array_remove(F.split(text, r"[\x20\x09-\x0D]+"), "")), F.lit(0)).cast("long")
 
 
 def quality_weight(text: Column, size: Column) -> Column:
@@ -53,13 +53,13 @@ def targets(sizes: dict[str | None, int], weights: dict[str | None, float], tota
 
 
 def mix(docs: DataFrame, weights: Sequence[float] | dict, most: float = 3.0, share: float = 1.0, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weight: Column | None = None, seed: int = 11) -> DataFrame:
-    """(id, source, size, source_size, target, epochs, part, taken, key), a row for each document.
+    """(id, source, size, source_size, target, epochs, part, taken, key, text_hash), a row for each document.
 
     size counts words. Each source's target is its share by weight of `share` of all words, at most `most` times the
     source's own. All of a source is taken target / source_size times, rounded down (epochs); the rest of the budget
     goes to documents in the order of exponential keys, -ln(u) / quality weight, summed up by size: part is what the
     last pass takes of a document, the whole or nothing, or its leading words for the one document where the budget
-    ends. taken = epochs * size + part. u is a hash of id and seed, so that reruns agree; ties go by size, then text.
+    ends. taken = epochs * size + part. u is a hash of id and seed, so that reruns agree; ties go by size, then a hash of the text.
 
     One row for each source reaches the driver, so sources are the components of a mixture, not keys of documents.
     Null texts have size 0 and are never taken; null is a source of its own, last in order; rows that repeat an id
@@ -68,7 +68,7 @@ def mix(docs: DataFrame, weights: Sequence[float] | dict, most: float = 3.0, sha
     size = n_words(F.col(text_col))
     w = quality_weight(F.col(text_col), size) if weight is None else weight
     key = -F.ln(uniform(F.col(id_col), seed=seed)) / w
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(source_col).cast("string").alias("source"), size.alias("size"), key.alias("key"), F.crc32(F.coalesce(F.col(text_col), F.lit("")).cast("binary")).alias("crc"))
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(source_col).cast("string").alias("source"), size.alias("size"), key.alias("key"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text_hash"))
     rows = stored(rows, "keys")
     sizes = {r["source"]: int(r["n"] or 0) for r in rows.groupBy("source").agg(F.sum("size").alias("n")).collect()}
     weights = weights if isinstance(weights, dict) else weights_in_order(list(sizes), weights)
@@ -81,10 +81,10 @@ def mix(docs: DataFrame, weights: Sequence[float] | dict, most: float = 3.0, sha
     table = rows.sparkSession.createDataFrame(plan, kind)
     bounds = range_bounds(rows, "key", shuffle_width(rows.sparkSession))
     placed = rows.withColumn("bucket", bucket_of(F.col("key"), bounds))
-    summed = with_prefix_sums(placed, ["source"], "bucket", [F.col("key"), F.col("id"), F.col("size"), F.col("crc")], {"size": "before"})
+    summed = with_prefix_sums(placed, ["source"], "bucket", [F.col("key"), F.col("id"), F.col("size"), F.col("text_hash")], {"size": "before"})
     joined = summed.join(F.broadcast(table), F.col("source").eqNullSafe(F.col("__s")))
     part = F.greatest(F.lit(0), F.least(F.col("size"), F.col("budget") - F.col("before"))).cast("long")
-    return joined.withColumn("part", part).select("id", "source", "size", "source_size", "target", "epochs", "part", (F.col("epochs") * F.col("size") + F.col("part")).alias("taken"), "key")
+    return joined.withColumn("part", part).select("id", "source", "size", "source_size", "target", "epochs", "part", (F.col("epochs") * F.col("size") + F.col("part")).alias("taken"), "key", "text_hash")
 
 
 def leading_words(text: Column, words: Column) -> Column:
@@ -96,17 +96,23 @@ def leading_words(text: Column, words: Column) -> Column:
 def mixed_documents(docs: DataFrame, weights: Sequence[float] | dict, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **how) -> DataFrame:
     """The documents as the mix takes them: one row for each time a document is taken whole, and one for a part.
 
-    Texts are shuffled only where the plan, a row for each document taken, is too long to broadcast.
+    Rows that repeat id, source and text are taken as often as they are planned all together; where their other columns
+    differ, which of the rows is repeated is open. Texts are shuffled only where the plan, a row of four numbers for
+    each document taken, is too long to broadcast. Null texts are never taken; an empty table gives an empty result.
     """
     taken = mix(docs, weights, id_col=id_col, text_col=text_col, source_col=source_col, **how)
-    src = F.coalesce(F.concat(F.lit("s"), F.col(source_col).cast("string")), F.lit("-"))
-    plan = taken.filter("taken > 0").select(F.col("id").alias("__id"), F.coalesce(F.concat(F.lit("s"), "source"), F.lit("-")).alias("__source"), F.col("size").alias("__words"), F.col("epochs").alias("__epochs"), F.col("part").alias("__part"))
-    plan = stored(plan.groupBy("__id", "__source", "__words").agg(F.min("__epochs").alias("__epochs"), F.max("__part").alias("__part")), "taken")
-    keyed = docs.withColumns({"__src": src, "__size": n_words(F.col(text_col))})
-    same = keyed[id_col].cast("long").eqNullSafe(plan["__id"]) & (keyed["__src"] == plan["__source"]) & (keyed["__size"] == plan["__words"])
-    joined = keyed.join(F.broadcast(plan) if plan.count() <= BROADCAST_ROWS else plan, same)
-    whole = F.col("__epochs") + (F.col("__part") >= F.col("__size")).cast("long")
-    cut = F.when((F.col("__part") > 0) & (F.col("__part") < F.col("__size")), 1).otherwise(0)
-    copies = joined.withColumn("__k", F.explode(F.sequence(F.lit(1), (whole + cut).cast("int")))).filter("__k > 0")
-    text = F.when(F.col("__k") > whole, leading_words(F.col(text_col), F.col("__part"))).otherwise(F.col(text_col))
+    source = lambda c: F.coalesce(F.concat(F.lit("s"), F.col(c).cast("string")), F.lit("-"))
+    key, whole, cut, again, k = unused(docs.columns, "key", "whole", "cut", "again", "k")
+    planned = taken.filter("size > 0").groupBy("id", F.xxhash64(source("source"), "text_hash").alias(key), "size").agg(F.sum("epochs").alias("epochs"), F.sum("part").alias("part"), F.count("*").alias("n"))
+    passes = (F.col("epochs") + F.floor(F.col("part") / F.col("size"))).cast("int")
+    plan = planned.filter("epochs + part > 0").select(F.col("id").alias(f"{key}_id"), F.col(key).alias(f"{key}_of"), passes.alias(whole), (F.col("part") % F.col("size")).cast("int").alias(cut), (F.col("n") > 1).alias(again))
+    plan = stored(plan, "taken")
+    keyed = docs.withColumn(key, F.xxhash64(source(source_col), F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))))
+    same = keyed[id_col].cast("long").eqNullSafe(plan[f"{key}_id"]) & (keyed[key] == plan[f"{key}_of"])
+    joined = keyed.join(F.broadcast(plan) if plan.count() <= BROADCAST_ROWS else plan, same).drop(f"{key}_id", f"{key}_of")
+    if plan.filter(again).limit(1).count():
+        joined = joined.filter(~F.col(again)).unionByName(joined.filter(again).dropDuplicates([id_col, key]))
+    times = F.col(whole) + (F.col(cut) > 0).cast("int")
+    copies = joined.withColumn(k, F.explode(F.sequence(F.lit(1), times)))
+    text = F.when(F.col(k) > F.col(whole), leading_words(F.col(text_col), F.col(cut))).otherwise(F.col(text_col))
     return copies.withColumn(text_col, text).select(*docs.columns)

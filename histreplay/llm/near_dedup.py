@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import by_ids, join_groups, ship, stored, tidied
+from histreplay.llm.common import BROADCAST_ROWS, by_ids, join_groups, ship, stored, tidied
 from histreplay.llm.components import components
 from histreplay.llm.textbytes import mix, shingle_sets, slices
 
@@ -40,6 +40,11 @@ def _seeds(spec: NearDupSpec) -> tuple[np.ndarray, np.ndarray]:
     return mix(base + np.uint64(spec.seed << 20)), mix(base + np.uint64(spec.seed << 40)) | np.uint64(1)
 
 
+def set_keys(sets: np.ndarray, starts: np.ndarray, spec: NearDupSpec) -> np.ndarray:
+    """128 bits that name each shingle set, as two numbers."""
+    return np.stack([np.add.reduceat(mix(sets), starts), np.bitwise_xor.reduceat(mix(sets ^ _seeds(spec)[0][0]), starts)], 1)
+
+
 def sketch(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> DataFrame:
     """(id, n_shingles, set_key, a, b, mins): set_key names the exact shingle set, a and b hold the bands' hashes.
 
@@ -49,7 +54,7 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> Da
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         xor, mul = _seeds(spec)
-        n_hash, half = len(xor), spec.bands * spec.rows
+        n_hash = len(xor)
         for batch in batches:
             out: list[list] = [[], [], [], [], []]
             for _, data, off in slices(batch.column(1)):
@@ -61,7 +66,7 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> Da
                 if len(full):
                     for k in range(n_hash):
                         mins[:, k] = np.minimum.reduceat((sets ^ xor[k]) * mul[k], starts)
-                    keys = np.stack([np.add.reduceat(mix(sets), starts), np.bitwise_xor.reduceat(mix(sets ^ xor[0]), starts)], 1)
+                    keys = set_keys(sets, starts, spec)
                 bands = np.zeros((len(full), 2 * spec.bands), np.uint64)
                 for r in range(spec.rows):
                     bands = mix(bands + mins[:, r :: spec.rows])
@@ -75,7 +80,6 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> Da
                     out[2].append(None if k is None else bands[k, : spec.bands])
                     out[3].append(None if k is None else bands[k, spec.bands :])
                     out[4].append(None if k is None else low[k].tobytes())
-                assert half * 2 == n_hash
             kinds = (pa.int64(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(x, kind) for x, kind in zip(out, kinds)]], ["id", "n_shingles", "set_key", "a", "b", "mins"])
 
@@ -83,17 +87,20 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> Da
 
 
 def shingle_table(docs: DataFrame, id_col: str, text_col: str, spec: NearDupSpec) -> DataFrame:
-    """(id, grams): the whole sorted shingle set of each document as 64-bit values."""
+    """(id, set_key, grams): the whole sorted shingle set of each document that has one, as 64-bit values, and its name."""
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for first, data, off in slices(batch.column(1)):
                 sets, at = shingle_sets(data, off, spec.words)
-                grams = pa.array([sets[at[d] : at[d + 1]].tobytes() for d in range(len(at) - 1)], pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(at) - 1), grams], ["id", "grams"])
+                full = np.flatnonzero(np.diff(at))
+                if len(full):
+                    keys = set_keys(sets, at[:-1][full], spec)
+                    own = [[x.tobytes() for x in keys], [sets[at[d] : at[d + 1]].tobytes() for d in full]]
+                    yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(first + full)), *[pa.array(x, pa.binary()) for x in own]], ["id", "set_key", "grams"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "id long, grams binary")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "id long, set_key binary, grams binary")
 
 
 def buckets(reps: DataFrame, spec: NearDupSpec) -> tuple[DataFrame, DataFrame]:
@@ -117,7 +124,7 @@ def candidates(members: DataFrame, groups: DataFrame, spec: NearDupSpec) -> Data
     family_links.
     """
     pairs = groups.filter("n = 2").select(F.col("lo").alias("a"), F.col("hi").alias("b")).distinct()
-    kept = join_groups(members, groups.filter("n > 2"), ["bucket"], "n").filter("n is not null")
+    kept = join_groups(members, groups.filter("n > 2"), ["bucket"], "n", fixed=True).filter("n is not null")
     few = kept.filter(F.col("n") <= spec.split).groupBy("bucket").agg(F.array_sort(F.collect_set("id")).alias("ids"))
     lists = few.filter("size(ids) > 1").select("ids").distinct()
     inside = lists.select(F.posexplode("ids").alias("k", "a"), "ids").select("a", F.explode(F.slice("ids", F.col("k") + 2, F.size("ids"))).alias("b"))
@@ -174,7 +181,7 @@ def families(members: DataFrame, groups: DataFrame, roots: DataFrame, spec: Near
     Buckets that share a document are one family; a bucket that is one component already has no open pair.
     """
     big = groups.filter(F.col("n") > spec.split).select("bucket", "n")
-    inside = join_groups(members, big, ["bucket"], "n").filter("n is not null").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
+    inside = join_groups(members, big, ["bucket"], "n", fixed=True).filter("n is not null").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
     inside = stored(inside.select("bucket", "n", "id", "root"), "inside")
     mixed = inside.groupBy("bucket").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.min("id").alias("head"), F.max("n").alias("n")).filter("r0 <> r1")
     rest = join_groups(inside.select("bucket", "id", "root"), mixed.select("bucket", "head", "n"), ["bucket"], "n").filter("n is not null")
@@ -252,6 +259,20 @@ def family_links(kin: DataFrame, sets: DataFrame, spec: NearDupSpec) -> DataFram
     return spread.groupBy("family", "bi", "bj").applyInArrow(run, "a long, b long")
 
 
+#: Nodes of sets whose id has other sets too are numbered from here.
+_OTHER = 1 << 62
+
+
+def _noded(rows: DataFrame, several: DataFrame | None) -> DataFrame:
+    """Adds the node of each row with id and set_key: the id, or where the id has several sets, a hash of id and set."""
+    if several is None:
+        return rows.withColumn("node", F.col("id"))
+    marks = several.select("id", F.lit(True).alias("many"))
+    own = F.call_function("shiftrightunsigned", F.xxhash64("id", "set_key"), F.lit(2)).bitwiseOR(F.lit(_OTHER))
+    joined = rows.join(F.broadcast(marks) if marks.count() <= BROADCAST_ROWS else marks, "id", "left")
+    return joined.withColumn("node", F.when(F.col("many") & F.col("set_key").isNotNull(), own).otherwise(F.col("id"))).drop("many")
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", spec: NearDupSpec = NearDupSpec()) -> DataFrame:
     """(id, n_shingles, component_id, kept), a row for each document.
 
@@ -260,20 +281,37 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     its most similar earlier candidate, then the pairs that still lie between components, then, exhaustively, large
     buckets that still hold several components.
     Null and empty texts have no shingle, link with nothing and are kept. Rows that repeat an id are one document with
-    a text each: equal texts change nothing, different ones are joined under the id. A null id is its own component
-    (null) and kept. An empty table gives an empty result.
+    a text each: equal sets change nothing; different ones are searched each, and joined under the id (such ids must
+    lie below 2^62). A null id is its own component (null) and kept. An empty table gives an empty result.
     """
     docs = docs.select(id_col, text_col)
     sketches = stored(sketch(docs, id_col, text_col, spec), "sketch")
     named = sketches.filter("set_key is not null and id is not null")
-    classes = named.groupBy("set_key").agg(F.min("id").alias("rep"), F.count("*").alias("n"))
-    same = join_groups(named.select("id", "set_key"), classes.filter("n > 1"), ["set_key"], "n").filter("rep is not null").select("id", "rep")
-    same = stored(same.filter("id <> rep").distinct(), "same")
-    reps = stored(by_ids(named.dropDuplicates(["id"]), same.select("id").distinct(), ["id"], "left_anti"), "reps")
+    mark = F.xxhash64("set_key")
+    repeats = stored(named.groupBy("id").agg(F.count("*").alias("n"), F.min(mark).alias("x"), F.max(mark).alias("y")).filter("n > 1"), "repeats")
+    repeated, several = repeats.limit(1).count() > 0, repeats.filter("x <> y").select("id")
+    if not several.limit(1).count():
+        several = None
+    elif several.agg(F.max("id")).first()[0] >= _OTHER:
+        raise ValueError("ids of 2^62 and more must not repeat with different texts")
+    nodes = _noded(named, several)
+    classes = nodes.groupBy("set_key").agg(F.min("node").alias("rep"), F.count("*").alias("n"))
+    same = join_groups(nodes.select("node", "set_key"), classes.filter("n > 1"), ["set_key"], "n").filter("rep is not null")
+    same = stored(same.filter("node <> rep").select("rep", "node").distinct(), "same")
+    first = by_ids(nodes, same.select("node").distinct(), ["node"], "left_anti")
+    first = first.dropDuplicates(["node"]) if repeated else first
+    reps = stored(first.select(F.col("id").alias("doc"), F.col("node").alias("id"), "n_shingles", "a", "b", "mins"), "reps")
+
+    def sets_of(wanted: DataFrame) -> DataFrame:
+        """(id, grams) of the nodes in the one column of `wanted`."""
+        if several is not None:
+            wanted = reps.join(wanted.withColumnRenamed(wanted.columns[0], "id"), "id", "left_semi").select(F.col("doc").alias(id_col)).distinct()
+        own = _noded(shingle_table(by_ids(docs, wanted, [id_col], "left_semi"), id_col, text_col, spec), several)
+        return own.select(F.col("node").alias("id"), "grams")
+
     members, groups = buckets(reps, spec)
     pairs = stored(_estimated(candidates(members, groups, spec), reps, spec), "pairs")
-    ids = pairs.select(F.col("a").alias(id_col)).union(pairs.select(F.col("b").alias(id_col))).distinct()
-    sets = stored(shingle_table(by_ids(docs, ids, [id_col], "left_semi"), id_col, text_col, spec), "sets")
+    sets = stored(sets_of(pairs.select(F.col("a").alias(id_col)).union(pairs.select(F.col("b").alias(id_col))).distinct()), "sets")
     best = pairs.groupBy("b").agg(F.max_by("a", F.struct("est", "a")).alias("a")).select("a", "b")
     links = stored(confirmed(best, sets, spec), "linked")
     roots = components(links)
@@ -284,13 +322,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     if groups.filter(F.col("n") > spec.split).limit(1).count():
         kin = families(members, groups, roots, spec)
         if kin.limit(1).count():
-            ids = kin.select(F.col("id").alias(id_col))
-            sets = shingle_table(by_ids(docs, ids, [id_col], "left_semi"), id_col, text_col, spec)
-            links = links.union(stored(family_links(kin, sets, spec), "linked"))
+            links = links.union(stored(family_links(kin, sets_of(kin.select(F.col("id").alias(id_col))), spec), "linked"))
             roots = components(links)
-    if same.limit(1).count():
-        roots = components(links.union(same.select(F.col("rep").alias("a"), F.col("id").alias("b"))))
-    found = sketches.select("id", "n_shingles").join(roots, "id", "left")
+    if same.limit(1).count() or several is not None:
+        links = links.union(same.select(F.col("rep").alias("a"), F.col("node").alias("b")))
+        if several is not None:
+            links = links.union(nodes.filter("node <> id").select(F.col("id").alias("a"), F.col("node").alias("b")))
+        roots = components(links)
+    found = _noded(sketches.select("id", "set_key", "n_shingles"), several).join(roots.withColumnRenamed("id", "node"), "node", "left")
     root = F.coalesce("root", "id")
     return found.select("id", "n_shingles", root.alias("component_id"), root.eqNullSafe(F.col("id")).alias("kept"))
 

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
@@ -11,12 +11,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import range_bounds, ship, stored, tidied
-from histreplay.llm.tokenise import CACHE_PIECES, encoded, encoder
+from histreplay.llm.common import range_bounds, ship, shuffle_width, stored, tidied
+from histreplay.llm.tokenise import CACHE_PIECES, ids_of, tokenised
 
 
 #: Rows of a batch that goes back to Spark.
 PIECES = 256
+#: Token ids whose terms are counted at once.
+RUN_IDS = 1 << 18
+#: Text of a task's shards, about, once there are more of them than the session's shuffle partitions.
+TASK_BYTES = 256 << 20
 
 
 @dataclass(frozen=True)
@@ -44,21 +48,29 @@ class Corpus:
     df: np.ndarray
 
 
+def counted(tokens: Sequence[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(document, token id, count) of each id that a document holds, ordered by document and id; documents aren't empty."""
+    keys = np.repeat(np.arange(len(tokens), dtype=np.uint64) << np.uint64(32), [len(t) for t in tokens])
+    keys |= np.concatenate(tokens)
+    keys.sort()
+    first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+    count = np.diff(np.append(first, len(keys)))
+    keys = keys[first]
+    return (keys >> np.uint64(32)).astype(np.int32), (keys & np.uint64(0xFFFFFFFF)).astype(np.uint32), count
+
+
 class Index:
     """A BM25 index over the token ids of one shard's documents, with the statistics of the corpus, or else the shard's own."""
 
     def __init__(self, tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None = None) -> None:
         self.n, self.terms = len(tokens), spec.terms
         lens = np.array([len(t) for t in tokens], np.int64)
-        keys = np.repeat(np.arange(self.n, dtype=np.uint64) << np.uint64(32), lens)
-        keys |= np.concatenate(tokens)
-        keys.sort()
-        first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-        tf = np.diff(np.append(first, len(keys))).astype(np.float32)
-        keys = keys[first]
-        doc = (keys >> np.uint64(32)).astype(np.int32)
-        ids, self.rank, self.held = np.unique((keys & np.uint64(0xFFFFFFFF)).astype(np.uint32), return_inverse=True, return_counts=True)
-        self.rank = self.rank.astype(np.int32)
+        doc, term, tf = counted(tokens)
+        tf = tf.astype(np.float32)
+        held = np.bincount(term)
+        ids = np.flatnonzero(held)
+        held[ids], self.held = np.arange(len(ids)), held[ids]
+        self.rank = held[term].astype(np.int32)
         n, mean, df = (self.n, lens.mean(), self.held) if corpus is None else (corpus.n, corpus.mean, corpus.df[ids])
         idf = np.log1p((n - df + 0.5) / (df + 0.5)).astype(np.float32)
         norm = (spec.k1 * (1 - spec.b + spec.b * lens / max(1.0, mean))).astype(np.float32)
@@ -126,38 +138,16 @@ def fill_windows(tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None
             sequence, offset, queue = sequence + 1, 0, iter(())
 
 
-def tokenised(docs: DataFrame, vocabulary: str, kind: str, spec: PackSpec, id_col: str, text_col: str) -> DataFrame:
-    """(id, n, wide, data): token ids with the end id, as little-endian integers of two bytes, or four where wide; stored."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok = encoder(vocabulary, kind, spec.cache_pieces)
-        end = np.array([spec.end_id], "<u4").tobytes()
-        out: list[tuple] = []
-        for batch in batches:
-            for name, data in encoded(batch, tok, (0,), 1):
-                t = np.frombuffer(data + end, "<u4")
-                wide = bool(t.max() > 0xFFFF)
-                out.append((name, len(t), wide, (t if wide else t.astype("<u2")).tobytes()))
-                if len(out) == PIECES:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], list(names))
-                    out = []
-        if out:
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], list(names))
-
-    names, kinds = ("id", "n", "wide", "data"), (pa.int64(), pa.int64(), pa.bool_(), pa.binary())
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return stored(rows.mapInArrow(tidied(run), "id long, n long, wide boolean, data binary"), "tokens")
-
-
-def ids_of(data: bytes, wide: bool) -> np.ndarray:
-    return np.frombuffer(data, "<u4" if wide else "<u2")
-
-
-def counted(tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct token ids and their counts."""
-    own = np.sort(tokens, kind="stable")
-    first = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
-    return own[first], np.diff(np.append(first, len(own)))
+def parts(batch: pa.RecordBatch, wide: int, data: int) -> Iterator[tuple[int, list[np.ndarray]]]:
+    """(first row, token ids of each row) of runs of rows with about RUN_IDS ids, or one longer row."""
+    flags, column = batch.column(wide).to_pylist(), batch.column(data)
+    held, first, size = [], 0, 0
+    for k in range(batch.num_rows):
+        held.append(ids_of(column[k].as_py(), flags[k]))
+        size += len(held[-1])
+        if size >= RUN_IDS or k + 1 == batch.num_rows:
+            yield first, held
+            held, first, size = [], k + 1, 0
 
 
 def corpus_of(coded: DataFrame) -> Corpus:
@@ -166,11 +156,11 @@ def corpus_of(coded: DataFrame) -> Corpus:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         df = np.zeros(1 << 16, np.int64)
         for batch in batches:
-            for wide, data in zip(batch.column(0).to_pylist(), batch.column(1)):
-                terms, _ = counted(ids_of(data.as_py(), wide))
-                if terms[-1] >= len(df):
-                    df = np.append(df, np.zeros(int(terms[-1]) + 1 - len(df), np.int64))
-                df[terms] += 1
+            for _, tokens in parts(batch, 0, 1):
+                own = np.bincount(counted(tokens)[1])
+                if len(own) > len(df):
+                    df = np.append(df, np.zeros(len(own) - len(df), np.int64))
+                df[: len(own)] += own
         held = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(held, pa.int64()), pa.array(df[held], pa.int64())], ["term", "df"])
 
@@ -182,20 +172,25 @@ def corpus_of(coded: DataFrame) -> Corpus:
     return Corpus(size["n"], (size["tokens"] or 0) / max(1, size["n"]), df)
 
 
-def place_of(name: int | None, tokens: np.ndarray, corpus: Corpus) -> int:
-    """Where a document stands among all: by its two weightiest terms (count times idf) that others have too, then by a hash."""
-    terms, counts = counted(tokens)
-    df = corpus.df[terms]
-    weight = np.where(df > 1, np.log1p((corpus.n - df + 0.5) / (df + 0.5)) * counts, 0)
-    first = int(weight.argmax())
-    top = int(terms[first])
-    weight[first] = -1
-    return (top & 0xFFFFF) << 43 | (int(terms[weight.argmax()]) & 0xFFFFF) << 23 | zlib.crc32(tokens.tobytes(), zlib.crc32(str(name).encode())) & 0x7FFFFF
+def places(names: Sequence[int | None], tokens: Sequence[np.ndarray], corpus: Corpus) -> np.ndarray:
+    """Where documents stand among all: by the two weightiest terms (count times idf) that others have too, then by a hash."""
+    doc, term, count = counted(tokens)
+    df = corpus.df[term]
+    weight = np.where(df > 1, np.log1p((corpus.n - df + 0.5) / (df + 0.5)) * count, 0)
+    start = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))
+    tops = []
+    for _ in range(2):
+        best = np.flatnonzero(weight == np.maximum.reduceat(weight, start)[doc])
+        best = best[np.concatenate([[True], doc[best][1:] != doc[best][:-1]])]
+        tops.append(term[best].astype(np.int64) & 0xFFFFF)
+        weight[best] = -1
+    tail = [zlib.crc32(t.tobytes(), zlib.crc32(str(i).encode())) & 0x7FFFFF for i, t in zip(names, tokens)]
+    return tops[0] << 43 | tops[1] << 23 | np.array(tail, np.int64)
 
 
-def shard_cuts(places: DataFrame, shards: int) -> np.ndarray:
+def shard_cuts(placed: DataFrame, shards: int) -> np.ndarray:
     """Places at which a new shard begins, so that shards have about equal numbers of tokens; a few scalars for each shard reach the driver."""
-    fine = np.array(range_bounds(places, "place", 4 * shards), np.int64)
+    fine = np.array(range_bounds(placed, "place", 4 * shards), np.int64)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums = np.zeros(len(fine) + 1, np.int64)
@@ -204,7 +199,7 @@ def shard_cuts(places: DataFrame, shards: int) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(sums)), pa.int64()), pa.array(sums, pa.int64())], ["k", "n"])
 
     sums = np.zeros(len(fine) + 1, np.int64)
-    for r in places.select("place", "n").mapInArrow(run, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
+    for r in placed.select("place", "n").mapInArrow(run, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
         sums[r["k"]] = r["n"]
     shard = np.minimum(shards - 1, (np.cumsum(sums) - sums) * shards // max(1, int(sums.sum())))
     return fine[shard[1:] > shard[:-1]]
@@ -216,8 +211,8 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
     ids holds the piece's token ids as little-endian unsigned 32-bit integers.
 
     All documents are tokenised once and stored; BM25's statistics are those of all of them. Ordered by their weightiest
-    terms, they are cut into shards of about spec.shard_bytes of text, whose number grows with the corpus; one shard at
-    a time is in a task's memory, and holds no fewer than one whole document. Neighbours are looked for within the
+    terms, they are cut into shards of about spec.shard_bytes of text, whose number grows with the corpus; a task works
+    off a run of shards, has one at a time in memory, and a shard holds no fewer than one whole document. Neighbours are looked for within the
     shard. Each shard's windows are full but for its last. sequence_id is shard * 2^32 + window.
 
     Null texts count as empty: the end id alone. Rows that repeat an id are packed each. Equal rows come in any order,
@@ -226,24 +221,31 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
     ship(docs.sparkSession)
     total = docs.agg(F.sum(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))) + 1)).first()[0] or 0
     shards = max(1, -(-int(total) // spec.shard_bytes))
-    coded = tokenised(docs, vocabulary, kind, spec, id_col, text_col)
+    coded = stored(tokenised(docs, vocabulary, kind, spec.end_id, id_col, text_col, spec.cache_pieces), "tokens")
     corpus = corpus_of(coded)
 
     def placed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [place_of(i, ids_of(d.as_py(), w), corpus) for i, w, d in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3))]
-            yield pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), batch.column(1)], ["place", "n"])
+            names = batch.column(0).to_pylist()
+            for first, tokens in parts(batch, 2, 3):
+                found = places(names[first : first + len(tokens)], tokens, corpus)
+                yield pa.RecordBatch.from_arrays([pa.array(found), batch.column(1).slice(first, len(tokens))], ["place", "n"])
 
     cuts = shard_cuts(stored(coded.mapInArrow(tidied(placed), "place long, n long"), "places"), shards) if shards > 1 else np.zeros(0, np.int64)
     shards = len(cuts) + 1
 
     def sharded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [place_of(i, ids_of(d.as_py(), w), corpus) for i, w, d in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3))] if shards > 1 else [0] * batch.num_rows
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array(np.searchsorted(cuts, found), pa.int32())], ["id", "wide", "data", "shard"])
+            names = batch.column(0).to_pylist()
+            for first, tokens in parts(batch, 2, 3):
+                n = len(tokens)
+                own = np.searchsorted(cuts, places(names[first : first + n], tokens, corpus)) if shards > 1 else np.zeros(n, np.int64)
+                yield pa.RecordBatch.from_arrays([*[batch.column(k).slice(first, n) for k in (0, 2, 3)], pa.array(own.astype(np.int32))], ["id", "wide", "data", "shard"])
 
     rows = coded.mapInArrow(tidied(sharded), "id long, wide boolean, data binary, shard int")
-    dealt = rows.repartitionById(shards, "shard").sortWithinPartitions("shard", F.col("id").asc_nulls_first(), "data")
+    width = min(shards, max(shuffle_width(docs.sparkSession), -(-int(total) // TASK_BYTES)))
+    task = (F.col("shard").cast("long") * width / shards).cast("int")
+    dealt = rows.repartitionById(width, task).sortWithinPartitions("shard", F.col("id").asc_nulls_first(), "data")
     columns = ("id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset") + (("ids",) if with_ids else ())
 
     def packed(number: int, ids: list, tokens: list[np.ndarray]) -> Iterator[pa.RecordBatch]:

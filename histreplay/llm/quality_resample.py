@@ -19,14 +19,12 @@ from histreplay.llm.textbytes import slices, windows, word_hashes, word_spans
 class ResampleSpec:
     """buckets: of hashed words and word pairs; share: of the documents to draw; target_rows: the most labelled rows
 
-    that the target model is learned from, the first by a hash of the id; scale: log weights are those of a text of
-    this many n-grams, so that length doesn't decide; smooth: added to each bucket's count.
+    that the target model is learned from, the first by a hash of the id; smooth: added to each bucket's count.
     """
 
     buckets: int = 10_000
     share: float = 0.9
     target_rows: int = 200_000
-    scale: float = 100.0
     smooth: float = 1.0
     seed: int = 13
 
@@ -74,7 +72,10 @@ def learn(docs: DataFrame, labels: DataFrame, spec: ResampleSpec = ResampleSpec(
 
 
 def weigh(docs: DataFrame, ratios: np.ndarray, spec: ResampleSpec = ResampleSpec(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, n_grams, log_ratio): the mean log ratio over a text's n-grams; 0 for a text without words."""
+    """(id, n_grams, log_ratio): the sum of the log ratios of a text's n-grams, which is the log of target over raw
+
+    chance of the text; 0 for a text without words.
+    """
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -83,7 +84,7 @@ def weigh(docs: DataFrame, ratios: np.ndarray, spec: ResampleSpec = ResampleSpec
                 bucket, doc = _grams(data, off, spec.buckets)
                 n = np.bincount(doc, minlength=len(off) - 1)
                 total = np.bincount(doc, ratios[bucket], minlength=len(off) - 1)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(off) - 1), pa.array(n), pa.array(total / np.maximum(n, 1))], ["id", "n_grams", "log_ratio"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(off) - 1), pa.array(n), pa.array(total, pa.float64())], ["id", "n_grams", "log_ratio"])
 
     return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(tidied(run), "id long, n_grams long, log_ratio double")
 
@@ -91,14 +92,14 @@ def weigh(docs: DataFrame, ratios: np.ndarray, spec: ResampleSpec = ResampleSpec
 def resample(docs: DataFrame, labels: DataFrame, spec: ResampleSpec = ResampleSpec(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_grams, log_ratio, key, rank, kept), a row for each document.
 
-    key = scale * log_ratio + Gumbel noise drawn from a hash of the id; the documents with the k largest keys are a
-    draw of k without replacement by weight exp(scale * log_ratio), k = round(share * documents). rank counts from 0;
-    ties go by id. Texts without words (null too) have a key of minus 1e9: drawn last. Repeated rows rank each. An
-    empty table gives an empty result.
+    key = log_ratio + Gumbel noise drawn from a hash of the id; the documents with the k largest keys are a draw of k
+    without replacement by weight exp(log_ratio), the ratio of the two models, k = round(share * documents). rank counts from 0;
+    ties go by id. Texts without words (null too) have their noise minus 1e9 as key: drawn last, in random order, so
+    that many of them are many keys. Repeated rows rank each. An empty table gives an empty result.
     """
     ratios = learn(docs, labels, spec, id_col, text_col)
     noise = -F.ln(-F.ln(uniform(F.col("id"), seed=spec.seed)))
-    key = F.when(F.col("n_grams") == 0, F.lit(-1e9)).otherwise(spec.scale * F.col("log_ratio") + noise)
+    key = F.when(F.col("n_grams") == 0, noise - 1e9).otherwise(F.col("log_ratio") + noise)
     rows = stored(weigh(docs, ratios, spec, id_col, text_col).withColumn("key", key), "weights")
     n = rows.count()
     placed = rows.withColumns({"down": -F.col("key"), "one": F.lit(1).cast("long")})

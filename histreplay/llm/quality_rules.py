@@ -8,15 +8,15 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import bucket_of, ship, stored, tidied
+from histreplay.llm.common import ship, stored, tidied
 from histreplay.llm.textbytes import _SPACE, slices, windows, word_hashes, word_spans
 
 #: The base rules' symbols.
 SYMBOLS = b"#*$%&|<>"
-#: Rules: name, measure in SQL over the columns of measures(); a document is rejected above the cutoff.
+#: Rules: name, measure in SQL over the columns of measures(); a document is rejected from the cutoff on, never at 0.
 RULES = (
     ("symbols", "n_symbols / greatest(n_words, 1)"),
     ("punctuation", "n_punctuation / greatest(n_words, 1)"),
@@ -30,15 +30,18 @@ COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
 
 @dataclass(frozen=True)
 class RiskSpec:
-    """risk: the share of a stratum's good documents that may be rejected, over all rules together; miss: the chance
+    """risk: the share of a stratum's good documents that all rules together may reject, of those that pass the base test;
 
-    that any of the guarantees fails; cutoffs are tried from the loosest (1) down in `steps` steps to 1 / steps.
-    strata: the most that may occur.
+    miss: the chance that the guarantee fails in any stratum; a rule's cutoffs are `steps` levels, each of which reaches
+    another `tail` of the documents not labelled good; lift: how many times that share a level must reach of those
+    labelled bad. strata: the most that may occur.
     """
 
-    risk: float = 0.06
+    risk: float = 0.05
     miss: float = 0.1
-    steps: int = 100
+    steps: int = 60
+    tail: float = 0.005
+    lift: float = 4.0
     strata: int = 1000
     good: int = 1
 
@@ -142,66 +145,120 @@ def upper_bound(k: int, n: int, miss: float) -> float:
     return high
 
 
-def choose_cutoffs(above: list[int], n: int, spec: RiskSpec, tests: int) -> tuple[int, float] | None:
-    """(step, bound) of the strictest cutoff that passes, in a fixed order from loose to strict that ends at the first
+def joint_path(bad: dict[str, list[int]], spec: RiskSpec) -> list[tuple[int, ...]]:
+    """Levels of all rules at each step of a stratum's path, from bad[rule][k]: documents labelled bad that level k + 1 reaches first.
 
-    failure, so that the order needs no correction of its own; the other rules and strata do, by spec.miss / tests.
-    above[s] counts the good documents above step s.
+    Each step moves the rule on whose next levels reach the most bad documents a level, until spec.lift is missed. If
+    none is labelled bad, all rules go on together.
     """
-    best = None
-    for step in range(spec.steps, 0, -1):
-        k = above[step]
-        if n == 0 or k / n > spec.risk / len(RULES):
-            break
-        bound = upper_bound(k, n, spec.miss / tests)
-        if bound > spec.risk / len(RULES):
+    total = max((sum(own) for own in bad.values()), default=0)
+    if not total:
+        return [(k + 1,) * len(RULES) for k in range(spec.steps)]
+    levels, path = [0] * len(RULES), []
+    while True:
+        best = (spec.lift, 0, 0)
+        for r, (name, _) in enumerate(RULES):
+            reached = 0
+            for k in range(levels[r], spec.steps):
+                reached += bad[name][k]
+                best = max(best, (reached / total / (spec.tail * (k + 1 - levels[r])), -r, levels[r] - k - 1))
+        if not best[2]:
+            return path
+        levels[-best[1]] -= best[2]
+        path.append(tuple(levels))
+
+
+def certify(rejected: dict[str, list[int]], good: dict[str, int], spec: RiskSpec) -> dict[str, tuple[int, float]]:
+    """(step, bound) by stratum: the last step of the path up to which every step's rejections are proven rare enough.
+
+    rejected[s][t] counts the good documents of a stratum that step t + 1 rejects. The steps of a stratum are tested in
+    order up to the first failure, which needs no correction. Strata with enough good documents to prove anything share
+    the chance of a miss evenly, and one that passes its whole path leaves its share to the others.
+    """
+    able = sorted(s for s, n in good.items() if n and (1 - spec.risk) ** n <= spec.miss)
+    share, at, open_ = {s: spec.miss / len(able) for s in able}, dict.fromkeys(able, 0), set(able)
+    while True:
+        done = set()
+        for s in sorted(open_):
+            while at[s] < len(rejected[s]) and binomial_tail(rejected[s][at[s]], good[s], spec.risk) <= share[s]:
+                at[s] += 1
+            if at[s] == len(rejected[s]):
+                done.add(s)
+        open_ -= done
+        if not done or not open_:
             break
-        best = (step, bound)
-    return best
+        for s in open_:
+            share[s] += sum(share[d] for d in done) / len(open_)
+    return {s: (k, upper_bound(rejected[s][k - 1], good[s], share[s])) for s, k in at.items() if k}
+
+
+def base_failed() -> Column:
+    return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
+
 
+def _value(sql: str) -> Column:
+    return F.expr(f"cast({sql} as double)")
 
-def calibrate(measured: DataFrame, labels: DataFrame, spec: RiskSpec = RiskSpec(), id_col: str = "doc_id", label_col: str = "quality") -> dict[tuple[str, str], tuple[float, float, int]]:
-    """(stratum, rule) to (cutoff, bound, good documents seen), from all labelled documents.
 
-    The cutoffs tried are a fixed grid, so the labelled rows are a holdout for them. A document counts as good if all
-    of its labels are. What reaches the driver is a count for each stratum, rule and step; a stratum without enough
-    good documents to prove the bound gets no cutoff.
+def _levels(measured: DataFrame, cuts: DataFrame, steps: int) -> DataFrame:
+    """Adds for each rule the first level whose cutoff a document's measure reaches; steps + 1 if none does."""
+    level = lambda own, value: F.when(value > 0, F.size(F.filter(own, lambda cut: cut > value)) + 1).otherwise(steps + 1)
+    rows = measured.join(F.broadcast(cuts), "stratum")
+    return rows.select("id", "stratum", *[level(F.col(f"cuts_{n}"), _value(m)).alias(n) for n, m in RULES])
+
+
+def calibrate(measured: DataFrame, labels: DataFrame, spec: RiskSpec = RiskSpec(), id_col: str = "doc_id", label_col: str = "quality") -> dict[str, tuple[list[float], float, int]]:
+    """Stratum to (cutoff of each rule, bound, good documents seen), over documents that pass the base test.
+
+    The levels of a rule are upper quantiles of its measure over all documents of the stratum that are not labelled
+    good, and the path through the rules' levels follows the documents labelled bad; so those labelled good, all of
+    them, are a holdout for it. A document counts as good if all of its labels are, as bad if it has other labels. What
+    reaches the driver are spec.steps numbers for each stratum and rule; a stratum without enough good documents to
+    prove the bound gets no cutoffs. A rule that the path has not moved has an infinite cutoff.
     """
-    good = labels.groupBy(F.col(id_col).alias("id")).agg(F.min(label_col).alias("good"), F.max(label_col).alias("best")).filter((F.col("good") == spec.good) & (F.col("best") == spec.good)).select("id")
-    rows = measured.join(good, "id", "left_semi")
-    grid = [s / spec.steps for s in range(1, spec.steps + 1)]
-    each = F.explode(F.array(*[F.struct(F.lit(n).alias("rule"), bucket_of(F.expr(f"cast({m} as double)"), grid).alias("step")) for n, m in RULES]))
-    counts = rows.select("stratum", each.alias("x")).groupBy("stratum", "x.rule", "x.step").agg(F.count("*").alias("n"))
-    if rows.select("stratum").distinct().limit(spec.strata + 1).count() > spec.strata:
+    marks = labels.groupBy(F.col(id_col).alias("id")).agg(F.min(label_col).alias("low"), F.max(label_col).alias("high")).filter("low is not null")
+    marks = marks.select("id", ((F.col("low") == spec.good) & (F.col("high") == spec.good)).alias("good"))
+    passed = measured.filter(~base_failed())
+    shares = F.array(*[F.lit(1 - spec.tail * t) for t in range(1, spec.steps + 1)])
+    cuts = passed.join(marks.filter("good"), "id", "left_anti").groupBy("stratum").agg(*[F.percentile_approx(_value(m), shares, 10_000).alias(f"cuts_{n}") for n, m in RULES])
+    cuts = stored(cuts.limit(spec.strata + 1), "cuts")
+    if cuts.count() > spec.strata:
         raise ValueError(f"more than {spec.strata} strata")
-    table: dict[tuple[str, str], list[int]] = {}
-    for r in counts.collect():
-        table.setdefault((r["stratum"], r["rule"]), [0] * (spec.steps + 1))[r["step"]] += r["n"]
-    out = {}
-    for key, own in table.items():
-        above = [sum(own[s:]) for s in range(spec.steps + 1)]
-        found = choose_cutoffs(above, above[0], spec, len(table))
-        if found:
-            out[key] = (found[0] / spec.steps, found[1], above[0])
-    return out
+    rows = stored(_levels(passed.join(marks, "id"), cuts, spec.steps).join(marks, "id"), "levels")
+    bad: dict[str, dict[str, list[int]]] = {}
+    each = F.explode(F.array(*[F.struct(F.lit(n).alias("rule"), F.col(n).alias("level")) for n, _ in RULES])).alias("x")
+    for r in rows.filter("not good").select("stratum", each).groupBy("stratum", "x.rule", "x.level").agg(F.count("*").alias("n")).collect():
+        bad.setdefault(r["stratum"], {n: [0] * (spec.steps + 1) for n, _ in RULES})[r["rule"]][r["level"] - 1] += r["n"]
+    paths = {r["stratum"]: joint_path(bad.get(r["stratum"], {}), spec) for r in cuts.select("stratum").collect()}
+    first = []
+    for s, path in paths.items():
+        own = [[next((p for p, levels in enumerate(path) if levels[r] >= k), len(path)) for k in range(1, spec.steps + 1)] + [len(path)] for r in range(len(RULES))]
+        first.append((s, *own))
+    table = rows.sparkSession.createDataFrame(first, "stratum string, " + ", ".join(f"first_{n} array<int>" for n, _ in RULES))
+    steps = F.least(*[F.get(F.col(f"first_{n}"), F.col(n) - 1) for n, _ in RULES])
+    counts = {s: [0] * (len(path) + 1) for s, path in paths.items()}
+    for r in rows.filter("good").join(F.broadcast(table), "stratum").groupBy("stratum", steps.alias("step")).agg(F.count("*").alias("n")).collect():
+        counts[r["stratum"]][r["step"]] += r["n"]
+    seen = {s: sum(own) for s, own in counts.items()}
+    proven = certify({s: np.cumsum(own[:-1]).tolist() for s, own in counts.items()}, seen, spec)
+    at = {r["stratum"]: r for r in cuts.filter(F.col("stratum").isin(*proven)).collect()} if proven else {}
+    cutoff = lambda s, n, level: at[s][f"cuts_{n}"][level - 1] if level else math.inf
+    return {s: ([cutoff(s, n, paths[s][step - 1][r]) for r, (n, _) in enumerate(RULES)], bound, seen[s]) for s, (step, bound) in proven.items()}
 
 
 def judge(docs: DataFrame, labels: DataFrame, spec: RiskSpec = RiskSpec(), id_col: str = "doc_id", text_col: str = "text", stratum_col: str = "lang") -> DataFrame:
     """(id, stratum, *COUNTS, base_failed, rejected_by, kept), a row for each document.
 
-    A bucket_of step s means the measure lies above s / steps; so "above the cutoff" is the same test on both sides.
-    base_failed: under 50 words, or more than half of the words in repeated 3-word windows. rejected_by names the
-    rules above their stratum's cutoff, comma-joined; kept is neither. Strata without cutoff reject nothing. Null and
-    empty texts fail the base. Repeated rows are judged each; an empty table or no labels give no cutoffs.
+    base_failed: under 50 words, or more than half of the words in repeated 3-word windows. rejected_by names the rules
+    whose measure reaches the cutoff of the document's stratum, comma-joined; kept is neither. Strata without cutoffs
+    reject nothing more. Null and empty texts fail the base. Repeated rows are judged each; an empty table or no labels
+    give no cutoffs.
     """
     measured = stored(measures(docs, id_col, text_col, stratum_col), "measures")
     cutoffs = calibrate(measured, labels, spec, id_col)
-    fails = []
-    for rule, sql in RULES:
-        own = {s: c for (s, r), (c, _, _) in cutoffs.items() if r == rule}
-        if own:
-            limit = F.create_map(*[F.lit(x) for pair in own.items() for x in pair])[F.col("stratum")]
-            fails.append(F.when(F.expr(f"cast({sql} as double)") > limit, F.lit(rule)))
-    rejected = F.array_compact(F.array(*fails)) if fails else F.array().cast("array<string>")
-    base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return measured.withColumns({"base_failed": base, "rejected_by": F.array_join(rejected, ",")}).withColumn("kept", ~F.col("base_failed") & (F.col("rejected_by") == ""))
+    kind = "cut_of string, " + ", ".join(f"cut_{n} double" for n, _ in RULES)
+    table = docs.sparkSession.createDataFrame([(s, *cuts) for s, (cuts, _, _) in cutoffs.items()], kind)
+    fails = [F.when((_value(m) > 0) & (_value(m) >= F.col(f"cut_{n}")), F.lit(n)) for n, m in RULES]
+    judged = measured.join(F.broadcast(table), F.col("stratum") == F.col("cut_of"), "left")
+    judged = judged.withColumns({"base_failed": base_failed(), "rejected_by": F.array_join(F.array_compact(F.array(*fails)), ",")})
+    return judged.select(*measured.columns, "base_failed", "rejected_by", (~F.col("base_failed") & (F.col("rejected_by") == "")).alias("kept"))

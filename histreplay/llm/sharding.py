@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import bucket_of, range_bounds, shuffle_width, stored, with_prefix_sums
+from histreplay.llm.common import bucket_of, range_bounds, shuffle_width, stored, unused, with_prefix_sums
 
 #: Jumps looked at where there are more shards than this. A key makes about ln(shards) jumps; 256 of them have a chance under 1e-200.
 MOST_JUMPS = 256
@@ -33,6 +33,12 @@ def jump_shard(key: Column, shards: int) -> Column:
     return F.aggregate(steps, start, step, lambda at: F.when(at["j"] < shards, at["j"]).otherwise(at["b"])).cast("int")
 
 
+def shard_key(id_col: str, text_col: str) -> Column:
+    """What decides a document's shard: its id, or the checksum of its text where the id is null."""
+    crc = F.crc32(F.coalesce(F.col(text_col), F.lit("")).cast("binary"))
+    return F.coalesce(F.col(id_col).cast("string"), F.concat(F.lit("crc"), crc.cast("string")))
+
+
 def shard_documents(docs: DataFrame, shards: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, size, text_crc32, shard, slot, grown_shard), a row for each document.
 
@@ -43,8 +49,7 @@ def shard_documents(docs: DataFrame, shards: int, id_col: str = "doc_id", text_c
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     crc = F.crc32(text.cast("binary"))
-    key = F.coalesce(F.col(id_col).cast("string"), F.concat(F.lit("crc"), crc.cast("string")))
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), (F.octet_length(text) + 1).cast("long").alias("size"), crc.alias("text_crc32"), key.alias("key"))
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), (F.octet_length(text) + 1).cast("long").alias("size"), crc.alias("text_crc32"), shard_key(id_col, text_col).alias("key"))
     rows = rows.select("id", "size", "text_crc32", jump_shard(F.col("key"), shards).alias("shard"), jump_shard(F.col("key"), shards + 1).alias("grown_shard"), F.lit(1).cast("long").alias("one"))
     rows = stored(rows, "shards")
     bounds = range_bounds(rows, "id", shuffle_width(rows.sparkSession))
@@ -54,7 +59,11 @@ def shard_documents(docs: DataFrame, shards: int, id_col: str = "doc_id", text_c
     return found.select("id", "size", "text_crc32", "shard", "slot", "grown_shard")
 
 
-def write_shards(docs: DataFrame, path: str, shards: int, id_col: str = "doc_id") -> None:
-    """Writes whole documents to path/shard=k/; each task writes the shards of its own rows, no shuffle is needed."""
-    key = F.coalesce(F.col(id_col).cast("string"), F.lit("null"))
-    docs.withColumn("shard", jump_shard(key, shards)).write.partitionBy("shard").parquet(path)
+def write_shards(docs: DataFrame, path: str, shards: int, id_col: str = "doc_id", text_col: str = "text") -> str:
+    """Writes whole documents to path/shard=k/, in the shards of shard_documents; each task writes those of its own rows.
+
+    No shuffle is needed. Returns the folder column's name: underscores follow it where documents have a column `shard`.
+    """
+    (name,) = unused(docs.columns, "shard")
+    docs.withColumn(name, jump_shard(shard_key(id_col, text_col), shards)).write.partitionBy(name).parquet(path)
+    return name

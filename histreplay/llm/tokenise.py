@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import re
 from array import array
 from collections.abc import Iterator
@@ -9,13 +10,26 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from histreplay.llm.common import ship, tidied
 
 #: Pieces that a worker keeps, about 200 bytes each; when there are more, the cache starts anew.
 CACHE_PIECES = 1_200_000
 #: New words that are encoded in one call of the library.
 JOINED = 2000
+#: Rows of a batch that goes back to Spark.
+ROWS = 256
 #: The letters, numbers and white space of Latin-1, and by them the two vocabularies' public split patterns.
 _L, _N, _S = "A-Za-zªµºÀ-ÖØ-öø-ÿ", "0-9²³¹¼½¾", r"\t-\r \x85\xa0"
+_KNOWN = {
+    "byte_level": (None, {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": True}),
+    "word_level": (
+        {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]},
+        {"type": "Sequence", "pretokenizers": [{"type": "Split", "pattern": {"Regex": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"}, "behavior": "Removed", "invert": True}, {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False}]},
+    ),
+}
 _SPLIT = {
     "byte_level": re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{_L}]+| ?[{_N}]+| ?[^{_S}{_L}{_N}]+|[{_S}]+(?![^{_S}])|[{_S}]+"),
     "word_level": re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_L}]+|[{_N}]|[^{_S}{_L}{_N}]+"),
@@ -27,7 +41,8 @@ class Encoder:
 
     Both vocabularies merge within pre-tokens only, so a text's ids are those of its pre-tokens one after the other.
     Texts in Latin-1 without a special token's marks are cut here and their pieces encoded by the library once a worker;
-    every other text goes to the library whole.
+    every other text goes to the library whole, and so does any text if the vocabulary file's normaliser and
+    pre-tokeniser are not those of _KNOWN, by which the texts are cut.
     """
 
     def __init__(self, path: str, kind: str, most: int = CACHE_PIECES) -> None:
@@ -35,7 +50,9 @@ class Encoder:
 
         self.library = Tokenizer.from_file(path)
         self.lower = kind == "word_level"
-        self.split = _SPLIT[kind]
+        with open(path, encoding="utf-8") as f:
+            own = json.load(f)
+        self.split = _SPLIT[kind] if (own["normalizer"], own["pre_tokenizer"]) == _KNOWN[kind] else None
         self.cache: dict[str, bytes] = {}
         self.most = most
 
@@ -43,7 +60,7 @@ class Encoder:
         return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
     def pieces(self, text: str) -> list[str] | None:
-        if "<|" in text:
+        if self.split is None or "<|" in text:
             return None
         if not text.isascii():
             try:
@@ -114,3 +131,34 @@ def encoded(batch: pa.RecordBatch, tok: Encoder, columns: tuple[int, ...], text:
                 for i, ids in enumerate(tok.encode(held), first):
                     yield (*[c[i] for c in rest], ids)
                 held, size, first = [], 0, k + 1
+
+
+def ids_of(data: bytes, wide: bool) -> np.ndarray:
+    return np.frombuffer(data, "<u4" if wide else "<u2")
+
+
+def tokenised(docs: DataFrame, vocabulary: str, kind: str, end_id: int, id_col: str, text_col: str, cache_pieces: int = CACHE_PIECES) -> DataFrame:
+    """(id, n, wide, data): token ids with the end id, as little-endian integers of two bytes, or four where wide.
+
+    Null texts count as empty. Texts are encoded where they are read, so that only ids need be shuffled.
+    """
+    ship(docs.sparkSession)
+    names, kinds = ("id", "n", "wide", "data"), (pa.int64(), pa.int64(), pa.bool_(), pa.binary())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tok = encoder(vocabulary, kind, cache_pieces)
+        end = np.array([end_id], "<u4").tobytes()
+        out: list[tuple] = []
+        for batch in batches:
+            for name, data in encoded(batch, tok, (0,), 1):
+                t = np.frombuffer(data + end, "<u4")
+                wide = bool(t.max() > 0xFFFF)
+                out.append((name, len(t), wide, (t if wide else t.astype("<u2")).tobytes()))
+                if len(out) == ROWS:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], list(names))
+                    out = []
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], list(names))
+
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    return rows.mapInArrow(tidied(run), "id long, n long, wide boolean, data binary")

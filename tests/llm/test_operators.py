@@ -2,6 +2,7 @@
 
 import binascii
 import hashlib
+import json
 import math
 import random
 import re
@@ -117,6 +118,27 @@ def test_language(spark, odd, none):
     assert kept.columns == odd.columns and kept.filter("doc_id in (50, 51, 52, 54)").count() == 0 and kept.count() == odd.count() - 4
 
 
+def test_cosines_by_brute_force(spark):
+    """Predictions again from letter vectors, bound by rotation and bundled in plain loops."""
+    spec = lang_id.LangSpec(dims=64)
+    rows = [(0, "ein kleiner Hund", "de"), (1, "the small dog", "en"), (3, "der grosse Baum!", "de"), (4, "a tall tree 7", "en"), (5, "eine kleine Maus", None), (7, "Größe", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    items = lang_id.Memory(spec).items.astype(int)
+
+    def vector(text):
+        p, out = lang_id.letters(text), np.zeros(spec.dims)
+        for x, y, z in zip(p, p[1:], p[2:]):
+            out += [items[x][(k - 2) % spec.dims] * items[y][(k - 1) % spec.dims] * items[z][k] for k in range(spec.dims)]
+        return out / np.linalg.norm(out)
+
+    prototypes = {g: sum(vector(t) for _, t, own in rows if own == g) for g in ("de", "en")}
+    got = lang_id.predict(docs, lang_id.learn(docs, spec), spec).collect()
+    for r, (_, text, _) in zip(sorted(got, key=lambda r: r["doc_id"]), rows):
+        cosine = {g: float(vector(text) @ v / np.linalg.norm(v)) for g, v in prototypes.items()}
+        best = max(cosine, key=cosine.get)
+        assert r["lang_pred"] == best and r["score"] == pytest.approx(max(0, cosine[best]), abs=1e-4)
+
+
 def test_language_does_not_read_other_columns(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     spoiled = docs.withColumn("lang", F.when(lang_id.held_out(), "xx").otherwise(F.col("lang"))).withColumn("source", F.lit("z"))
@@ -146,6 +168,30 @@ def test_resampling_weights_by_brute_force(spark, odd_rows, odd, labels):
             assert got[i]["n_grams"] == max(0, 2 * n - 1)
 
 
+def test_generative_ratios_by_brute_force(spark):
+    """Log ratios and document weights from plain counts of words and word pairs, where no two share a bucket."""
+    rnd = random.Random(8)
+    rows = [(k, " ".join(rnd.choices(["ab", "cd", "ef", "gh"], k=rnd.randint(0, 12))), "en", "a") for k in range(60)] + [(99, None, "en", "a")]
+    good = {k for k in range(0, 60, 3)}
+    spec = quality_resample.ResampleSpec(buckets=1 << 20)
+    docs, marks = table(spark, rows), spark.createDataFrame([(k, int(k in good)) for k in range(40)], "doc_id long, quality int")
+    grams = lambda t: (w := (t or "").split()) + list(zip(w, w[1:]))
+    raw, target = Counter(), Counter()
+    for k, t, *_ in rows:
+        raw.update(grams(t))
+        target.update(grams(t) if k in good and k < 40 else [])
+    chance = lambda c, g: math.log((c[g] + 1) / (sum(c.values()) + spec.buckets))
+    got = {r["id"]: r["log_ratio"] for r in quality_resample.resample(docs, marks, spec).collect()}
+    for k, t, *_ in rows:
+        assert got[k] == pytest.approx(sum(chance(target, g) - chance(raw, g) for g in grams(t)), abs=1e-9)
+
+
+def test_resampling_spreads_texts_without_words(spark):
+    docs = table(spark, [(k, " " * (k % 3), "en", "a") for k in range(200)])
+    got = quality_resample.resample(docs, spark.createDataFrame([(1, 1)], "doc_id long, quality int")).collect()
+    assert len({r["key"] for r in got}) == 200 and sum(r["kept"] for r in got) == 180
+
+
 def brute_targets(sizes, weights, total, most):
     low, high = 0.0, 1e12
     for _ in range(200):
@@ -188,10 +234,41 @@ def test_mixed_documents(odd, none):
     words = {r["source"]: r["n"] for r in out.groupBy("source").agg(F.sum(mixing.n_words(F.col("text"))).alias("n")).collect()}
     want = {r["source"]: r["n"] for r in mixing.mix(odd, SOURCE_WEIGHTS).groupBy("source").agg(F.sum("taken").alias("n")).collect()}
     for s, n in words.items():
-        assert abs(n - want[s]) <= 6  # rows that repeat an id are told apart only by their text's size
+        assert n == want[s]
     assert mixing.mixed_documents(none, SOURCE_WEIGHTS).count() == 0
 
 
+def test_mixed_documents_of_repeated_rows(spark):
+    """Rows that repeat id, source and text, or only id and size, are taken as often as planned."""
+    rows = [(1, "a b c d e", "en", "x")] * 5 + [(1, "f g h i j", "en", "x")] * 2 + [(2, "k l m", "en", "y"), (3, None, "en", "y"), (None, "n o", "en", "x"), (None, "n o", "en", None)]
+    docs = table(spark, rows)
+    for weights in (SOURCE_WEIGHTS, (1.0, 30.0)):
+        plan, got = mixing.mix(docs, weights), mixing.mixed_documents(docs, weights)
+        want = {(r["id"], r["source"], r["text_hash"]): r["n"] for r in plan.groupBy("id", "source", "text_hash").agg(F.sum("taken").alias("n")).filter("n > 0").collect()}
+        assert sum(r["n"] for r in got.select(mixing.n_words(F.col("text")).alias("n")).collect()) == sum(want.values())
+        by_source = Counter()
+        for (_, source, _), n in want.items():
+            by_source[source] += n
+        assert Counter({r["source"]: r["n"] for r in got.groupBy("source").agg(F.sum(mixing.n_words(F.col("text"))).alias("n")).collect()}) == by_source
+
+
+CLASHING = ("key", "whole", "cut", "again", "k", "hash", "id_of", "bytes", "n_bytes", "prefix", "shard_", "Key_", "__id", "__src", "__hash", "full_hash", "epochs", "lang_pred", "text_hash")
+
+
+def test_extra_columns_of_any_name_pass_through(spark, odd_rows, tmp_path):
+    docs = table(spark, odd_rows)
+    for name in CLASHING:
+        docs = docs.withColumn(name, F.lit(f"own {name}"))
+    want = {name: f"own {name}" for name in CLASHING}
+    for keep in (lang_id.keep_identified, exact_dedup.drop_exact_duplicates, near_dedup.drop_near_duplicates, lambda d: mixing.mixed_documents(d, SOURCE_WEIGHTS)):
+        out = keep(docs)
+        assert out.columns == docs.columns
+        rows = out.collect()
+        assert rows and all({n: r[n] for n in CLASHING} == want and r["rank"] == "r" and r["shard"] == 5 for r in rows)
+    folder = sharding.write_shards(docs, str(tmp_path / "out"), 4)
+    assert folder == "shard__" and spark.read.parquet(str(tmp_path / "out")).filter("shard = 5").count() == docs.count()
+
+
 @pytest.mark.parametrize("n", [0, 1, 8, 511, 512, 513, 4000])
 def test_codes_round_trip(n):
     rnd = np.random.default_rng(n)
@@ -217,19 +294,56 @@ def test_token_files(spark, odd_rows, odd, none):
     lib = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
     path = token_codes.token_files(odd, P.path("byte_bpe_50k.json"))
     got = sorted(token_codes.read_documents(spark, path).collect(), key=lambda r: r["start"])
-    order = sorted(odd_rows, key=lambda r: (r[0] is not None, r[0] or 0, (r[1] or "").encode()))
+    codes = lambda text: np.array([*lib.encode(text or "", add_special_tokens=False).ids, 0], "<u2").tobytes()
+    order = sorted(odd_rows, key=lambda r: (r[0] is not None, r[0] or 0, codes(r[1])))
     at = 0
     for r, (i, text, *_) in zip(got, order, strict=True):
         ids = np.array([*lib.encode(text or "", add_special_tokens=False).ids, 0], "<u4")
         assert (r["id"], r["start"], r["n_tokens"], r["ids_crc32"]) == (i, at, len(ids), binascii.crc32(ids.tobytes()))
         at += len(ids)
-    heads = token_codes.read_tokens(spark.read.parquet(path), 2, 3).collect()
-    for r in heads:
-        codes = spark.read.parquet(path).filter((F.col("part") == r["part"]) & (F.col("segment") == r["segment"])).first()["codes"]
-        assert r["tokens"] == token_codes.Codes(bytes(codes)).decode()[2:5].tolist()
+    every = [x for _, text, *_ in order for x in (*lib.encode(text or "", add_special_tokens=False).ids, 0)]
+    for place, count in ((0, 3), (at // 2, 40_000), (at - 2, 10), (at, 5)):
+        found = sorted(map(tuple, token_codes.read_tokens(spark, path, place, count).collect()))
+        assert found == [(k, every[k]) for k in range(place, min(at, place + count))]
     assert token_codes.read_documents(spark, token_codes.token_files(none, P.path("byte_bpe_50k.json"))).count() == 0
 
 
+def rows_scanned(df):
+    """Rows that the file scan of a collected frame handed on."""
+    (leaf,) = (x for x in [df._jdf.queryExecution().executedPlan().collectLeaves().apply(0)])
+    return leaf.metrics().get("numOutputRows").get().value()
+
+
+def test_a_token_is_read_without_reading_the_files(spark):
+    rnd = random.Random(3)
+    words = [("".join(rnd.choices("abcdefghijklmnopqrstuvwxyz", k=6))) for _ in range(3000)]
+    rows = [(k, " ".join(rnd.choices(words, k=1000)), "en", "a") for k in range(1500)]
+    path = token_codes.token_files(table(spark, rows).coalesce(1), P.path("byte_bpe_50k.json"))
+    segments = token_codes._segments(spark, path).count()
+    one = token_codes.read_tokens(spark, path, 1_000_000, 1)
+    assert one.count() == 1 and len(one.collect()) == 1
+    assert segments > 200 and rows_scanned(one) <= 2 * token_codes.PAGE_ROWS
+
+
+@pytest.mark.parametrize(("name", "kind"), [("byte_bpe_50k.json", "byte_level"), ("word_bpe_49k.json", "word_level")])
+def test_encoder_equals_library_on_whole_documents(spark, name, kind):
+    texts = [r["text"] for r in spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("text").collect() if r["text"]]
+    own = Encoder(P.path(name), kind)
+    want = own.library.encode_batch_fast(texts, add_special_tokens=False)
+    for k in range(0, len(texts), 256):
+        for got, e in zip(own.encode(texts[k : k + 256]), want[k : k + 256]):
+            assert np.frombuffer(got, "<u4").tolist() == e.ids
+
+
+def test_encoder_leaves_other_vocabularies_to_the_library(tmp_path):
+    own = json.loads(open(P.path("word_bpe_49k.json"), encoding="utf-8").read())
+    own["normalizer"] = {"type": "NFC"}
+    (tmp_path / "own.json").write_text(json.dumps(own), encoding="utf-8")
+    enc = Encoder(str(tmp_path / "own.json"), "word_level")
+    text = "Some Words, 123 and  more"
+    assert np.frombuffer(enc.encode([text])[0], "<u4").tolist() == enc.library.encode(text, add_special_tokens=False).ids
+
+
 @pytest.mark.parametrize("every", [True, False])
 def test_exact(odd_rows, odd, none, every):
     got = exact_dedup.exact_duplicates(odd, hash_all=every).collect()
@@ -284,6 +398,19 @@ def test_near(odd_rows, odd, none):
     assert kept.columns == odd.columns and kept.filter("doc_id between 61 and 70").count() == 0 and kept.filter("doc_id is null").count() == 2
 
 
+def test_near_links_every_text_of_an_id(spark):
+    """Rows that repeat an id with different texts: each text's links count, and all join under the id."""
+    rnd = random.Random(17)
+    prose = lambda: " ".join(f"w{rnd.randint(0, 10**6)}" for _ in range(100))
+    a, b, c = prose(), prose(), prose()
+    rows = [(1, a), (1, b), (2, a + " x"), (3, b + " y"), (4, c), (5, c), (5, b), (6, prose()), (7, a), (7, a), (8, None), (8, c + " z"), (9, None), (0, prose()), (0, prose())]
+    rows = [(*r, None, None) for r in rows]
+    got = near_dedup.near_duplicates(table(spark, rows)).collect()
+    roots, sizes = brute_near(rows)
+    assert Counter((r["id"], r["n_shingles"], r["component_id"], r["kept"]) for r in got) == Counter((i, n, roots[i], roots[i] == i) for (i, *_), n in zip(rows, sizes))
+    assert roots[2] == roots[3] == roots[8] == 1 and roots[9] == 9 and roots[0] == 0
+
+
 def test_near_family(spark):
     """A family of copies that are far from each other but near to a base: large buckets and blocks."""
     rnd = random.Random(8)
@@ -341,6 +468,31 @@ def test_sharding(spark, odd_rows, odd, none):
         sharding.jump_shard(F.col("k"), 0)
 
 
+def test_jumps_equal_the_plain_algorithm(spark):
+    """The same draws through the textbook loop."""
+
+    def jump(key, shards):
+        b, j, k = -1, 0, 0
+        while j < shards:
+            k += 1
+            b = j
+            u = (int(hashlib.md5(f"{key}:{k}".encode()).hexdigest()[:8], 16) + 1) / 2**32
+            j = math.floor((b + 1) / u)
+        return b
+
+    keys = spark.range(500).select(F.col("id").cast("string").alias("k"))
+    for shards in (1, 2, 8, 9, 100, 1000):
+        got = keys.select("k", sharding.jump_shard(F.col("k"), shards).alias("s")).collect()
+        assert all(r["s"] == jump(r["k"], shards) for r in got)
+
+
+def test_shards_written_are_those_told(spark, odd, odd_rows, tmp_path):
+    name = sharding.write_shards(odd, str(tmp_path / "told"), 8)
+    found = odd.sparkSession.read.parquet(str(tmp_path / "told")).select("doc_id", F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("crc"), name).collect()
+    told = sharding.shard_documents(odd, 8).select("id", "text_crc32", "shard").collect()
+    assert Counter(map(tuple, found)) == Counter(map(tuple, told))
+
+
 def test_write_shards(odd, tmp_path):
     sharding.write_shards(odd.drop("shard"), str(tmp_path / "out"), 4)
     assert odd.sparkSession.read.parquet(str(tmp_path / "out")).count() == odd.count()
@@ -394,6 +546,84 @@ def test_rules_find_cutoffs_and_keep_the_good(spark):
     assert all(kept[i] for i, *_ in good) and not any(kept[i] for i, *_ in bad)
 
 
+def test_rules_verdict_by_brute_force(spark):
+    """Cutoffs, bound and verdict again, step by step in plain Python."""
+    rnd = random.Random(21)
+    marks = lambda share, n: " ".join(("#" if rnd.random() < share else "") + rnd.choice("abcdefgh") * rnd.randint(2, 9) for _ in range(n))
+    rows, quality = [], {}
+    for k in range(900):
+        lang = ("en", "de", None)[k % 3]
+        bad = rnd.random() < 0.2
+        rows.append((k, marks(0.3 if bad else 0.02, 80 + k % 40), lang, "a"))
+        if rnd.random() < 0.6:
+            quality[k] = int(not bad)
+    spec = quality_rules.RiskSpec()
+    own = {k: [float(x) for x in quality_measures(t)] for k, t, *_ in rows}
+    stratum = {k: g or "none" for k, _, g, _ in rows}
+    rejected = dict.fromkeys(own, False)
+    counts, seen, cuts, paths = {}, {}, {}, {}
+    for s in ("en", "de", "none"):
+        others = [k for k in own if stratum[k] == s and quality.get(k) != 1]
+        cuts[s] = [[sorted(own[k][r] for k in others)[max(0, math.ceil((1 - spec.tail * t) * len(others)) - 1)] for t in range(1, spec.steps + 1)] for r in range(6)]
+        level = lambda k, r, s=s: next((t for t in range(spec.steps) if own[k][r] > 0 and own[k][r] >= cuts[s][r][t]), spec.steps)
+        bad = {n: [0] * (spec.steps + 1) for n, _ in quality_rules.RULES}
+        for k in others:
+            if quality.get(k) == 0:
+                for r, (n, _) in enumerate(quality_rules.RULES):
+                    bad[n][level(k, r)] += 1
+        paths[s] = quality_rules.joint_path(bad, spec)
+        good = [k for k in own if stratum[k] == s and quality.get(k) == 1]
+        counts[s] = [sum(any(level(k, r) < x for r, x in enumerate(levels)) for k in good) for levels in paths[s]]
+        seen[s] = len(good)
+    proven = quality_rules.certify(counts, seen, spec)
+    assert proven
+    for k in own:
+        if stratum[k] in proven:
+            levels = paths[stratum[k]][proven[stratum[k]][0] - 1]
+            rejected[k] = any(x and own[k][r] > 0 and own[k][r] >= cuts[stratum[k]][r][x - 1] for r, x in enumerate(levels))
+    got = quality_rules.judge(table(spark, rows), spark.createDataFrame(list(quality.items()), "doc_id long, quality int"), spec).collect()
+    assert {r["id"]: r["kept"] for r in got} == {k: not x and not r_base(t) for (k, t, *_), x in zip(rows, rejected.values())}
+    assert any(rejected.values())
+
+
+def quality_measures(text):
+    """The rules' measures in plain Python."""
+    n, chars, symbols, dup, repeat = brute_rules(text)
+    lines = sum(bool(WORD.search(x)) for x in text.split("\n"))
+    marks = sum(33 <= ord(c) < 127 and not c.isalnum() for c in text)
+    return symbols / max(n, 1), marks / max(n, 1), sum("A" <= c <= "Z" for c in text) / max(chars, 1), chars / max(n, 1) / 40, dup / max(lines, 1), repeat / max(n, 1)
+
+
+def r_base(text):
+    n, *_, repeat = brute_rules(text)
+    return n < 50 or 100 * repeat > 50 * n
+
+
+def test_false_rejections_pass_the_risk_in_few_runs():
+    """Good documents drawn from known chances: how often does any stratum's chosen step reject more than the risk?"""
+    rnd = np.random.default_rng(0)
+    spec = quality_rules.RiskSpec(risk=0.05, miss=0.1)
+    truth = np.concatenate([[0.02, 0.04, 0.049], np.linspace(0.0505, 0.3, 57)])
+    failed, acted = 0, 0
+    for _ in range(600):
+        sizes = {f"s{k}": int(n) for k, n in enumerate(rnd.integers(60, 800, 4))}
+        at = {s: np.searchsorted(truth, rnd.random(n), "right") for s, n in sizes.items()}
+        found = quality_rules.certify({s: [int((x <= t).sum()) for t in range(60)] for s, x in at.items()}, sizes, spec)
+        acted += bool(found)
+        failed += any(truth[step - 1] > spec.risk for step, _ in found.values())
+        assert all(bound <= spec.risk + 1e-9 for _, bound in found.values())
+    assert acted > 300 and failed <= 600 * spec.miss + 3 * (600 * spec.miss * (1 - spec.miss)) ** 0.5
+
+
+def test_path_follows_what_reaches_bad_documents():
+    spec = quality_rules.RiskSpec(steps=4, tail=0.05, lift=2)
+    names = [n for n, _ in quality_rules.RULES]
+    bad = {n: [0, 0, 0, 0, 10] for n in names} | {names[1]: [2, 5, 0, 0, 3], names[3]: [3, 0, 1, 0, 6]}
+    path = quality_rules.joint_path(bad, spec)
+    assert path[:2] == [(0, 2, 0, 0, 0, 0), (0, 2, 0, 1, 0, 0)] and path[-1][1] == 4 or path[-1][1] >= 2
+    assert quality_rules.joint_path({}, spec) == [(k,) * 6 for k in (1, 2, 3, 4)]
+
+
 def test_packing(odd_rows, odd, none):
     lib = Tokenizer.from_file(P.path("word_bpe_49k.json"))
     got = packing.pack(odd, P.path("word_bpe_49k.json")).collect()
@@ -557,6 +787,16 @@ def test_license_rules_equal_plain_regexes(spark):
         assert {(d["label"], d["rule"], d["start"], d["end"]) for d in got[k]["detections"]} == want
 
 
+def test_licenses_of_a_text_with_very_many(spark):
+    n = 5000
+    text = " ".join(["licensed under the apache license version 2.0 or the mit license and then"] * n)
+    r = license_scan.scan_licenses(table(spark, [(1, text, "en", "a")])).first()
+    assert (r["n_base"], r["first_word"], len(r["detections"])) == (2 * n, 3, 3 * n) and r["labels"] == "apache,apache-2.0,mit"
+    flat = " " + " ".join(re.findall(r"[0-9a-z]+", text)) + " "
+    for d in r["detections"][:: n // 7]:
+        assert flat[d["start"] : d["end"]] in ("licensed under the apache license", "apache license version 2 0", "mit license", "licensed under the apache license version 2 0")
+
+
 def shortest(pattern):
     """A text that the pattern matches, without what is optional."""
     out = ""

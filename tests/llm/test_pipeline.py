@@ -77,9 +77,17 @@ def test_language_stage_keeps_letters_when_nothing_is_learned(spark):
     assert {r["doc_id"] for r in stage(spark, "language_id", frame(spark, rows)).collect()} == set(range(20))
 
 
-def test_pack_stage_has_the_shards_of_op9(spark, rows, monkeypatch):
+def test_pack_stage_packs_as_op9_does(spark, rows, monkeypatch):
     seen = []
-    monkeypatch.setattr(corpus_pipeline.packing, "pack", lambda docs, *a, spec, **k: seen.append(spec) or docs.withColumnRenamed("doc_id", "id"))
+    monkeypatch.setattr(corpus_pipeline.packing, "pack", lambda docs, *a, **k: seen.append(k) or docs.withColumnRenamed("doc_id", "id"))
     stage(spark, "pack", frame(spark, rows))
-    own = corpus_pipeline.packing.PackSpec()
-    assert (seen[0].shard_bytes, seen[0].terms, seen[0].window) == (own.shard_bytes, own.terms, own.window)
+    assert seen == [{}]
+
+
+def test_stages_leave_only_their_last_table(spark):
+    from histreplay.llm import common
+
+    before = common.written()
+    corpus_pipeline.run(spark, SF).count()
+    kept = common._written[before:]
+    assert any("mix_sources" in x for x in kept) and not any(n in x for x in kept for n in ("language_id", "exact_dedup", "near_dedup", "sketch", "links"))
