@@ -76,8 +76,10 @@ class Index:
         norm = (spec.k1 * (1 - spec.b + spec.b * lens / max(1.0, mean))).astype(np.float32)
         self.weight = idf[self.rank] * tf * np.float32(spec.k1 + 1) / (tf + norm[doc])
         self.start = np.append(np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]])), len(doc))
-        # The postings of documents that may still be found, document by document.
-        self.live = (np.arange(self.n), self.rank, self.weight, self.start[:-1])
+        # The postings of documents that may still be found, term by term: where each term's begin, documents, weights.
+        by_term = np.argsort(self.rank.astype(np.uint16) if len(ids) <= 1 << 16 else self.rank, kind="stable")
+        self.live = np.append(0, np.cumsum(self.held)), doc[by_term].astype(np.int64), self.weight[by_term].astype(np.float64)
+        self.left = self.n
 
     def query(self, seed: int) -> np.ndarray:
         """A document's terms that another document of the shard has too; with spec.terms the weightiest of them."""
@@ -89,21 +91,20 @@ class Index:
 
     def neighbours(self, seed: int, unused: np.ndarray) -> np.ndarray:
         """Unused documents that share a query term, best first; ties by place. What is used once stays so."""
-        asked = np.zeros(len(self.held), np.float32)
-        asked[self.query(seed)] = 1
-        docs, rank, weight, start = self.live
-        if 4 * np.count_nonzero(unused[docs]) < 3 * len(docs):
-            kept = unused[docs]
-            lens = np.diff(np.append(start, len(rank)))
-            own = np.repeat(kept, lens)
-            lens = lens[kept]
-            self.live = docs, rank, weight, start = docs[kept], rank[own], weight[own], np.cumsum(lens) - lens
-        if not len(docs):
-            return docs
-        score = np.add.reduceat(weight * asked[rank], start)
-        score[~unused[docs]] = 0
+        left = np.count_nonzero(unused)
+        begin, doc, weight = self.live
+        if 8 * left < 7 * self.left:
+            kept = unused[doc]
+            begin, doc, weight = np.append(0, np.cumsum(kept))[begin], doc[kept], weight[kept]
+            self.live, self.left = (begin, doc, weight), left
+        query = self.query(seed)
+        spans = [slice(a, b) for a, b in zip(begin[query].tolist(), begin[query + 1].tolist())]
+        if not spans:
+            return np.zeros(0, np.int64)
+        score = np.bincount(np.concatenate([doc[x] for x in spans]), np.concatenate([weight[x] for x in spans]), self.n)
+        score[~unused] = 0
         found = np.flatnonzero(score)
-        return docs[found[np.argsort(-score[found], kind="stable")]]
+        return found[np.argsort(-score[found], kind="stable")]
 
 
 def fill_windows(tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None = None) -> Iterator[tuple[int, int, int, int, int]]:
