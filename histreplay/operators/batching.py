@@ -31,6 +31,11 @@ def base(df: DataFrame, rows: int, id_col: str) -> DataFrame:
     return _numbered(df, [F.col(id_col)]).withColumn("batch_id", F.floor(F.col("__n") / rows)).drop("__n")
 
 
+def clustered(df: DataFrame, rows: int, cluster: Column, id_col: str) -> DataFrame:
+    """batch_id: `rows` consecutive rows in order of the cluster (a number), then by id."""
+    return _numbered(df, [cluster, F.col(id_col)]).withColumn("batch_id", F.floor(F.col("__n") / rows)).drop("__n")
+
+
 def base_by_bytes(df: DataFrame, budget: int, id_col: str, size_col: str) -> DataFrame:
     """batch_id by the bytes before a row, in steps of the budget: a batch holds at most the budget and one row more."""
     return _numbered(df, [F.col(id_col)], F.col(size_col)).withColumn("batch_id", F.floor(F.col("__n") / budget)).drop("__n")

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, DataFrameWriter, SparkSession
 from pyspark.sql import functions as F
 
 from histreplay.functions.digest import event_hash
-from histreplay.operators import stripes
-from histreplay.schema import DAY, EVENT_COLUMNS, LayoutSpec
+from histreplay.operators import stripes, tier
+from histreplay.schema import DAY, EVENT_COLUMNS, STRIPE_INDEX, LayoutSpec
 
 #: A dimension or deletion list with at most this many rows is broadcast.
 BROADCAST_ROWS = 1_000_000
@@ -51,7 +51,10 @@ def rebuild(source: DataFrame, as_of: int, lookback_days: int = 30, layout: Layo
 
 
 def advance(previous: DataFrame, new_day: DataFrame, as_of: int, lookback_days: int = 30, layout: LayoutSpec = LayoutSpec()) -> DataFrame:
-    """The next generation from the last one and one new day. Only the new day need be shuffled where previous is bucketed."""
+    """The next generation from the last one and one new day: equal to a rebuild, without reading the older events again.
+
+    Stripes are cut anew, since those that leave the window move the ranks; both sides are shuffled by user and group.
+    """
     old = stripes.explode(previous)
     new = new_day.select(*old.columns) if layout.per_group else new_day.withColumn("feature_group", F.lit("all")).select(*old.columns)
     return stripes.build(window(old.unionByName(new), as_of, lookback_days), layout)
@@ -64,34 +67,73 @@ def content_digest(generation: DataFrame) -> DataFrame:
 
 
 class Registry:
-    """Generations as bucketed, sorted tables and a view on the published one; readers pin a number."""
+    """Generations as bucketed, sorted, encoded tables, and a table of what was published; readers pin a number.
+
+    The state is in the registry table, a row for each publication or rollback, so that any driver sees it.
+    """
 
-    def __init__(self, spark: SparkSession, name: str = "history", layout: LayoutSpec = LayoutSpec()) -> None:
-        self.spark, self.name, self.layout = spark, name, layout
-        self.published: list[int] = []
+    def __init__(self, spark: SparkSession, name: str = "history", layout: LayoutSpec = LayoutSpec(), root: str | None = None) -> None:
+        self.spark, self.name, self.layout, self.root = spark, name, layout, root
 
     def table(self, gen: int) -> str:
         return f"{self.name}_g{gen}"
 
-    def write(self, generation: DataFrame, gen: int) -> str:
-        """One shuffle into `buckets` buckets by user, sorted by the stripe key; single level, never appended to."""
+    def _save(self, writer: DataFrameWriter, table: str) -> None:
+        (writer if self.root is None else writer.option("path", f"{self.root}/{table}")).saveAsTable(table)
+
+    def write(self, generation: DataFrame, gen: int, codecs: dict[str, str] | None = None) -> str:
+        """One shuffle into `buckets` buckets by user, sorted by the stripe key; single level, never appended to.
+
+        codecs: of each trait, plain if not given. How to read them is kept as a property of the table.
+        """
         n = self.layout.buckets
-        ready = generation.repartition(n, "user_id").sortWithinPartitions("user_id", "feature_group", "first_us")
-        ready.write.mode("overwrite").bucketBy(n, "user_id").sortBy("user_id", "feature_group", "first_us").saveAsTable(self.table(gen))
+        codecs = codecs or {t: "plain" for t in generation.columns if t not in STRIPE_INDEX}
+        ready = tier.encode(generation, codecs).repartition(n, "user_id").sortWithinPartitions("user_id", "feature_group", "first_us")
+        self._save(ready.write.mode("overwrite").bucketBy(n, "user_id").sortBy("user_id", "feature_group", "first_us"), self.table(gen))
+        told = tier.describe(codecs, generation).replace("'", "\\'")
+        self.spark.sql(f"ALTER TABLE {self.table(gen)} SET TBLPROPERTIES ('traits' = '{told}')")
         return self.table(gen)
 
+    def _log(self) -> list:
+        if not self.spark.catalog.tableExists(f"{self.name}_registry"):
+            return []
+        self.spark.catalog.refreshTable(f"{self.name}_registry")
+        return self.spark.table(f"{self.name}_registry").orderBy("seq").collect()
+
+    @property
+    def published(self) -> list[int]:
+        """Publications in force, the last one being read."""
+        out: list[int] = []
+        for r in self._log():
+            if r["action"] == "publish":
+                out.append(r["gen"])
+            else:
+                out = [g for g in out if g != r["gen"]] if r["action"] == "vacuum" else out[:-1]
+        return out
+
+    def _note(self, action: str, gen: int) -> None:
+        row = self.spark.createDataFrame([(len(self._log()), action, gen)], "seq long, action string, gen int")
+        self._save(row.coalesce(1).write.mode("append"), f"{self.name}_registry")
+
     def publish(self, gen: int) -> None:
-        """The switch: new readers see gen, those that pinned another go on with it."""
-        self.spark.table(self.table(gen)).createOrReplaceTempView(self.name)
-        self.published.append(gen)
+        """The switch, one appended row: new readers see gen, those that pinned another go on with it."""
+        self._note("publish", gen)
+        self.read(gen).createOrReplaceTempView(self.name)
 
     def rollback(self) -> int:
-        self.published.pop()
-        self.publish(self.published.pop())
-        return self.published[-1]
-
-    def read(self, gen: int | None = None) -> DataFrame:
-        return self.spark.table(self.table(self.published[-1] if gen is None else gen))
+        """Back to the publication before; refused if there is none."""
+        order = self.published
+        if len(order) < 2:
+            raise ValueError("no earlier publication to go back to")
+        self._note("rollback", order[-1])
+        self.read(order[-2]).createOrReplaceTempView(self.name)
+        return order[-2]
+
+    def read(self, gen: int | None = None, traits: tuple[str, ...] | None = None) -> DataFrame:
+        """Stripes of the pinned generation, or of the published one, with the wanted traits (all if None)."""
+        name = self.table(self.published[-1] if gen is None else gen)
+        told = self.spark.sql(f"SHOW TBLPROPERTIES {name}('traits')").first()["value"]
+        return tier.opened(self.spark.table(name), told, traits)
 
     def vacuum(self, keep: int = 2) -> list[int]:
         """Drops all but the last `keep` published generations; gives those dropped."""
@@ -99,5 +141,5 @@ class Registry:
         gone = order[: max(0, len(order) - keep)]
         for gen in gone:
             self.spark.sql(f"DROP TABLE IF EXISTS {self.table(gen)}")
-        self.published = [g for g in self.published if g not in gone]
+            self._note("vacuum", gen)
         return gone

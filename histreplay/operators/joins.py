@@ -30,6 +30,19 @@ def in_range(left: DataFrame, right: DataFrame, key: str, time: str, lo: str, hi
     return spread.join(placed, [key, "__b"]).filter((F.col(time) >= F.col(lo)) & (F.col(time) <= F.col(hi))).drop("__b")
 
 
+def overlapping(left: DataFrame, right: DataFrame, keys: list[str], own: tuple[str, str], other: tuple[str, str], width: int) -> DataFrame:
+    """Pairs of rows of the same keys whose intervals `own` of left and `other` of right overlap, ends included.
+
+    Both sides are spread over the buckets of time that they touch, and a pair counts in the first bucket that both
+    have; so a short interval doesn't meet all of a long history.
+    """
+    at = lambda c: F.floor(F.col(c) / width)
+    a = left.withColumn("__b", F.explode(F.sequence(at(own[0]), at(own[1]))))
+    b = right.withColumn("__b", F.explode(F.sequence(at(other[0]), at(other[1]))))
+    meet = (F.col(own[0]) <= F.col(other[1])) & (F.col(own[1]) >= F.col(other[0])) & (F.col("__b") == F.greatest(at(own[0]), at(other[0])))
+    return a.join(b, [*keys, "__b"]).filter(meet).drop("__b")
+
+
 def salted(left: DataFrame, right: DataFrame, key: str, salts: int, how: str = "inner") -> DataFrame:
     """An equi-join whose hot keys are dealt over `salts` tasks; right is repeated so many times. how: inner, left, left_semi or left_anti."""
     a = left.withColumn("__salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)))

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from histreplay.schema import ONE_GROUP, STRIPE_INDEX, TenantSpec
 
@@ -35,13 +36,17 @@ def traits(stripes: DataFrame, wanted: tuple[str, ...]) -> DataFrame:
 def with_ranks(pointers: DataFrame, index: DataFrame) -> DataFrame:
     """Adds window_rank: the rank, in this build, of each pointer's first event. Read from the narrow columns alone.
 
-    The stripe that holds the start is found by a range condition on its bounds; events of it before the start are
-    counted from its times, so ties at the bounds come out right.
+    Pointers and stripes lie on one time line for each history, from late to early: the stripe that holds a start is the
+    last one that ended at it or after. One shuffle and one pass, whatever the number of stripes; events of the stripe
+    before the start are counted from its times, so ties at the bounds come out right.
     """
-    at = index.select("user_id", "feature_group", F.col("events_before"), F.col("first_us"), F.col("last_us"), "us")
-    hit = pointers.select("request_id", "user_id", "feature_group", "start_us").join(at, ["user_id", "feature_group"]).filter((F.col("first_us") <= F.col("start_us")) & (F.col("last_us") >= F.col("start_us")))
-    rank = F.col("events_before") + F.size(F.filter("us", lambda x: x < F.col("start_us")))
-    return pointers.join(hit.groupBy("request_id", "feature_group").agg(F.min(rank).alias("window_rank")), ["request_id", "feature_group"], "left")
+    keys = ["user_id", "feature_group"]
+    asks = pointers.select("request_id", *keys, F.col("start_us").alias("t"), F.lit(0).alias("side"), F.lit(0).cast("long").alias("no"))
+    held = index.select(*keys, F.col("last_us").alias("t"), F.lit(1).alias("side"), F.col("stripe_no").alias("no"), F.struct("events_before", "us").alias("stripe"))
+    line = Window.partitionBy(*keys).orderBy(F.col("t").desc(), F.col("side").desc(), F.col("no").desc()).rowsBetween(Window.unboundedPreceding, 0)
+    both = asks.unionByName(held, allowMissingColumns=True).withColumn("at", F.last("stripe", ignorenulls=True).over(line)).filter("side = 0")
+    rank = F.col("at.events_before") + F.size(F.filter("at.us", lambda x: x < F.col("t")))
+    return pointers.join(both.select("request_id", "feature_group", rank.alias("window_rank")), ["request_id", "feature_group"], "left")
 
 
 def spans(pointers: DataFrame, stripes: DataFrame, length: int | None, stripe_len: int) -> DataFrame:

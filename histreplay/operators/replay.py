@@ -5,11 +5,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.operators import project
-from histreplay.schema import HOUR, ONE_GROUP
+from histreplay.operators import joins, project
+from histreplay.schema import DAY, HOUR
 
 #: Stripes that the broadcast strategy takes at most.
 BROADCAST_STRIPES = 200_000
+#: Width of the buckets of time in which the range strategy looks for stripes: about a lookback window.
+RANGE_BUCKET = 32 * DAY
 STRATEGIES = ("range", "equi", "affinity", "broadcast")
 
 
@@ -29,7 +31,7 @@ def multi_range(asks: DataFrame, stripes: DataFrame, strategy: str = "range", pa
     asks has request_id, user_id, feature_group, t_us, start_us, end_us, lo, hi. range: stripes that overlap
     [start, end]; equi: stripe numbers lo..hi, spelled out; affinity: one lookup for each user, group and window of
     time, shared by its requests; broadcast: as range, with the stripes sent to all tasks if they are few enough.
-    parallelism splits the scan into so many tasks.
+    parallelism deals the stripes over so many tasks by user.
     """
     keys = ["user_id", "feature_group"]
     if parallelism:
@@ -44,16 +46,17 @@ def multi_range(asks: DataFrame, stripes: DataFrame, strategy: str = "range", pa
         read = lookups.join(stripes, keys).filter((F.col("stripe_no") >= F.col("from_no")) & (F.col("stripe_no") <= F.col("to_no"))).drop("from_no", "to_no")
         own = wanted.select("request_id", *keys, "slot", "lo", "hi")
         return own.join(read, [*keys, "slot"]).filter((F.col("stripe_no") >= F.col("lo")) & (F.col("stripe_no") <= F.col("hi"))).drop("slot", "lo", "hi")
-    side = stripes
-    if strategy == "broadcast":
-        if stripes.limit(BROADCAST_STRIPES + 1).count() > BROADCAST_STRIPES:
-            raise ValueError(f"more than {BROADCAST_STRIPES} stripes: use another strategy")
-        side = F.broadcast(stripes)
-    elif strategy != "range":
+    if strategy not in ("range", "broadcast"):
         raise ValueError(f"strategy is one of {STRATEGIES}")
     least = F.coalesce("lo", F.lit(0)) if "lo" in asks.columns else F.lit(0)
-    hit = asks.select("request_id", *keys, "start_us", "end_us", least.alias("lo")).join(side, keys)
-    return hit.filter((F.col("first_us") <= F.col("end_us")) & (F.col("last_us") >= F.col("start_us")) & (F.col("stripe_no") >= F.col("lo"))).drop("start_us", "end_us", "lo")
+    bounds = asks.select("request_id", *keys, "start_us", "end_us", least.alias("lo"))
+    if strategy == "range":
+        hit = joins.overlapping(bounds, stripes, keys, ("start_us", "end_us"), ("first_us", "last_us"), RANGE_BUCKET)
+    else:
+        if stripes.limit(BROADCAST_STRIPES + 1).count() > BROADCAST_STRIPES:
+            raise ValueError(f"more than {BROADCAST_STRIPES} stripes: use another strategy")
+        hit = bounds.join(F.broadcast(stripes), keys).filter((F.col("first_us") <= F.col("end_us")) & (F.col("last_us") >= F.col("start_us")))
+    return hit.filter(F.col("stripe_no") >= F.col("lo")).drop("start_us", "end_us", "lo")
 
 
 def cut(asks: DataFrame, read: DataFrame, traits: tuple[str, ...], generation: int | None = None) -> DataFrame:
@@ -121,11 +124,12 @@ def index_join(probe: DataFrame, build: DataFrame, how: str = "merge") -> DataFr
     return probe.join(build.hint(how), ["user_id", "feature_group", "stripe_no"])
 
 
-def scrub_logged(slim: DataFrame, items: DataFrame, limit: int = 1_000_000) -> DataFrame:
-    """Takes the events of deleted items out of the logged arrays too; the list of items must be small (limit)."""
-    if items.count() > limit:
-        raise ValueError(f"more than {limit} deleted items")
-    gone = F.broadcast(items.agg(F.coalesce(F.collect_set(items.columns[0]), F.array()).alias("__gone")))
+def scrub_logged(slim: DataFrame, items: DataFrame) -> DataFrame:
+    """Takes the events of deleted items out of the logged arrays too, by an anti join of the events, however many are deleted."""
     cols = [c for c in slim.columns if c.startswith("m_")]
-    kept = slim.join(gone).withColumn("__ev", F.filter(F.arrays_zip(*cols), lambda e: ~F.array_contains(F.col("__gone"), e["m_item_id"])))
-    return kept.withColumns({c: F.col("__ev")[c] for c in cols}).drop("__ev", "__gone")
+    gone = items.select(F.col(items.columns[0]).cast(dict(slim.select(F.explode("m_item_id").alias("x")).dtypes)["x"]).alias("m_item_id")).distinct()
+    events = slim.select("request_id", F.posexplode(F.arrays_zip(*cols)).alias("k", "e")).select("request_id", "k", "e.*")
+    left = events.join(gone, "m_item_id", "left_anti").groupBy("request_id").agg(F.sort_array(F.collect_list(F.struct("k", *cols))).alias("ev"))
+    kept = slim.select(*[c for c in slim.columns if c not in cols]).join(left, "request_id", "left")
+    parts = [F.coalesce(F.col("ev")[c], F.array()).cast(slim.schema[c].dataType).alias(c) for c in cols]
+    return kept.select("*", *parts).select(*slim.columns)

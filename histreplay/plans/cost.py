@@ -141,11 +141,6 @@ def breakdown(lengths: DataFrame, costs: UnitCosts = UnitCosts()) -> DataFrame:
     return lengths.select("length", F.inline(F.array(*rows)))
 
 
-def schema_change(lookback_days: int) -> dict[str, int]:
-    """Runs until a new column is complete: regeneration against a backfill of daily partitions."""
-    return {"regeneration": 1, "backfill": lookback_days}
-
-
 def lag(train_us: Column, request_us: Column) -> Column:
     return train_us - request_us
 

@@ -40,10 +40,17 @@ def run_many(jobs: list[JobSpec], slim: DataFrame, stripes: DataFrame) -> list[D
 
 
 def batches(df: DataFrame, prefetch: int = 1) -> Iterator[pa.RecordBatch]:
-    """Arrow batches of partitions in order; the next partition is made while one is used."""
-    names = df.columns
-    for row in df.toLocalIterator(prefetchPartitions=prefetch > 0):
-        yield pa.RecordBatch.from_pylist([{n: row[n] for n in names}])
+    """Arrow batches of the partitions in order, as the executors made them; the next partition comes while one is used."""
+
+    def packed(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in parts:
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, part.schema) as out:
+                out.write_batch(part)
+            yield pa.RecordBatch.from_arrays([pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["data"])
+
+    for row in df.mapInArrow(packed, "data binary").toLocalIterator(prefetchPartitions=prefetch > 0):
+        yield from pa.ipc.open_stream(bytes(row["data"]))
 
 
 def prepared(df: DataFrame, rows: int, depth: int = 1) -> DataFrame:

@@ -5,11 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from histreplay.operators import affinity, baselines, history, protocol, replay, stripes, verify
+from histreplay.operators import affinity, baselines, generations, history, protocol, replay, verify
 from histreplay.plans import cost
 from histreplay.queries import sql
-from histreplay.queries.methods import LAYOUT, _case, _hist
-from histreplay.queries.workloads import _c, _counts
+from histreplay.queries.methods import LAYOUT, _case, _end, _hist
+from histreplay.queries.workloads import _c, _counts, wall_curve, wall_sql
 from histreplay.schema import DAY
 
 
@@ -43,10 +43,8 @@ def c12_amortisation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def c15_wall(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The smallest length over the limit, for whole rows and for replay that moves a tenth of them."""
-    costs = cost.UnitCosts()
-    rows = spark.createDataFrame([(m, 2**k, s) for m, s in (("wide", 1.0), ("replay", 0.1)) for k in range(8, 18)], "mode string, length int, share double")
-    found = cost.wall(rows.withColumn("ratio", costs.ratio(F.col("share") * F.col("length"), F.col("length"))))
+    """The smallest length over the limit, for whole rows and for replay; -1 if none is."""
+    found = cost.wall(wall_curve(spark, sf_dir, tuple(1 << k for k in range(8, 18))))
     return found.select("mode", F.coalesce("wall", F.lit(-1)).alias("wall"))
 
 
@@ -65,11 +63,14 @@ def c24_training_lag(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def c26_schema_change(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What a new column costs: the stripes of one regeneration, or the day partitions of the window that a backfill rewrites."""
     hist = _hist(spark, sf_dir)
+    end = _end(hist)
+    inside = hist.filter((F.col("us") < end) & (F.col("us") >= end - 30 * DAY))
     days = hist.select(F.floor(F.col("us") / DAY).alias("day")).distinct().agg(F.count("*").alias("partitions"))
-    built = stripes.build(hist, LAYOUT, ("us", "event_id")).agg(F.count("*").alias("stripes"))
-    effort = cost.schema_change(30)
-    return days.crossJoin(built).withColumns({"regeneration_runs": F.lit(effort["regeneration"]), "backfill_days": F.lit(effort["backfill"])})
+    filled = inside.select(F.floor(F.col("us") / DAY).alias("day")).distinct().agg(F.count("*").alias("backfill_days"))
+    built = generations.rebuild(hist, end, 30, LAYOUT).agg(F.count("*").alias("stripes"))
+    return days.crossJoin(built).crossJoin(filled)
 
 
 def c08_window_share(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -84,8 +85,8 @@ QUERIES = {
     "c09_log_volume": (c09_log_volume, f"{_c()} SELECT CAST(floor(log2(s + m)) AS BIGINT) AS bucket, count(*) AS requests, CAST(sum(5 * (s + m)) AS BIGINT) AS wide_values, CAST(sum(5 * m + CASE WHEN s > 0 THEN 4 ELSE 0 END) AS BIGINT) AS slim_values FROM C GROUP BY 1"),
     "c10_amplification": (c10_amplification, f"{sql.base(100).rstrip()}, D0 AS (SELECT user_id, us, event_id, us // {DAY} - (SELECT min(us) // {DAY} FROM H) AS d FROM H), DD AS (SELECT *, CASE WHEN d < 16 THEN 0 WHEN d < 28 THEN 16 + (d - 16) // 4 * 4 ELSE d END AS run, CASE WHEN d < 16 THEN 2 WHEN d < 28 THEN 1 ELSE 0 END AS mg FROM D0) SELECT avg(n) AS read_runs, (SELECT 1 + avg(mg) FROM DD) AS write_amp FROM (SELECT request_id, count(DISTINCT run) AS n FROM W JOIN DD USING (user_id, us, event_id) WHERE us < c_us GROUP BY 1)"),
     "c12_amortisation": (c12_amortisation, f"{sql.base(key='region').rstrip()}, G AS (SELECT CASE WHEN t_us - lag(t_us) OVER (PARTITION BY user_id ORDER BY t_us, request_id) < 1800000000 THEN 0 ELSE 1 END AS fresh FROM R) SELECT CAST(sum(fresh) AS BIGINT) AS lookups, count(*) AS requests, count(*) / sum(fresh) AS amortisation FROM G"),
-    "c15_wall": (c15_wall, f"WITH P AS (SELECT mode, CAST(1 << CAST(k AS INTEGER) AS INTEGER) AS length, share FROM range(8, 18) t(k), (VALUES ('wide', 1.0::DOUBLE), ('replay', 0.1::DOUBLE)) v(mode, share)) SELECT mode, coalesce(min(length) FILTER (({cost.UnitCosts().d0}::DOUBLE + {cost.UnitCosts().d1!r}::DOUBLE * (share * length)) / (1.0::DOUBLE + {cost.UnitCosts().g1!r}::DOUBLE * length) > 0.75), -1) AS wall FROM P GROUP BY mode"),
+    "c15_wall": (c15_wall, f"{wall_sql(range(8, 18))} SELECT mode, coalesce(min(length) FILTER (ratio > 0.75), -1) AS wall FROM K GROUP BY mode"),
     "c19_fidelity_rate": (c19_fidelity_rate, f"{sql.base()} SELECT count(DISTINCT request_id) AS checked, count(DISTINCT request_id) AS ok, 1.0 AS share FROM W WHERE us < c_us"),
     "c24_training_lag": (c24_training_lag, f"{_H.rstrip()}, {sql.requests()} SELECT round(avg((t_us // {DAY} + 1) * {DAY} - t_us), 3) AS batch_lag_us, count(*) AS requests FROM R"),
-    "c26_schema_change": (c26_schema_change, _H + f"SELECT count(DISTINCT us // {DAY}) AS partitions, (SELECT CAST(sum(n) AS BIGINT) FROM (SELECT CAST(ceil(count(*) / 8.0) AS BIGINT) AS n FROM H GROUP BY user_id)) AS stripes, 1 AS regeneration_runs, 30 AS backfill_days FROM H"),
+    "c26_schema_change": (c26_schema_change, _H.rstrip() + f", E AS (SELECT max(us // {DAY} * {DAY}) AS e FROM H), I AS (SELECT H.* FROM H, E WHERE us < e AND us >= e - 30 * {DAY}) SELECT (SELECT count(DISTINCT us // {DAY}) FROM H) AS partitions, (SELECT CAST(sum(n) AS BIGINT) FROM (SELECT CAST(ceil(count(*) / 8.0) AS BIGINT) AS n FROM I GROUP BY user_id)) AS stripes, (SELECT count(DISTINCT us // {DAY}) FROM I) AS backfill_days"),
 }

@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from histreplay.functions import codec
 from histreplay.functions.digest import ordered
-from histreplay.operators import affinity, baselines, batching, generations, history, mutable, project, protocol, replay, stripes, verify
+from histreplay.operators import affinity, baselines, batching, generations, history, mutable, project, protocol, replay, stripes, tier, verify
 from histreplay.queries import sql
-from histreplay.schema import DAY, HOUR, LayoutSpec, PointerSpec, TenantSpec
+from histreplay.schema import DAY, EVENT_COLUMNS, HOUR, LayoutSpec, PointerSpec, TenantSpec
 from histreplay.sources import tables
+from histreplay.sources.scratch import folder
 
 LAYOUT = LayoutSpec(stripe_len=8)
 LENGTH = 16
@@ -20,10 +23,35 @@ def _hist(spark: SparkSession, sf_dir: str, key: str = "user") -> DataFrame:
     return history.canonical(tables.KEYED[key](spark, sf_dir))
 
 
-def _case(spark: SparkSession, sf_dir: str, spec: PointerSpec = PointerSpec()) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+#: What stored() has written in this process, by application and tables.
+_stored: dict[tuple[str, str], tuple[generations.Registry, str]] = {}
+
+
+def stored(spark: SparkSession, sf_dir: str) -> tuple[generations.Registry, DataFrame]:
+    """The published generation 1 of the tables' history, encoded, and the slim examples logged against it, both in buckets of users.
+
+    Written once for each application: a tier is bulk-loaded once and read by many jobs.
+    """
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _stored:
+        name, root = f"history_{uuid.uuid4().hex[:12]}", f"{folder(spark)}/tier-{uuid.uuid4().hex}"
+        hist = _hist(spark, sf_dir)
+        registry = generations.Registry(spark, name, LAYOUT, root)
+        registry.write(stripes.build(hist, LAYOUT), 1, tier.plan(hist, EVENT_COLUMNS))
+        registry.publish(1)
+        slim = protocol.snapshot(history.requests_of(hist), hist)
+        ready = slim.repartition(LAYOUT.buckets, "user_id").sortWithinPartitions("user_id", "t_us")
+        ready.write.bucketBy(LAYOUT.buckets, "user_id").sortBy("user_id", "t_us").option("path", f"{root}/slim").saveAsTable(f"{name}_slim")
+        _stored[key] = registry, f"{name}_slim"
+    registry, slim_table = _stored[key]
+    return registry, spark.table(slim_table)
+
+
+def _case(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """History, requests, the stored slim examples, and the stripes of the pinned generation they were logged against."""
     hist = _hist(spark, sf_dir)
-    asks = history.requests_of(hist)
-    return hist, asks, protocol.snapshot(asks, hist, spec), stripes.build(hist, LAYOUT)
+    registry, slim = stored(spark, sf_dir)
+    return hist, history.requests_of(hist), slim, registry.read(1)
 
 
 def _text(seq: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -9,11 +10,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from histreplay.functions.digest import event_hash
-from histreplay.operators import baselines, consumers, generations, history, joins, layers, stripes
+from histreplay.operators import baselines, consumers, generations, history, joins, layers, stripes, tier
 from histreplay.queries import sql
 from histreplay.queries.methods import LAYOUT, _hist
-from histreplay.schema import DAY, HOUR
+from histreplay.schema import DAY, EVENT_COLUMNS, HOUR
 from histreplay.sources import tables
+from histreplay.sources.scratch import folder
 from histreplay.sources.tables import micros
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -280,11 +282,20 @@ def o_sample_length(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def o_registry(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two builds, the second published: readers see its rows, and the first ones again after a rollback."""
+    """Two generations are written and published; a rollback brings the first one back, and a pinned reader keeps the second.
+
+    (generation, events, digest) of what the readers get: the published one after the rollback, and the pinned one.
+    """
     hist = _hist(spark, sf_dir)
     end = hist.agg(F.max(F.floor(F.col("us") / DAY) * DAY)).first()[0]
-    gens = [generations.rebuild(hist, end - k * DAY, 14, LAYOUT) for k in (1, 0)]
-    sums = [generations.content_digest(g).withColumn("generation", F.lit(k)) for k, g in enumerate(gens)]
+    registry = generations.Registry(spark, f"builds_{uuid.uuid4().hex[:12]}", LAYOUT, f"{folder(spark)}/builds-{uuid.uuid4().hex}")
+    codecs = tier.plan(hist, EVENT_COLUMNS)
+    for gen in (0, 1):
+        registry.write(generations.rebuild(hist, end - (1 - gen) * DAY, 14, LAYOUT), gen, codecs)
+        registry.publish(gen)
+    current = registry.rollback()
+    readers = {current: registry.read(), 1: registry.read(1)}
+    sums = [generations.content_digest(g).withColumn("generation", F.lit(k)) for k, g in readers.items()]
     return sums[0].unionByName(sums[1])
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,9 +14,10 @@ from histreplay.functions.digest import event_hash, ordered
 from histreplay.operators import affinity, baselines, batching, generations, history, layers, protocol, replay, stripes, verify
 from histreplay.plans import autoscale, cost, prefetch
 from histreplay.queries import sql
-from histreplay.queries.methods import LAYOUT, _case, _end, _hist
+from histreplay.queries.methods import LAYOUT, _case, _end, _hist, stored
 from histreplay.schema import DAY, HOUR, TENANTS, LayoutSpec, PointerSpec, TenantSpec
 from histreplay.sources import tables
+from histreplay.sources.scratch import folder
 
 TOP = max(t.seq_len for t in TENANTS)
 NE_LENGTHS = (4, 16, 64)
@@ -73,17 +75,66 @@ def w04_lookup_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w05_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Measured here: seconds to load each tenant's examples by replay and from wide rows."""
+    """Measured here: (tenant, measure, value), from stored examples, stored stripes and stored wide rows, batch by batch.
+
+    latency_change: seconds a batch by replay over those from wide rows, minus 1; rate_*: examples a second and worker.
+    """
     hist = _hist(spark, sf_dir)
-    asks = history.requests_of(hist)
-    slim, st, wide = protocol.snapshot(asks, hist), stripes.build(hist, LAYOUT), baselines.wide_row(asks, hist, TOP)
-    rows = []
+    registry, slim = stored(spark, sf_dir)
+    path = f"{folder(spark)}/wide-{uuid.uuid4().hex}"
+    baselines.wide_row(history.requests_of(hist), hist, TOP).write.parquet(path)
+    wide, rows = spark.read.parquet(path), []
+    for t in TENANTS:
+        stripes_of = registry.read(1, tuple(dict.fromkeys(("us", "event_id", *t.traits))))
+        for batch in range(2):
+            mine = F.pmod("request_id", F.lit(2)) == batch
+            for mode, df in (("replay", replay.reconstruct(slim.filter(mine), stripes_of, t.seq_len, "affinity")), ("wide", baselines.truncate(wide.filter(mine), t.seq_len))):
+                began = time.perf_counter()
+                n = history.summary(df).count()
+                rows.append((t.name, mode, time.perf_counter() - began, n, spark.sparkContext.defaultParallelism))
+    runs = spark.createDataFrame(rows, "tenant string, mode string, seconds double, rows long, workers int")
+    latency = cost.batch_latency(runs).select("tenant", F.lit("latency_change").alias("measure"), F.col("change").alias("value"))
+    rates = cost.throughput(runs).select(F.lit("all").alias("tenant"), F.concat(F.lit("rate_"), "mode").alias("measure"), F.col("rate").alias("value"))
+    return latency.unionByName(rates)
+
+
+def _size(spark: SparkSession, df: DataFrame, tag: str) -> int:
+    """Bytes of the files that a table makes; only their lengths are read back."""
+    path = f"{folder(spark)}/{tag}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).agg(F.sum("length")).first()[0] or 0
+
+
+def w35_table1_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(tenant, measure, bytes, base, change) in bytes of written files, where examples also carry features of the user.
+
+    write: slim examples over wide rows. read: the tenant's tail of the logged arrays over whole wide rows. lookup_user
+    and lookup_nation_hour: bytes of the encoded stripes that lookups read, one a request, or one a nation and hour,
+    over the wide read of their own examples' elements. density: encoded over plain stripes.
+    """
+    hist = _hist(spark, sf_dir)
+    registry, slim = stored(spark, sf_dir)
+    other = tables.table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"), *[F.col(c) for c in ("c_name", "c_nationkey", "c_acctbal", "c_mktsegment")])
+    full = lambda df: df.join(other, "user_id", "left").repartitionByRange(LAYOUT.buckets, "request_id").sortWithinPartitions("request_id")
+    wide = full(baselines.wide_row(history.requests_of(hist), hist, TOP))
+    wide_bytes, slim_bytes = _size(spark, wide, "wide"), _size(spark, full(slim), "slim")
+    st = registry.read(1)
+    plain = _size(spark, st.repartition(LAYOUT.buckets, "user_id").sortWithinPartitions("user_id", "first_us"), "plain")
+    stored_stripes = spark.table(registry.table(1))
+    encoded = _size(spark, stored_stripes.repartition(LAYOUT.buckets, "user_id").sortWithinPartitions("user_id", "first_us"), "encoded")
+    elems = st.agg(F.sum("n_events")).first()[0]
+    rows = [("all", "write", slim_bytes, wide_bytes), ("all", "density", encoded, plain)]
+    logged = [c for c in slim.columns if c.startswith("m_")]
+    per_elem = {"user": wide_bytes / max(1, _counts(spark, sf_dir).agg(cost.wide_elems(None, TOP)).first()[0])}
+    bases = {k: _counts(spark, sf_dir, k).agg(cost.wide_elems(None, TOP)).first()[0] for k in ("user", "nation")}
     for t in TENANTS:
-        for mode, df in (("replay", replay.reconstruct(slim, st, t.seq_len, "affinity")), ("wide", baselines.truncate(wide, t.seq_len))):
-            began = time.perf_counter()
-            n = history.summary(df).agg(F.sum("n")).first()[0]
-            rows.append((t.name, mode, time.perf_counter() - began, int(n)))
-    return spark.createDataFrame(rows, "tenant string, mode string, seconds double, elems long")
+        cut = slim.withColumns({c: replay._tail(F.col(c), F.lit(t.seq_len)) for c in logged})
+        rows.append((t.name, "read", _size(spark, full(cut), "read"), wide_bytes))
+    for key, window in (("user", None), ("nation", HOUR)):
+        for r in _lookups(spark, sf_dir, key, window).collect():
+            rows.append((r["tenant"], "lookup_user" if key == "user" else "lookup_nation_hour", int(r["lookup_elems"] * encoded / elems), int(bases[key] * per_elem["user"])))
+    found = spark.createDataFrame(rows, "tenant string, measure string, bytes long, base long")
+    return found.withColumn("change", F.col("bytes") / F.col("base") - F.when(F.col("measure").isin("write", "read"), 1).otherwise(0))
 
 
 def w06_fleet(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -117,14 +168,21 @@ def w09_prefetch(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w10_affinity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lookups and shard fan-out with examples in time order, and clustered by nation."""
+    """Lookups, and shards that a batch of 64 touches: examples in time order, clustered as the tier is, and clustered otherwise.
+
+    Clustered batches are cut from the examples in order of 8 shards of users; the tier has 8 shards too, or 6.
+    """
     asks = history.requests_of(_hist(spark, sf_dir, "nation"))
     n = asks.agg(F.count("*").alias("lookups"))
     slots = affinity.lookups(asks, HOUR).agg(F.count("*").alias("lookups"))
-    plain = affinity.fanout(batching.base(asks, 64, "request_id"), 8).agg(F.avg("shards").alias("fanout"))
-    own = asks.withColumn("batch_id", F.pmod("user_id", F.lit(8)))
-    clustered = affinity.fanout(own, 8).agg(F.avg("shards").alias("fanout"))
-    return n.crossJoin(plain).withColumn("mode", F.lit("plain")).unionByName(slots.crossJoin(clustered).withColumn("mode", F.lit("affinity")))
+    plain = affinity.fanout(batching.base(asks, 64, "request_id"), 8)
+    own = batching.clustered(asks, 64, F.pmod("user_id", F.lit(8)), "request_id")
+    modes = {"plain": (n, plain), "affinity": (slots, affinity.fanout(own, 8)), "asymmetric": (slots, affinity.fanout(own, 6))}
+    out = None
+    for mode, (lookups, shards) in modes.items():
+        one = lookups.crossJoin(shards.agg(F.avg("shards").alias("fanout"))).withColumn("mode", F.lit(mode))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def _ladder(counts: DataFrame, lengths: tuple[int, ...]) -> DataFrame:
@@ -196,13 +254,22 @@ def w13_ne_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-def w14_wall(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lengths beyond the data follow the same law: whole rows carry `length` events, replay a tenth of that."""
+def wall_curve(spark: SparkSession, sf_dir: str, lengths: tuple[int, ...]) -> DataFrame:
+    """(length, mode, ratio) by the unit cost model: whole rows carry `length` events.
+
+    Replay carries what the ladder counts for that length on the region key, the share of logged elements, and of
+    looked up ones by the reported read ratio.
+    """
     costs = cost.UnitCosts()
-    rows = spark.range(8, 17).select((F.pow(F.lit(2.0), "id")).cast("int").alias("length"))
-    modes = F.explode(F.array(F.struct(F.lit("wide").alias("mode"), F.lit(1.0).alias("share")), F.struct(F.lit("replay").alias("mode"), F.lit(0.1).alias("share")))).alias("m")
-    found = rows.select("length", modes).select("length", "m.mode", costs.ratio(F.col("m.share") * F.col("length"), F.col("length")).alias("ratio"))
-    return found.withColumn("over", F.col("ratio") > costs.limit)
+    share = (F.col("logged_elems") + F.col("replay_elems") / cost.READ_RATIO) / F.col("wide_elems")
+    rows = _ladder(_counts(spark, sf_dir, "region"), lengths).select("length", share.alias("share"))
+    modes = F.explode(F.array(F.struct(F.lit("wide").alias("mode"), F.lit(1.0).alias("share")), F.struct(F.lit("replay").alias("mode"), F.col("share").alias("share")))).alias("m")
+    return rows.select("length", modes).select("length", "m.mode", costs.ratio(F.col("m.share") * F.col("length"), F.col("length")).alias("ratio"))
+
+
+def w14_wall(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = wall_curve(spark, sf_dir, tuple(1 << k for k in range(8, 17)))
+    return found.select("length", "mode", F.round("ratio", 9).alias("ratio"), (F.col("ratio") > cost.UnitCosts().limit).alias("over"))
 
 
 def w15_ab(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -393,6 +460,12 @@ def _ladder_sql(key: str, lengths: tuple[int, ...]) -> str:
     return f"(WITH X AS ({_c(key)} SELECT * FROM C) SELECT len AS length, CAST(sum(least(s + m, len)) AS BIGINT) AS wide_elems, CAST(sum(least(m, len)) AS BIGINT) AS logged_elems, CAST(sum(least(s, greatest(0, len - m))) AS BIGINT) AS replay_elems, '{key}' AS key FROM X, (VALUES {values}) v(len) GROUP BY len)"
 
 
+def wall_sql(powers: range) -> str:
+    ladder = _ladder_sql("region", tuple(1 << k for k in powers))
+    return f"""WITH L AS {ladder}, M AS (SELECT length, 'wide' AS mode, 1.0::DOUBLE AS share FROM L UNION ALL SELECT length, 'replay', (logged_elems + replay_elems / {cost.READ_RATIO}::DOUBLE) / wide_elems FROM L),
+K AS (SELECT CAST(length AS INTEGER) AS length, mode, ({_COSTS.d0}::DOUBLE + {_COSTS.d1!r}::DOUBLE * (share * length)) / ({_COSTS.g0}::DOUBLE + {_COSTS.g1!r}::DOUBLE * length) AS ratio FROM M)"""
+
+
 def _over_sql(key: str, short: int, long: int) -> str:
     return f"(WITH X AS ({_c(key)} SELECT sum(least(s + m, {short})) AS a, sum(least(s + m, {long})) AS b FROM C) SELECT tenant, CAST(b AS BIGINT) AS read, CAST(CASE tenant WHEN 'short' THEN a ELSE b END AS BIGINT) AS needed, b / CASE tenant WHEN 'short' THEN a ELSE b END AS over_read, '{key}' AS key FROM X, (VALUES ('short'), ('long')) v(tenant))"
 
@@ -420,12 +493,12 @@ QUERIES = {
     "w07_effective": (w07_effective, f"{_look('user', 'request_id')}, DR AS (SELECT avg(n) AS day_runs FROM (SELECT count(DISTINCT us // {DAY}) AS n FROM W WHERE us < c_us GROUP BY request_id)) SELECT tenant, lookup_elems / base / 3.4 AS effective, day_runs, 1 AS single_level_runs FROM LK, BASE, DR"),
     "w08_base_batch": (w08_base_batch, f"{_NAT}, E AS (SELECT row_number() OVER (ORDER BY request_id) - 1 AS i, least(s + m, 1024) AS e FROM C), B AS (SELECT size, i // size AS b, sum(e) AS e FROM E, (VALUES (64), (256), (1024), (4096)) v(size) GROUP BY ALL) SELECT size, count(*) AS batches, CAST(max(e) AS BIGINT) AS peak_elems, avg(e) AS mean_elems FROM B GROUP BY size"),
     "w09_prefetch": (w09_prefetch, f"{_NAT}, B AS (SELECT (row_number() OVER (ORDER BY request_id) - 1) // 64 AS b, m AS r, least(s, greatest(0, 64 - m)) AS l FROM C), T AS (SELECT b, b % 4 AS w, sum(r) AS r, sum(l) AS l FROM B GROUP BY b), G AS (SELECT w, sum(r + l) AS serial, sum(CASE WHEN b < 4 THEN r ELSE 0 END + greatest(l, coalesce(nx, 0))) AS piped FROM (SELECT *, lead(r) OVER (PARTITION BY w ORDER BY b) AS nx FROM T) GROUP BY w) SELECT CAST(max(serial) AS BIGINT) AS serial, CAST(max(piped) AS BIGINT) AS pipelined, max(serial) / max(piped) - 1 AS gain FROM G"),
-    "w10_affinity": (w10_affinity, f"{sql.base(key='nation').rstrip()}, B AS (SELECT (row_number() OVER (ORDER BY request_id) - 1) // 64 AS b, user_id % 8 AS s FROM R) SELECT 'plain' AS mode, (SELECT count(*) FROM R) AS lookups, (SELECT avg(n) FROM (SELECT count(DISTINCT s) AS n FROM B GROUP BY b)) AS fanout UNION ALL SELECT 'affinity', (SELECT count(DISTINCT (user_id, t_us // {HOUR})) FROM R), 1.0"),
+    "w10_affinity": (w10_affinity, f"{sql.base(key='nation').rstrip()}, B AS (SELECT user_id, (row_number() OVER (ORDER BY request_id) - 1) // 64 AS b, (row_number() OVER (ORDER BY user_id % 8, request_id) - 1) // 64 AS c FROM R), S AS (SELECT count(DISTINCT (user_id, t_us // {HOUR})) AS lookups FROM R) SELECT 'plain' AS mode, (SELECT count(*) FROM R) AS lookups, (SELECT avg(n) FROM (SELECT count(DISTINCT user_id % 8) AS n FROM B GROUP BY b)) AS fanout UNION ALL SELECT 'affinity', lookups, (SELECT avg(n) FROM (SELECT count(DISTINCT user_id % 8) AS n FROM B GROUP BY c)) FROM S UNION ALL SELECT 'asymmetric', lookups, (SELECT avg(n) FROM (SELECT count(DISTINCT user_id % 6) AS n FROM B GROUP BY c)) FROM S"),
     "w11_ladder": (w11_ladder, " UNION ALL ".join((_ladder_sql("user", (4, 8, 16, 32, 64)), _ladder_sql("nation", LADDER), _ladder_sql("region", (*LADDER, 16384))))),
     "w12_ne_parity": (w12_ne_parity, f"{_ne_sql(NE_LENGTHS)} SELECT len AS length, round(ne, 9) AS ne_wide, round(ne, 9) AS ne_replay FROM NE"),
     "w13_ne_curve": (w13_ne_curve, f"{_ne_sql((4, 8, 16, 32, 64))} SELECT len AS length, round(ne, 9) AS ne, round(((SELECT ne FROM NE WHERE len = 4) - ne) / (SELECT ne FROM NE WHERE len = 4), 9) AS gain FROM NE"),
     "w13_ne_model": (w13_ne_model, None),
-    "w14_wall": (w14_wall, f"SELECT CAST(1 << k AS INTEGER) AS length, mode, ({_COSTS.d0}::DOUBLE + {_COSTS.d1!r}::DOUBLE * (share * (1 << k))) / ({_COSTS.g0}::DOUBLE + {_COSTS.g1!r}::DOUBLE * (1 << k)) AS ratio, ratio > 0.75 AS over FROM (SELECT CAST(k AS INTEGER) AS k FROM range(8, 17) t(k)), (VALUES ('wide', 1.0::DOUBLE), ('replay', 0.1::DOUBLE)) v(mode, share)"),
+    "w14_wall": (w14_wall, f"{wall_sql(range(8, 17))} SELECT length, mode, round(ratio, 9) AS ratio, ratio > 0.75 AS over FROM K"),
     "w15_ab": (w15_ab, f"WITH {sql.HIST}, U AS (SELECT user_id % 2 AS arm, count(*) AS e, sum(value) AS v, count(*) FILTER (event_type = 'purchase') AS p, count(*) FILTER (event_type = 'signup') AS g FROM H GROUP BY user_id), M AS (SELECT arm, avg(e) AS topline, avg(v) AS consumption, avg(p) AS explicit_purchase, avg(g) AS explicit_signup FROM U GROUP BY arm), X AS (UNPIVOT M ON topline, consumption, explicit_purchase, explicit_signup INTO NAME metric VALUE x) SELECT metric, round(max(x) FILTER (arm = 1) / max(x) FILTER (arm = 0) - 1, 9) AS gain FROM X GROUP BY metric"),
     "w16_amplify_k": (w16_amplify_k, f"WITH {sql.HIST}, D AS (SELECT DISTINCT user_id, us // {DAY} AS d FROM H), G AS (SELECT k, user_id, d * {DAY} + CAST(floor(j * {DAY} / (k + 1)) AS BIGINT) AS t_us, d * {DAY} - 6 * {DAY} AS lo FROM D, (VALUES (1), (2), (4), (8)) v(k), range(1, 9) r(j) WHERE j <= k) SELECT k, count(*) AS wide, count(DISTINCT event_id) AS canonical, count(*) / count(DISTINCT event_id) AS factor FROM G JOIN H ON H.user_id = G.user_id AND us <= t_us AND us >= lo GROUP BY k"),
     "w17_tenant_penalty": (w17_tenant_penalty, _over_sql("user", 4, 64) + " UNION ALL " + _over_sql("region", 100, 10_000)),
@@ -444,5 +517,6 @@ QUERIES = {
     "w31_delete_effort": (w31_delete_effort, f"{_B} SELECT 'patch_wide_rows' AS method, count(DISTINCT request_id) AS rows_rewritten FROM W WHERE item_id IN (SELECT doc_id FROM labels WHERE toxic = 1) UNION ALL SELECT 'rebuild_stripes', CAST(sum(n) AS BIGINT) FROM (SELECT CAST(ceil(count(*) / 8.0) AS BIGINT) AS n FROM H GROUP BY user_id)"),
     "w32_eligibility": (w32_eligibility, f"WITH {sql.HIST} SELECT 'append_only' AS snapshot, 0 AS violations UNION ALL SELECT 'overwritten', 2 * count(*) FROM H WHERE event_id % 1000 = 0 AND value <> 0 AND us < (SELECT max(us // {DAY} * {DAY}) FROM H) - {DAY}"),
     "w33_label_join": (w33_label_join, f"WITH {sql.HIST}, {sql.requests()} SELECT request_id, CAST(CASE WHEN min(h.us) IS NULL THEN 0 ELSE 1 END AS INTEGER) AS label, coalesce(min(h.us - t_us), -1) AS delay_us FROM R LEFT JOIN H h ON h.user_id = R.user_id AND h.event_type = 'purchase' AND h.us > t_us AND h.us <= t_us + {DAY} GROUP BY request_id"),
+    "w35_table1_bytes": (w35_table1_bytes, None),
     "w34_freshness": (w34_freshness, f"{_B.rstrip()}, X AS (SELECT 'replay' AS mode, request_id, max(t_us) - max(us) AS g FROM W GROUP BY request_id UNION ALL SELECT 'immutable_only', request_id, max(t_us) - max(us) FROM W WHERE us < c_us GROUP BY request_id) SELECT mode, round(avg(g), 3) AS avg_lag_us, count(*) AS requests FROM X GROUP BY mode"),
 }

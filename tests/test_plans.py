@@ -2,9 +2,13 @@
 
 import re
 
+import pytest
+from pyspark.sql import functions as F
+
 from histreplay import session
-from histreplay.operators import affinity, generations, history, protocol, replay, stripes
+from histreplay.operators import affinity, generations, history, joins, protocol, replay, stripes
 from histreplay.plans import prep
+from histreplay.queries import methods
 from histreplay.schema import LayoutSpec, TenantSpec
 from histreplay.sources import files, tables
 from histreplay.sources.connector import StripeSource
@@ -65,6 +69,48 @@ def test_registry(spark):
     assert spark.table("hist_test").count() == reg.read(3).count()
 
 
+def test_rollback_needs_an_earlier_publication(spark):
+    reg = generations.Registry(spark, "hist_once", LayoutSpec(stripe_len=8, buckets=4))
+    reg.write(stripes.build(hist_of(spark), LayoutSpec(stripe_len=8)), 7)
+    reg.publish(7)
+    with pytest.raises(ValueError):
+        reg.rollback()
+    assert generations.Registry(spark, "hist_once").published == [7]
+
+
+def test_stored_tier_reads_wanted_columns_and_is_not_shuffled(spark):
+    """Encoded columns of unwanted traits stay in the files; a join by stripe meets the tier's buckets as they are."""
+    former = session.tune(spark)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        registry, slim = methods.stored(spark, SF)
+        table = spark.table(registry.table(1))
+        assert {"us_delta", "event_id_delta", "event_type_words", "event_type_codes", "value"} <= set(table.columns)
+        read = registry.read(1, ("us",)).filter("user_id = 3 and stripe_no >= 2")
+        text, columns = plan(read), read._jdf.queryExecution().executedPlan().collectLeaves().apply(0).output().mkString(",")
+        assert "us_delta" in columns and "event_type" not in columns and "value" not in columns
+        assert "EqualTo(user_id,3)" in text and "GreaterThanOrEqual(stripe_no,2)" in text
+        asks = slim.select("request_id", "user_id", F.inline("pointers")).select("request_id", "user_id", "feature_group", F.lit(0).cast("long").alias("stripe_no"))
+        assert "Exchange" not in plan(replay.index_join(asks, registry.read(1, ("us",))))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        session.restore(spark, former)
+
+
+def test_stored_tier_holds_the_stripes(spark):
+    registry, _ = methods.stored(spark, SF)
+    want = stripes.build(hist_of(spark), methods.LAYOUT)
+    assert want.exceptAll(registry.read(1).select(*want.columns)).count() == 0
+
+
+def test_intervals_meet_once(spark):
+    rows = [(k, k % 3, 7 * k % 90, 7 * k % 90 + k % 40) for k in range(120)]
+    a, b = (spark.createDataFrame(rows, f"{x} long, key long, {x}_lo long, {x}_hi long") for x in "ab")
+    found = joins.overlapping(a, b, ["key"], ("a_lo", "a_hi"), ("b_lo", "b_hi"), 16).collect()
+    got = {(r["a"], r["b"]) for r in found}
+    assert len(got) == len(found) and got == {(x[0], y[0]) for x in rows for y in rows if x[1] == y[1] and x[2] <= y[3] and x[3] >= y[2]}
+
+
 def test_connector_and_files(spark, tmp_path):
     st = stripes.index(stripes.build(hist_of(spark), LayoutSpec(stripe_len=8)))
     path = str(tmp_path / "st")
