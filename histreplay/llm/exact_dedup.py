@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import BROADCAST_ROWS, join_groups, stored, unused
+from histreplay.llm.common import BROADCAST_ROWS, join_groups, release, stored, unused, written
 
 #: Characters that the second step hashes.
 PREFIX = 256
@@ -79,10 +79,11 @@ def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str
     Found by refinement: texts settled by their length or prefix are not hashed to the end. Which of the rows that
     repeat id and text stays, where other columns differ, is open.
     """
-    shape = ("id", "n_bytes", "prefix", "full_hash")
+    since, shape = written(), ("id", "n_bytes", "prefix", "full_hash")
     found = stored(exact_duplicates(docs, id_col, text_col).filter("full_hash is not null"), "found")
     gone = stored(found.filter("not kept").select(*shape).distinct(), "gone")
     twice = stored(found.filter("kept").groupBy(*shape).agg(F.count("*").alias("n")).filter("n > 1").select(*shape), "twice")
+    release(docs.sparkSession, since, keep=2)
     rest = _matching(docs, gone, id_col, text_col, "left_anti")
     if twice.limit(1).count():
         keys = unused(rest.columns, "hash")

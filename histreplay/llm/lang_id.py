@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import by_ids, ship, small_batches, stored, tidied, unused
+from histreplay.llm.common import by_ids, release, ship, small_batches, stored, tidied, unused, written
 from histreplay.llm.textbytes import mix
 
 #: Latin letters up to U+024F and the space have places in a table; any other letter is folded into the places after.
@@ -198,6 +198,7 @@ def keep_identified(docs: DataFrame, spec: LangSpec = LangSpec(), least: float =
     Texts alone decide, so what is rejected is written as the texts' ids, sizes and hashes, and taken out by those. At
     most some tens of numbers for each language reach the driver.
     """
+    since = written()
     prototypes = learn(docs.filter(~held_out(id_col)), spec, text_col, lang_col)
     text = F.coalesce(F.col(text_col), F.lit(""))
     keys = dict(zip(unused(docs.columns, "id_of", "bytes", "hash"), (F.col(id_col), F.octet_length(text), F.xxhash64(text))))
@@ -214,4 +215,5 @@ def keep_identified(docs: DataFrame, spec: LangSpec = LangSpec(), least: float =
     judged = found.join(F.broadcast(table), ["lang_pred", "level"], "left")
     low = (F.col("lang_pred") != UNKNOWN) & (F.col("score") < F.coalesce("bound", F.lit(least)))
     gone = stored(judged.filter((F.col("grams") == 0) | low).select(*keys).distinct(), "unidentified")
+    release(docs.sparkSession, since, keep=1)
     return by_ids(docs.withColumns(keys), gone, list(keys), "left_anti").select(*docs.columns)

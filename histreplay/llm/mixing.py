@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from histreplay.llm.common import BROADCAST_ROWS, bucket_of, range_bounds, shuffle_width, stored, unused, with_prefix_sums
+from histreplay.llm.common import BROADCAST_ROWS, bucket_of, range_bounds, release, shuffle_width, stored, unused, with_prefix_sums, written
 
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -100,6 +100,7 @@ def mixed_documents(docs: DataFrame, weights: Sequence[float] | dict, id_col: st
     differ, which of the rows is repeated is open. Texts are shuffled only where the plan, a row of four numbers for
     each document taken, is too long to broadcast. Null texts are never taken; an empty table gives an empty result.
     """
+    since = written()
     taken = mix(docs, weights, id_col=id_col, text_col=text_col, source_col=source_col, **how)
     source = lambda c: F.coalesce(F.concat(F.lit("s"), F.col(c).cast("string")), F.lit("-"))
     key, whole, cut, again, k = unused(docs.columns, "key", "whole", "cut", "again", "k")
@@ -107,6 +108,7 @@ def mixed_documents(docs: DataFrame, weights: Sequence[float] | dict, id_col: st
     passes = (F.col("epochs") + F.floor(F.col("part") / F.col("size"))).cast("int")
     plan = planned.filter("epochs + part > 0").select(F.col("id").alias(f"{key}_id"), F.col(key).alias(f"{key}_of"), passes.alias(whole), (F.col("part") % F.col("size")).cast("int").alias(cut), (F.col("n") > 1).alias(again))
     plan = stored(plan, "taken")
+    release(docs.sparkSession, since, keep=1)
     keyed = docs.withColumn(key, F.xxhash64(source(source_col), F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))))
     same = keyed[id_col].cast("long").eqNullSafe(plan[f"{key}_id"]) & (keyed[key] == plan[f"{key}_of"])
     joined = keyed.join(F.broadcast(plan) if plan.count() <= BROADCAST_ROWS else plan, same).drop(f"{key}_id", f"{key}_of")

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import BROADCAST_ROWS, by_ids, join_groups, ship, stored, tidied
+from histreplay.llm.common import BROADCAST_ROWS, by_ids, join_groups, release, ship, stored, tidied, written
 from histreplay.llm.components import components
 from histreplay.llm.textbytes import mix, shingle_sets, slices
 
@@ -335,7 +335,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", spec: NearDupSpec = NearDupSpec()) -> DataFrame:
-    """The documents without those that belong to a component of a smaller id; all columns stay."""
+    """The documents without those that belong to a component of a smaller id; all columns stay.
+
+    What was written on the way is deleted; the list of ids that go stays.
+    """
+    since = written()
     found = near_duplicates(docs, id_col, text_col, spec)
     gone = stored(found.filter("not kept").select(F.col("id").alias(id_col)).distinct(), "gone")
+    release(docs.sparkSession, since, keep=1)
     return by_ids(docs, gone, [id_col], "left_anti")
