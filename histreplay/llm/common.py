@@ -173,7 +173,7 @@ def join_groups(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str
     """Left-joins rows with a table that has one row for each key; keys are not null, `weight` counts the key's rows.
 
     Hot keys (a share of HOT_SHARE or more, so at most 1 / HOT_SHARE of them) are broadcast, and their rows are dealt
-    out at random in the shuffle join that serves the others. The cold side's salt is 0, written so that the optimiser
+    out at random in the shuffle join that serves the others, at every size. The cold side's salt is 0, written so that the optimiser
     can't fold it and drop it from the join's keys. Three passes read the groups, which are written first unless they are `fixed`:
     a written table already.
     """
@@ -185,7 +185,7 @@ def join_groups(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str
     cold = groups.filter(F.col(weight) < least).select(*keys, F.struct(*value_cols).alias("__cold"), F.least(F.col(weight), F.lit(0)).cast("int").alias("__salt"))
     marked = rows.join(F.broadcast(hot), keys, "left")
     salt = F.when(F.col("__hot").isNull(), 0).otherwise(1 + F.pmod(F.xxhash64(*rows.columns), F.lit(1_000_000)))
-    joined = marked.withColumn("__salt", salt.cast("int")).join(cold, [*keys, "__salt"], "left")
+    joined = marked.withColumn("__salt", salt.cast("int")).join(cold.hint("shuffle_merge"), [*keys, "__salt"], "left")
     found = F.coalesce("__hot", "__cold")
     return joined.select(*rows.columns, *[found[c].alias(c) for c in value_cols])
 
