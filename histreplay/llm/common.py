@@ -98,24 +98,26 @@ def ship(spark: SparkSession) -> None:
         env["PYTHONPATH"] = os.pathsep.join([root, *paths])
 
 
-def tidied(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
-    """The function for mapInArrow; when its task ends, the Python worker gives freed memory back to the system.
+def give_back() -> None:
+    """Returns what this process has freed to the system; allocators keep it otherwise."""
+    import ctypes
+    import gc
 
-    Workers outlive their tasks, and allocators keep what was freed.
-    """
+    import pyarrow
 
-    def whole(batches: Iterator) -> Iterator:
-        import ctypes
-        import gc
+    gc.collect()
+    pyarrow.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
 
-        import pyarrow
 
+def tidied(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """The function for mapInArrow; when its task ends, the Python worker gives freed memory back, since workers outlive their tasks."""
+
+    def whole(batches: Iterator) -> Iterator:
         yield from run(batches)
-        gc.collect()
-        pyarrow.default_memory_pool().release_unused()
-        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
-        if trim is not None:
-            trim(0)
+        give_back()
 
     return whole
 

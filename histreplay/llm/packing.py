@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from histreplay.llm.common import range_bounds, ship, shuffle_width, stored, tidied
-from histreplay.llm.tokenise import CACHE_PIECES, ids_of, tokenised
+from histreplay.llm.tokenise import CACHE_PIECES, forget, ids_of, tokenised
 
 
 #: Rows of a batch that goes back to Spark.
@@ -27,7 +27,7 @@ TASK_BYTES = 256 << 20
 class PackSpec:
     """window: tokens of a sequence; shard_bytes: text that shares an index, about; terms: of a query, the weightiest, or None for all;
 
-    cache_pieces: what a Python worker keeps of encoded pieces, about 200 bytes each, also after the operator's end.
+    cache_pieces: what a Python worker keeps of encoded pieces, about 200 bytes each, until the texts are encoded.
     """
 
     window: int = 4096
@@ -155,6 +155,7 @@ def corpus_of(coded: DataFrame) -> Corpus:
     """The statistics over all rows; the driver gets a row for each token id in use."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         df = np.zeros(1 << 16, np.int64)
         for batch in batches:
             for _, tokens in parts(batch, 0, 1):
@@ -226,6 +227,7 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
     corpus = corpus_of(coded)
 
     def placed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         for batch in batches:
             names = batch.column(0).to_pylist()
             for first, tokens in parts(batch, 2, 3):
@@ -236,6 +238,7 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
     shards = len(cuts) + 1
 
     def sharded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         for batch in batches:
             names = batch.column(0).to_pylist()
             for first, tokens in parts(batch, 2, 3):
@@ -263,6 +266,7 @@ def pack(docs: DataFrame, vocabulary: str, kind: str = "word_level", spec: PackS
         yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(out, kinds)], list(columns))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         own, ids, tokens = None, [], []
         for batch in batches:
             for name, wide, data, number in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3).to_pylist()):

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import ship, tidied
+from histreplay.llm.common import give_back, ship, tidied
 
 #: Pieces that a worker keeps, about 200 bytes each; when there are more, the cache starts anew.
 CACHE_PIECES = 1_200_000
@@ -118,6 +118,13 @@ def encoder(path: str, kind: str, most: int = CACHE_PIECES) -> Encoder:
     return Encoder(path, kind, most)
 
 
+def forget() -> None:
+    """Frees the worker's encoders with their caches, for tasks that come after the last text is encoded."""
+    if encoder.cache_info().currsize:
+        encoder.cache_clear()
+        give_back()
+
+
 def encoded(batch: pa.RecordBatch, tok: Encoder, columns: tuple[int, ...], text: int, rows: int = 256, most: int = 1 << 19) -> Iterator[tuple]:
     """(*columns, ids) of each row in order; `rows` rows or about `most` characters of text are in Python at a time."""
     for at in range(0, batch.num_rows, rows):

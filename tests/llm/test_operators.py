@@ -18,7 +18,7 @@ from histreplay.llm import exact_dedup, lang_id, license_scan, mixing, near_dedu
 from histreplay.llm.common import join_groups, with_prefix_sums
 from histreplay.llm.components import components
 from histreplay.llm.registry import SOURCE_WEIGHTS, queries
-from histreplay.llm.tokenise import Encoder
+from histreplay.llm.tokenise import Encoder, encoder, forget
 
 SF = "/root/testdata/sf0.001"
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -836,3 +836,12 @@ def test_queries_cover_the_table(spark, name):
     n = spark.read.parquet(f"{SF}/documents.parquet").count()
     assert len(rows) == n if name not in ("op9_neighbour_packing", "pipeline") else len({r["doc_id"] for r in rows}) <= n
     assert not any(kind in ("array", "map", "struct") for _, kind in found.dtypes)
+
+
+def test_forget_frees_the_encoders():
+    path = P.path("word_bpe_49k.json")
+    first = encoder(path, "word_level")
+    ids = first.encode(["Some words, some more."])
+    forget()
+    again = encoder(path, "word_level")
+    assert again is not first and not again.cache and again.encode(["Some words, some more."]) == ids
