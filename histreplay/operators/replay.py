@@ -2,14 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from histreplay.operators import joins, project
 from histreplay.schema import DAY, HOUR
+from histreplay.sources.scratch import folder
 
-#: Stripes that the broadcast strategy takes at most.
+#: Stripes that the broadcast strategy sends at once; more of them go in rounds.
 BROADCAST_STRIPES = 200_000
+#: Files of a round's asks and stripes.
+ROUND_FILES = 8
 #: Width of the buckets of time in which the range strategy looks for stripes: about a lookback window.
 RANGE_BUCKET = 32 * DAY
 STRATEGIES = ("range", "equi", "affinity", "broadcast")
@@ -25,12 +30,45 @@ def _tail(values: Column, n: Column) -> Column:
     return F.when(n <= 0, F.slice(values, F.lit(1), F.lit(0))).otherwise(F.slice(values, F.greatest(F.lit(1), size - n + 1).cast("int"), F.greatest(F.lit(0), n).cast("int")))
 
 
+def _held(bounds: DataFrame, stripes: DataFrame, keys: list[str]) -> DataFrame:
+    """The stripes that overlap each ask's [start_us, end_us], with the stripes sent to all tasks."""
+    return bounds.join(F.broadcast(stripes), keys).filter((F.col("first_us") <= F.col("end_us")) & (F.col("last_us") >= F.col("start_us")))
+
+
+def _in_rounds(bounds: DataFrame, stripes: DataFrame, keys: list[str], count: int) -> DataFrame:
+    """As _held for more stripes than are sent at once: a round for each block of histories, and in memory one round's at a time.
+
+    Asks and stripes are written by block, so a round reads its own block only. Blocks of histories so long that they
+    still hold too many stripes are sent in several parts, each of which meets all asks of the block.
+    """
+    spark, root = stripes.sparkSession, f"{folder(stripes.sparkSession)}/rounds-{uuid.uuid4().hex}"
+    blocks = -(-2 * count // BROADCAST_STRIPES)
+    block = F.pmod(F.xxhash64(*keys), F.lit(blocks)).cast("int")
+    sides = {"asks": (bounds, "request_id"), "stripes": (stripes, "stripe_no")}
+    for side, (rows, own) in sides.items():
+        dealt = rows.withColumn("block", block).repartition("block", F.pmod(F.xxhash64(own), F.lit(ROUND_FILES)))
+        dealt.write.partitionBy("block").parquet(f"{root}/{side}")
+    asks, stored = (spark.read.schema(f"{', '.join(f'`{c}` {t}' for c, t in rows.dtypes)}, block int").parquet(f"{root}/{side}") for side, (rows, _) in sides.items())
+    schema = None
+    for r in stored.groupBy("block").count().collect():
+        wanted, held = (x.filter(F.col("block") == r["block"]).drop("block") for x in (asks, stored))
+        parts = 1 if r["count"] <= BROADCAST_STRIPES else -(-2 * r["count"] // BROADCAST_STRIPES)
+        for k in range(parts):
+            hit = _held(wanted, held if parts == 1 else held.filter(F.pmod(F.xxhash64(*keys, "stripe_no"), F.lit(parts)) == k), keys)
+            hit.write.mode("append").parquet(f"{root}/hit")
+            schema = hit.schema
+    for side in sides:
+        path = spark._jvm.org.apache.hadoop.fs.Path(f"{root}/{side}")
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    return spark.read.schema(schema).parquet(f"{root}/hit")
+
+
 def multi_range(asks: DataFrame, stripes: DataFrame, strategy: str = "range", parallelism: int | None = None, window: int = HOUR) -> DataFrame:
     """(request_id, feature_group, stripe columns): all stripes that the asked ranges touch, in one join for all ranges.
 
     asks has request_id, user_id, feature_group, t_us, start_us, end_us, lo, hi. range: stripes that overlap
     [start, end]; equi: stripe numbers lo..hi, spelled out; affinity: one lookup for each user, group and window of
-    time, shared by its requests; broadcast: as range, with the stripes sent to all tasks if they are few enough.
+    time, shared by its requests; broadcast: as range, with the stripes sent to all tasks, in rounds if they are many.
     parallelism deals the stripes over so many tasks by user.
     """
     keys = ["user_id", "feature_group"]
@@ -53,9 +91,8 @@ def multi_range(asks: DataFrame, stripes: DataFrame, strategy: str = "range", pa
     if strategy == "range":
         hit = joins.overlapping(bounds, stripes, keys, ("start_us", "end_us"), ("first_us", "last_us"), RANGE_BUCKET)
     else:
-        if stripes.limit(BROADCAST_STRIPES + 1).count() > BROADCAST_STRIPES:
-            raise ValueError(f"more than {BROADCAST_STRIPES} stripes: use another strategy")
-        hit = bounds.join(F.broadcast(stripes), keys).filter((F.col("first_us") <= F.col("end_us")) & (F.col("last_us") >= F.col("start_us")))
+        count = stripes.count()
+        hit = _held(bounds, stripes, keys) if count <= BROADCAST_STRIPES else _in_rounds(bounds, stripes, keys, count)
     return hit.filter(F.col("stripe_no") >= F.col("lo")).drop("start_us", "end_us", "lo")
 
 

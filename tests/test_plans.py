@@ -134,3 +134,14 @@ def test_prep_jobs(spark):
     assert all(r["event_id"] == tails[r["request_id"]][-4:] for r in short.collect())
     assert prep.prepared(short, 16).count() == len(tails)
     assert sum(b.num_rows for b in prep.batches(short.select("request_id"))) == len(tails)
+
+
+@pytest.mark.parametrize("most", [12, 4])
+def test_many_stripes_are_broadcast_in_rounds(spark, monkeypatch, most):
+    """More stripes than are sent at once: the same rows, also where one history alone has more (most 4)."""
+    hist = hist_of(spark).filter("user_id < 3")
+    slim, st = protocol.snapshot(history.requests_of(hist), hist).persist(), stripes.build(hist, LayoutSpec(stripe_len=8)).persist()
+    assert st.count() > 12 and st.groupBy("user_id").count().filter("count > 4").count()
+    want = sorted(replay.reconstruct(slim, st, 16, "range").collect())
+    monkeypatch.setattr(replay, "BROADCAST_STRIPES", most)
+    assert want and sorted(replay.reconstruct(slim, st, 16, "broadcast").collect()) == want
