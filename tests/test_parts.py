@@ -53,12 +53,25 @@ def test_rebatch_is_a_permutation(spark):
 
 def test_autoscale(spark):
     policy = autoscale.Policy()
-    rows = autoscale.signals(spark, 40)
-    w, want = 10, []
-    for r in rows.orderBy("tick").collect():
-        w = autoscale.step(w, r["starvation"], r["waste"], policy)
-        want.append(w)
-    assert [r["workers"] for r in autoscale.simulate(rows, 10).orderBy("tick").collect()] == want
+    loads = {"view": [4, 1, 0, 9, 1, 1], "click": [0, 0, 3, 3, 0, 0]}
+    rows = spark.createDataFrame([(kind, 10 * (7 + t) + k) for kind, own in loads.items() for t, n in enumerate(own) for k in range(n)], "event_type string, us long")
+    signals = autoscale.signals(rows, 10)
+    series = {(r["job"], r["tick"]): (r["starvation"], r["waste"]) for r in signals.collect()}
+    got = {(r["job"], r["tick"]): r["workers"] for r in autoscale.simulate(signals, 10).collect()}
+    assert set(got) == set(series) == {(kind, t) for kind in loads for t in range(6)}
+    for kind, own in loads.items():
+        w, mean = 10, sum(own) / 6
+        for t, n in enumerate(own):
+            assert series[kind, t] == pytest.approx((max(0, n - mean) / max(n, 1), max(0, mean - n) / mean))
+            w = autoscale.step(w, *series[kind, t], policy)
+            assert got[kind, t] == w
+
+
+def test_autoscale_reads_the_events(spark):
+    from histreplay.queries import workloads
+
+    files = workloads.w24_autoscale(spark, "/root/testdata/sf0.001").inputFiles()
+    assert files and all(f.endswith("events.parquet") for f in files)
 
 
 @settings(max_examples=10, deadline=None)
