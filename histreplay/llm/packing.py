@@ -17,6 +17,8 @@ from histreplay.llm.tokenise import CACHE_PIECES, forget, ids_of, tokenised
 
 #: Rows of a batch that goes back to Spark.
 PIECES = 256
+#: A term that one in so many documents of a shard holds has its weights in a row for all of them.
+DENSE = 8
 #: Token ids whose terms are counted at once.
 RUN_IDS = 1 << 18
 #: Text of a task's shards, about, once there are more of them than the session's shuffle partitions.
@@ -76,9 +78,18 @@ class Index:
         norm = (spec.k1 * (1 - spec.b + spec.b * lens / max(1.0, mean))).astype(np.float32)
         self.weight = idf[self.rank] * tf * np.float32(spec.k1 + 1) / (tf + norm[doc])
         self.start = np.append(np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]])), len(doc))
-        # The postings of documents that may still be found, term by term: where each term's begin, documents, weights.
-        by_term = np.argsort(self.rank.astype(np.uint16) if len(ids) <= 1 << 16 else self.rank, kind="stable")
-        self.live = np.append(0, np.cumsum(self.held)), doc[by_term].astype(np.int64), self.weight[by_term].astype(np.float64)
+        # Of documents that may still be found: the postings of rarer terms, term by term (where each term's begin, documents,
+        # weights), and a row of weights for each term that a share of 1 / DENSE of the documents holds.
+        often = np.flatnonzero(self.held * DENSE >= self.n)
+        self.row = np.full(len(ids), -1, np.int32)
+        self.row[often] = np.arange(len(often))
+        row = self.row[self.rank]
+        rows = np.zeros((len(often), self.n))
+        rows[row[row >= 0], doc[row >= 0]] = self.weight[row >= 0]
+        rare = np.flatnonzero(row < 0)
+        by_term = rare[np.argsort(self.rank[rare].astype(np.uint16) if len(ids) <= 1 << 16 else self.rank[rare], kind="stable")]
+        begin = np.append(0, np.cumsum(np.where(self.row < 0, self.held, 0)))
+        self.live = begin, doc[by_term].astype(np.int64), self.weight[by_term].astype(np.float64), rows, np.arange(self.n)
         self.left = self.n
 
     def query(self, seed: int) -> np.ndarray:
@@ -92,16 +103,21 @@ class Index:
     def neighbours(self, seed: int, unused: np.ndarray) -> np.ndarray:
         """Unused documents that share a query term, best first; ties by place. What is used once stays so."""
         left = np.count_nonzero(unused)
-        begin, doc, weight = self.live
+        begin, doc, weight, rows, alive = self.live
         if 8 * left < 7 * self.left:
-            kept = unused[doc]
+            kept, stay = unused[doc], unused[alive]
             begin, doc, weight = np.append(0, np.cumsum(kept))[begin], doc[kept], weight[kept]
-            self.live, self.left = (begin, doc, weight), left
+            self.live, self.left = (begin, doc, weight, rows.compress(stay, 1), alive[stay]), left
+            rows, alive = self.live[3:]
         query = self.query(seed)
-        spans = [slice(a, b) for a, b in zip(begin[query].tolist(), begin[query + 1].tolist())]
-        if not spans:
-            return np.zeros(0, np.int64)
-        score = np.bincount(np.concatenate([doc[x] for x in spans]), np.concatenate([weight[x] for x in spans]), self.n)
+        row = self.row[query]
+        rare, near, score = query[row < 0], np.zeros(len(alive)), np.zeros(self.n)
+        spans = [slice(a, b) for a, b in zip(begin[rare].tolist(), begin[rare + 1].tolist())]
+        if spans:
+            score += np.bincount(np.concatenate([doc[x] for x in spans]), np.concatenate([weight[x] for x in spans]), self.n)
+        for k in row[row >= 0].tolist():
+            near += rows[k]
+        score[alive] += near
         score[~unused] = 0
         found = np.flatnonzero(score)
         return found[np.argsort(-score[found], kind="stable")]

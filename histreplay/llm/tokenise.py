@@ -35,6 +35,38 @@ _SPLIT = {
     "word_level": re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_L}]+|[{_N}]|[^{_S}{_L}{_N}]+"),
 }
 
+#: What each Latin-1 character is to the split pattern of word_level: white space, letter, number, other.
+_KIND = np.array([next((k for k, own in enumerate((_S, _L, _N)) if re.match(f"[{own}]", chr(c))), 3) for c in range(256)], np.uint8)
+#: The character that the vocabularies put for a byte: itself if it is printable, else one from 256 on.
+_HIDDEN = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255)]
+_SHOWN = {b: chr(256 + k) for k, b in enumerate(_HIDDEN)}
+
+
+def word_cuts(text: bytes, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of what the split pattern of word_level finds in lower-case Latin-1 texts, text after text; off are the texts' offsets.
+
+    Runs of letters, runs of other characters and single numbers; an apostrophe at which a match begins takes a short
+    ending of the pattern's with it, after which a new match begins.
+    """
+    data = np.frombuffer(text, np.uint8)
+    kind = np.append(_KIND[data], np.uint8(0))
+    heads = np.zeros(len(kind), bool)
+    heads[off] = True
+    begin = heads | (kind == 2)
+    begin[1:] |= kind[1:] != kind[:-1]
+    at = np.flatnonzero(data == 39)
+    at = at[begin[at] & (kind[at + 1] == 1) & ~heads[at + 1]]
+    one = np.isin(data[at + 1], np.frombuffer(b"stmd", np.uint8))
+    late = np.minimum(at + 2, len(data) - 1)
+    pair = (data[at + 1].astype(np.int64) << 8 | data[late]) * ((kind[at + 2 - (at + 2 > len(data))] == 1) & (late == at + 2) & ~heads[late])
+    two = np.isin(pair, [ord(x) << 8 | ord(y) for x, y in ("re", "ve", "ll")])
+    begin[at[one | two] + 1] = False
+    after = np.concatenate([at[one] + 2, at[two] + 3])
+    begin[after[kind[after] == 1]] = True
+    cuts = np.flatnonzero(begin)
+    full = kind[cuts[:-1]] > 0
+    return cuts[:-1][full], cuts[1:][full]
+
 
 class Encoder:
     """ids of texts as little-endian unsigned 32-bit bytes, equal to the library's encode(text, add_special_tokens=False).
@@ -59,24 +91,36 @@ class Encoder:
     def _library(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def pieces(self, text: str) -> list[str] | None:
+    def _cuttable(self, text: str) -> bool:
         if self.split is None or "<|" in text:
-            return None
+            return False
         if not text.isascii():
             try:
                 text.encode("latin-1")
             except UnicodeEncodeError:
-                return None
-        return self.split.findall(text.lower() if self.lower else text)
+                return False
+        return True
+
+    def pieces(self, text: str) -> list[str] | None:
+        return self.split.findall(text.lower() if self.lower else text) if self._cuttable(text) else None
 
     def _learn(self, new: list[str]) -> None:
-        """Encodes new pieces. Plain words go in one text, where the library cuts them apart again as it does in any text."""
+        """Encodes new pieces. Plain words go in one text, where the library cuts them apart again as it does in any text.
+
+        Words of word_level go to the library's model at once, as the characters that its last step puts for their bytes:
+        in Latin-1 and lower case, its other steps leave them as they are.
+        """
         lead = "" if self.lower else " "
         words = [x for x in new if x.startswith(lead) and x[len(lead) :].isalpha()]
         rest = set(new).difference(words)
+        if self.lower:
+            model = self.library.model.tokenize
+            for x in words:
+                self.cache[x] = array("I", [t.id for t in model(x if x.isascii() else x.encode().decode("latin-1").translate(_SHOWN))]).tobytes()
+            words = []
         for k in range(0, len(words), JOINED):
             own = words[k : k + JOINED]
-            found = self.library.encode((" " if self.lower else "").join(own), add_special_tokens=False)
+            found = self.library.encode("".join(own), add_special_tokens=False)
             ids = array("I", found.ids).tobytes()
             ends = (4 * (np.flatnonzero(np.diff(np.array(found.word_ids, np.int64))) + 1)).tolist()
             if len(ends) + 1 != len(own):
@@ -86,10 +130,44 @@ class Encoder:
         left = list(rest)
         self.cache.update(zip(left, self._library(left)))
 
+    def _known(self, words: list[str]) -> list[bytes]:
+        """ids of pieces from the cache, to which those it lacks are added."""
+        found = list(map(self.cache.get, words))
+        gaps = [i for i, x in enumerate(found) if x is None]
+        if gaps:
+            self._learn([words[i] for i in gaps])
+            for i in gaps:
+                found[i] = self.cache[words[i]]
+        return found
+
+    def _encode_words(self, texts: list[str]) -> list[bytes]:
+        """ids of Latin-1 texts by word_level: all are cut at once, and there is one look into the cache for each distinct piece."""
+        text = "".join(texts).lower().encode("latin-1")
+        off = np.append(0, np.cumsum([len(x) for x in texts]))
+        start, end = word_cuts(text, off)
+        if not len(start):
+            return [b""] * len(texts)
+        data = np.frombuffer(text, np.uint8)
+        ends = np.append(0, np.cumsum(end - start)).astype(np.int32)
+        pieces = pa.Array.from_buffers(pa.binary(), len(start), [None, pa.py_buffer(ends), pa.py_buffer(data[_KIND[data] > 0])]).dictionary_encode()
+        _, bounds, body = pieces.dictionary.buffers()
+        bounds, body = np.frombuffer(bounds, np.int32)[: len(pieces.dictionary) + 1].tolist(), body.to_pybytes().decode("latin-1")
+        ids = self._known([body[a:b] for a, b in zip(bounds, bounds[1:])])
+        code, size = pieces.indices.to_numpy(), np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        first, n = np.cumsum(size) - size, size[code]
+        total = np.append(0, np.cumsum(n))
+        flat = np.frombuffer(b"".join(ids), "<u4")[np.repeat(first[code] - total[:-1], n) + np.arange(total[-1])]
+        edge = total[np.searchsorted(start, off)].tolist()
+        return [flat[a:b].tobytes() for a, b in zip(edge, edge[1:])]
+
     def encode(self, texts: list[str]) -> list[bytes]:
         """One look into the cache for each piece; the places of those it lacks are filled in once they are known."""
         if len(self.cache) > self.most:
             self.cache.clear()
+        if self.lower and self.split is not None:
+            whole = [self._cuttable(x) for x in texts]
+            cut = iter(self._encode_words([x for x, own in zip(texts, whole) if own]))
+            return [next(cut) if own else self._library([x])[0] for x, own in zip(texts, whole)]
         get, out, open_ = self.cache.get, [], []
         for k, text in enumerate(texts):
             own = self.pieces(text)

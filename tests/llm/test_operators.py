@@ -14,7 +14,7 @@ import pytest
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from histreplay.llm import exact_dedup, lang_id, license_scan, mixing, near_dedup, packing, quality_resample, quality_rules, sharding, token_codes
+from histreplay.llm import common, exact_dedup, lang_id, license_scan, mixing, near_dedup, packing, quality_resample, quality_rules, sharding, token_codes, tokenise
 from histreplay.llm.common import join_groups, with_prefix_sums
 from histreplay.llm.components import components
 from histreplay.llm.registry import SOURCE_WEIGHTS, queries
@@ -845,3 +845,48 @@ def test_forget_frees_the_encoders():
     forget()
     again = encoder(path, "word_level")
     assert again is not first and not again.cache and again.encode(["Some words, some more."]) == ids
+
+
+def test_words_are_cut_as_the_split_pattern_does():
+    """Apostrophes, single numbers, white space of Latin-1, and ends of texts, many texts at once."""
+    rnd = random.Random(4)
+    letters = "ab'strevmld .!?9²\xa0é\x85ÀßÿªµI\n''\x1c"
+    for _ in range(3000):
+        texts = ["".join(rnd.choice(letters) for _ in range(rnd.randint(0, 14))) for _ in range(rnd.randint(1, 4))]
+        data = "".join(texts).lower().encode("latin-1")
+        start, end = tokenise.word_cuts(data, np.append(0, np.cumsum([len(x) for x in texts])))
+        assert [data[a:b].decode("latin-1") for a, b in zip(start, end)] == [w for x in texts for w in tokenise._SPLIT["word_level"].findall(x.lower())]
+
+
+def test_a_distinct_word_of_a_batch_is_looked_up_once():
+    """The cache is asked for each distinct piece of the texts, and their ids are the library's."""
+    path = P.path("word_bpe_49k.json")
+    tok, asked = Encoder(path, "word_level"), []
+
+    class Watched(dict):
+        def get(self, key, *rest):
+            asked.append(key)
+            return super().get(key, *rest)
+
+    tok.cache = Watched()
+    texts = ["Don't go, don't: naïve Ünïts 42 of THE the\xa0the", "", "the café's 'street' ÿª", "日本 the", "<|endoftext|> the"]
+    library = Tokenizer.from_file(path)
+    for _ in range(2):
+        asked.clear()
+        assert [np.frombuffer(x, "<u4").tolist() for x in tok.encode(texts)] == [library.encode(x, add_special_tokens=False).ids for x in texts]
+        assert len(asked) == len(set(asked)) > 10
+
+
+def test_common_terms_are_scored_by_rows(monkeypatch):
+    """Rows for the terms of many documents give what postings alone give, also when documents have been used."""
+    rnd = np.random.default_rng(3)
+    docs = [np.minimum(rnd.zipf(1.3, rnd.integers(1, 80)), 500).astype(np.uint32) for _ in range(120)]
+    index = packing.Index(docs, packing.PackSpec())
+    assert len(index.live[3]) > 5 and (index.held * packing.DENSE >= index.n).sum() == len(index.live[3])
+    monkeypatch.setattr(packing, "DENSE", 0)
+    plain = packing.Index(docs, packing.PackSpec())
+    assert len(plain.live[3]) == 0
+    unused = np.ones(len(docs), bool)
+    for seed in rnd.permutation(len(docs)):
+        unused[seed] = False
+        assert index.neighbours(seed, unused).tolist() == plain.neighbours(seed, unused).tolist()
