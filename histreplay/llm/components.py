@@ -2,11 +2,30 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from histreplay.llm.common import join_groups, stored
 
+#: Links, of two 64-bit ids each, that are joined in the driver's memory; more of them are joined by rounds over tables.
+LOCAL_LINKS = 500_000
+
+
+def joined(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The ids in links (a, b) and for each the smallest id reachable. Roots go under smaller roots until no link is left between two."""
+    ids, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y, root = at[: len(a)], at[len(a) :], np.arange(len(ids))
+    while len(x):
+        p, q = root[x], root[y]
+        np.minimum.at(root, np.maximum(p, q), np.minimum(p, q))
+        while not np.array_equal(root, up := root[root]):
+            root = up
+        apart = root[x] != root[y]
+        x, y = x[apart], y[apart]
+    return ids, ids[root]
+
 
 def components(links: DataFrame) -> DataFrame:
     """(a, b) links to (id, root): root is the smallest id reachable from id. Ids without a link are absent.
@@ -14,9 +33,15 @@ def components(links: DataFrame) -> DataFrame:
     Alternates two steps until the links are stars: each node hands its larger neighbours to its smallest neighbour,
     then each node hands its smaller ones to the smallest. The number of links never grows and the number of rounds
     is logarithmic in practice; a node's neighbours are never gathered in one row, only their minimum is, and the links
-    of a node with very many are dealt over all tasks.
+    of a node with very many are dealt over all tasks. Up to LOCAL_LINKS links are joined in the driver instead, where
+    a round's many small jobs would take longer.
     """
+    spark = links.sparkSession
     links = stored(links.filter("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct(), "links")
+    if links.count() <= LOCAL_LINKS:
+        own = links.toArrow()
+        ids, roots = joined(*(own.column(k).to_numpy().astype(np.int64) for k in ("hi", "lo")))
+        return stored(spark.createDataFrame(pa.table({"id": pa.array(ids, pa.int64()), "root": pa.array(roots, pa.int64())}), "id long, root long"), "roots")
     while True:
         both = links.select(F.col("hi").alias("u"), F.col("lo").alias("v")).union(links.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
         least = stored(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n")), "least")

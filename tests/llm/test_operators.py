@@ -890,3 +890,21 @@ def test_common_terms_are_scored_by_rows(monkeypatch):
     for seed in rnd.permutation(len(docs)):
         unused[seed] = False
         assert index.neighbours(seed, unused).tolist() == plain.neighbours(seed, unused).tolist()
+
+
+@pytest.mark.parametrize("most", [0, 500_000])
+def test_components_of_few_links_take_no_rounds(spark, monkeypatch, most):
+    """The same components by rounds and in the driver, there with two tables written; none without links."""
+    rnd = random.Random(8)
+    links = [(rnd.randint(0, 90), rnd.randint(0, 90)) for _ in range(40)] + [(2**60 - k, 2**60 - k - 1) for k in range(9)]
+    root = {x: x for link in links for x in link}
+    for _ in root:
+        for a, b in links:
+            root[a] = root[b] = min(root[a], root[b])
+    monkeypatch.setattr("histreplay.llm.components.LOCAL_LINKS", most)
+    since = common.written()
+    found = components(spark.createDataFrame(links, "a long, b long"))
+    assert most == 0 or common.written() - since == 2
+    assert {r["id"]: r["root"] for r in found.collect()} == {x: root[x] for a, b in links if a != b for x in (a, b)}
+    if most:
+        assert components(spark.createDataFrame([], "a long, b long")).count() == 0
