@@ -12,13 +12,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from histreplay.llm.common import range_bounds, ship, shuffle_width, stored, tidied
-from histreplay.llm.tokenise import CACHE_PIECES, forget, ids_of, tokenised
+from histreplay.llm.tokenise import CACHE_WORDS, forget, ids_of, tokenised
 
 
 #: Rows of a batch that goes back to Spark.
 PIECES = 256
 #: A term that one in so many documents of a shard holds has its weights in a row for all of them.
 DENSE = 8
+#: Neighbours that are put in order at first; the others only if these don't fill a window.
+FEW = 64
 #: Token ids whose terms are counted at once.
 RUN_IDS = 1 << 18
 #: Text of a task's shards, about, once there are more of them than the session's shuffle partitions.
@@ -29,7 +31,7 @@ TASK_BYTES = 256 << 20
 class PackSpec:
     """window: tokens of a sequence; shard_bytes: text that shares an index, about; terms: of a query, the weightiest, or None for all;
 
-    cache_pieces: what a Python worker keeps of encoded pieces, about 200 bytes each, until the texts are encoded.
+    cache_pieces: what a Python worker keeps of encoded pieces until the texts are encoded.
     """
 
     window: int = 4096
@@ -38,7 +40,7 @@ class PackSpec:
     terms: int | None = None
     k1: float = 1.2
     b: float = 0.75
-    cache_pieces: int = CACHE_PIECES
+    cache_pieces: int = CACHE_WORDS
 
 
 @dataclass(frozen=True)
@@ -51,14 +53,19 @@ class Corpus:
 
 
 def counted(tokens: Sequence[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(document, token id, count) of each id that a document holds, ordered by document and id; documents aren't empty."""
-    keys = np.repeat(np.arange(len(tokens), dtype=np.uint64) << np.uint64(32), [len(t) for t in tokens])
-    keys |= np.concatenate(tokens)
+    """(document, token id, count) of each id that a document holds, ordered by document and id; documents aren't empty.
+
+    Keys of half the width serve ids of two bytes in few documents.
+    """
+    ids = np.concatenate(tokens)
+    bits, kind = (16, np.uint32) if ids.dtype.itemsize == 2 and len(tokens) <= 1 << 16 else (32, np.uint64)
+    keys = np.repeat(np.arange(len(tokens), dtype=kind) << kind(bits), [len(t) for t in tokens])
+    keys |= ids
     keys.sort()
     first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
     count = np.diff(np.append(first, len(keys)))
     keys = keys[first]
-    return (keys >> np.uint64(32)).astype(np.int32), (keys & np.uint64(0xFFFFFFFF)).astype(np.uint32), count
+    return (keys >> kind(bits)).astype(np.int32), (keys & kind((1 << bits) - 1)).astype(np.uint32), count
 
 
 class Index:
@@ -102,6 +109,10 @@ class Index:
 
     def neighbours(self, seed: int, unused: np.ndarray) -> np.ndarray:
         """Unused documents that share a query term, best first; ties by place. What is used once stays so."""
+        return np.fromiter(best_first(self.scores(seed, unused)), np.int64)
+
+    def scores(self, seed: int, unused: np.ndarray) -> np.ndarray:
+        """The score of each document, 0 for those used and those that share no query term."""
         left = np.count_nonzero(unused)
         begin, doc, weight, rows, alive = self.live
         if 8 * left < 7 * self.left:
@@ -119,8 +130,16 @@ class Index:
             near += rows[k]
         score[alive] += near
         score[~unused] = 0
-        found = np.flatnonzero(score)
-        return found[np.argsort(-score[found], kind="stable")]
+        return score
+
+
+def best_first(score: np.ndarray) -> Iterator[int]:
+    """Documents with a score, best first, ties by place; the FEW best are put in order without the rest."""
+    found = np.flatnonzero(score)
+    own = score[found]
+    least = np.partition(own, -FEW)[-FEW] if len(own) > FEW else 0
+    for part in (own >= least, own < least):
+        yield from found[part][np.argsort(-own[part], kind="stable")].tolist()
 
 
 def fill_windows(tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None = None) -> Iterator[tuple[int, int, int, int, int]]:
@@ -136,7 +155,7 @@ def fill_windows(tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None
     doc, at, queue = -1, 0, iter(())
     while True:
         if doc < 0:
-            doc = next((int(d) for d in queue if unused[d]), -1)
+            doc = next((d for d in queue if unused[d]), -1)
             if doc < 0:
                 while ahead < n and not unused[ahead]:
                     ahead += 1
@@ -145,7 +164,7 @@ def fill_windows(tokens: list[np.ndarray], spec: PackSpec, corpus: Corpus | None
                 doc = ahead
             unused[doc], at = False, 0
         if offset == 0:
-            queue = iter(index.neighbours(doc, unused)) if len(tokens[doc]) - at < spec.window else iter(())
+            queue = best_first(index.scores(doc, unused)) if len(tokens[doc]) - at < spec.window else iter(())
         take = min(spec.window - offset, len(tokens[doc]) - at)
         yield sequence, offset, doc, at, take
         at, offset = at + take, offset + take

@@ -7,16 +7,23 @@ import re
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from histreplay.llm.common import give_back, ship, tidied
+from histreplay.llm.common import ARROW_ROWS, give_back, ship, tidied
 
 #: Pieces that a worker keeps, about 200 bytes each; when there are more, the cache starts anew.
 CACHE_PIECES = 1_200_000
+#: The same for word_level, whose new words cost little.
+CACHE_WORDS = 250_000
+#: Words of at most so many bytes are merged here, many at once; longer ones by the library.
+WIDE = 32
+#: The rank of a pair that is never merged, with a place in the word.
+_NONE = np.int32(2**31 - 1)
 #: New words that are encoded in one call of the library.
 JOINED = 2000
 #: Rows of a batch that goes back to Spark.
@@ -68,6 +75,99 @@ def word_cuts(text: bytes, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return cuts[:-1][full], cuts[1:][full]
 
 
+class Merges:
+    """The merges of a BPE model over bytes, done for many words at once; each step merges one pair of each word, as the model does.
+
+    That pair is the word's of lowest rank, the first of such. Ranks are found in a hash table of pairs with linear probing.
+    """
+
+    SLOTS = 18
+
+    def __init__(self, vocab: dict[str, int], merges: list[list[str]], suffix: str) -> None:
+        shown = [_SHOWN.get(b, chr(b)) for b in range(256)]
+        self.base = np.array([vocab[c] for c in shown], np.int32)
+        self.last = np.array([vocab[c + suffix] for c in shown], np.int32)
+        self.made = np.array([vocab[a + b] for a, b in merges], np.int32)
+        ranks = {vocab[a] << 16 | vocab[b]: k for k, (a, b) in enumerate(merges)}
+        keys, rank = np.fromiter(ranks, np.uint32, len(ranks)), np.fromiter(ranks.values(), np.int32, len(ranks))
+        self.keys, self.ranks = np.full(1 << self.SLOTS, 0xFFFFFFFF, np.uint32), np.full(1 << self.SLOTS, _NONE, np.int32)
+        slot = self._slot(keys)
+        while len(keys):
+            free = self.ranks[slot] == _NONE
+            self.keys[slot[free]], self.ranks[slot[free]] = keys[free], rank[free]
+            out = self.keys[slot] != keys
+            self.ranks[slot[~out]] = rank[~out]
+            keys, rank, slot = keys[out], rank[out], (slot[out] + 1) & ((1 << self.SLOTS) - 1)
+
+    @classmethod
+    def of(cls, model: dict) -> Merges | None:
+        """None where the model isn't one of plain merges, lacks a byte, or is too large for the tables."""
+        vocab, merges, suffix = model["vocab"], model.get("merges", []), model.get("end_of_word_suffix") or ""
+        plain = model["type"] == "BPE" and not any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "byte_fallback", "ignore_merges"))
+        if not plain or max(vocab.values(), default=0) >= 0xFFFF or len(merges) > 1 << cls.SLOTS - 1 or not all(len(m) == 2 and not isinstance(m, str) for m in merges):
+            return None
+        return cls(vocab, merges, suffix) if all(_SHOWN.get(b, chr(b)) + x in vocab for b in range(256) for x in ("", suffix)) else None
+
+    def _slot(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys * np.uint32(0x9E3779B1)) >> np.uint32(32 - self.SLOTS)).astype(np.int32)
+
+    def _keyed(self, left: np.ndarray, right: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """Rank and place of pairs in one number, by which they are taken; _NONE for those that aren't merged."""
+        keys = (left << 16 | right).view(np.uint32)
+        slot = self._slot(keys)
+        held, rank = self.keys[slot], self.ranks[slot]
+        open_ = np.flatnonzero((held != keys) & (rank != _NONE))
+        rank[held != keys] = _NONE
+        while len(open_):
+            slot[open_] = (slot[open_] + 1) & ((1 << self.SLOTS) - 1)
+            held, found = self.keys[slot[open_]], self.ranks[slot[open_]]
+            same = held == keys[open_]
+            rank[open_[same]] = found[same]
+            open_ = open_[~same & (found != _NONE)]
+        return np.where(rank == _NONE, _NONE, rank * WIDE + place)
+
+    def ids(self, data: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all words, their number for each word) of words of 1 to WIDE bytes; data are the bytes, size those of each."""
+        at = np.cumsum(size) - size
+        ends = at + size - 1
+        sym = self.base[data]
+        sym[ends] = self.last[data[ends]]
+        place = (np.arange(len(data)) - np.repeat(at, size)).astype(np.int32)
+        key = np.full(len(data), _NONE)
+        inner = np.ones(len(data), bool)
+        inner[ends] = False
+        inner = np.flatnonzero(inner)
+        key[inner] = self._keyed(sym[inner], sym[inner + 1], place[inner])
+        own, n, count, whole = np.arange(len(size)), size, np.zeros(len(size), np.int64), []
+        while len(own):
+            least = np.minimum.reduceat(key, at)
+            if (least == _NONE).any():
+                gone = least == _NONE
+                count[own[gone]] = n[gone]
+                out = np.repeat(gone, n)
+                whole.append((own[gone], sym[out]))
+                own, n, least = own[~gone], n[~gone], least[~gone]
+                sym, key, place = sym[~out], key[~out], place[~out]
+                at = np.cumsum(n) - n
+                if not len(own):
+                    break
+            i = np.flatnonzero(key == np.repeat(least, n))
+            sym[i], key[i] = self.made[least // WIDE], _NONE
+            right = i[i + 2 < at + n]
+            key[right] = self._keyed(sym[right], sym[right + 2], place[right])
+            left = i[i > at] - 1
+            key[left] = self._keyed(sym[left], sym[left + 1], place[left])
+            stay = np.ones(len(sym), bool)
+            stay[i + 1] = False
+            sym, key, place, n = sym[stay], key[stay], place[stay], n - 1
+            at = np.cumsum(n) - n
+        flat, first = np.zeros(count.sum(), np.uint32), np.cumsum(count) - count
+        for words, ids in whole:
+            n = count[words]
+            flat[np.repeat(first[words] - (np.cumsum(n) - n), n) + np.arange(len(ids))] = ids
+        return flat, count
+
+
 class Encoder:
     """ids of texts as little-endian unsigned 32-bit bytes, equal to the library's encode(text, add_special_tokens=False).
 
@@ -77,7 +177,7 @@ class Encoder:
     pre-tokeniser are not those of _KNOWN, by which the texts are cut.
     """
 
-    def __init__(self, path: str, kind: str, most: int = CACHE_PIECES) -> None:
+    def __init__(self, path: str, kind: str, most: int | None = None) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
@@ -85,8 +185,15 @@ class Encoder:
         with open(path, encoding="utf-8") as f:
             own = json.load(f)
         self.split = _SPLIT[kind] if (own["normalizer"], own["pre_tokenizer"]) == _KNOWN[kind] else None
-        self.cache: dict[str, bytes] = {}
-        self.most = most
+        # byte_level: a piece's ids. word_level: the place of a piece in `first` and `count`, which say where its ids lie in `ids`.
+        self.cache: dict[str, bytes] | dict[str, int] = {}
+        self.most = (CACHE_WORDS if self.lower else CACHE_PIECES) if most is None else most
+        self.merges = Merges.of(own["model"]) if self.lower and self.split is not None else None
+        self.forget_words()
+
+    def forget_words(self) -> None:
+        self.cache.clear()
+        self.ids, self.first, self.count = np.zeros(0, "<u4"), np.zeros(0, np.int32), np.zeros(0, np.int32)
 
     def _library(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
@@ -105,19 +212,9 @@ class Encoder:
         return self.split.findall(text.lower() if self.lower else text) if self._cuttable(text) else None
 
     def _learn(self, new: list[str]) -> None:
-        """Encodes new pieces. Plain words go in one text, where the library cuts them apart again as it does in any text.
-
-        Words of word_level go to the library's model at once, as the characters that its last step puts for their bytes:
-        in Latin-1 and lower case, its other steps leave them as they are.
-        """
-        lead = "" if self.lower else " "
-        words = [x for x in new if x.startswith(lead) and x[len(lead) :].isalpha()]
+        """Encodes new pieces of byte_level. Plain words go in one text, where the library cuts them apart again as it does in any text."""
+        words = [x for x in new if x.startswith(" ") and x[1:].isalpha()]
         rest = set(new).difference(words)
-        if self.lower:
-            model = self.library.model.tokenize
-            for x in words:
-                self.cache[x] = array("I", [t.id for t in model(x if x.isascii() else x.encode().decode("latin-1").translate(_SHOWN))]).tobytes()
-            words = []
         for k in range(0, len(words), JOINED):
             own = words[k : k + JOINED]
             found = self.library.encode("".join(own), add_special_tokens=False)
@@ -130,14 +227,35 @@ class Encoder:
         left = list(rest)
         self.cache.update(zip(left, self._library(left)))
 
-    def _known(self, words: list[str]) -> list[bytes]:
-        """ids of pieces from the cache, to which those it lacks are added."""
-        found = list(map(self.cache.get, words))
-        gaps = [i for i, x in enumerate(found) if x is None]
-        if gaps:
-            self._learn([words[i] for i in gaps])
-            for i in gaps:
-                found[i] = self.cache[words[i]]
+    def _learn_words(self, new: list[str]) -> None:
+        """Encodes new pieces of word_level; they are in Latin-1 and lower case, which the library's other steps leave as it is."""
+        text = "".join(new)
+        cuts = np.append(0, np.cumsum(np.fromiter(map(len, new), np.int64, len(new))))
+        size = np.diff(np.append(0, np.cumsum(1 + (np.frombuffer(text.encode("latin-1"), np.uint8) > 127)))[cuts])
+        short = size <= (WIDE if self.merges is not None else 0)
+        flat, count = np.zeros(0, np.uint32), np.zeros(len(new), np.int64)
+        if short.any():
+            data = np.frombuffer(text.encode(), np.uint8)
+            flat, count[short] = self.merges.ids(data[np.repeat(short, size)], size[short])
+        first = np.cumsum(count) - count
+        rest = np.flatnonzero(~short).tolist()
+        long_ = [np.frombuffer(x, "<u4") for x in self._library([new[i] for i in rest])] if rest else []
+        for i, ids in zip(rest, long_):
+            count[i] = len(ids)
+        first[rest] = len(flat) + np.cumsum(count[rest]) - count[rest]
+        self.cache.update(zip(new, range(len(self.first), len(self.first) + len(new))))
+        self.first = np.append(self.first, (first + len(self.ids)).astype(np.int32))
+        self.count = np.append(self.count, count.astype(np.int32))
+        self.ids = np.concatenate([self.ids, flat, *long_])
+
+    def _known(self, words: list[str]) -> np.ndarray:
+        """Places of pieces of word_level, to which those that the cache lacks are added."""
+        found = np.fromiter(map(self.cache.get, words, repeat(-1)), np.int64, len(words))
+        gaps = np.flatnonzero(found < 0)
+        if len(gaps):
+            at = len(self.first)
+            self._learn_words([words[i] for i in gaps.tolist()])
+            found[gaps] = np.arange(at, at + len(gaps))
         return found
 
     def _encode_words(self, texts: list[str]) -> list[bytes]:
@@ -152,18 +270,17 @@ class Encoder:
         pieces = pa.Array.from_buffers(pa.binary(), len(start), [None, pa.py_buffer(ends), pa.py_buffer(data[_KIND[data] > 0])]).dictionary_encode()
         _, bounds, body = pieces.dictionary.buffers()
         bounds, body = np.frombuffer(bounds, np.int32)[: len(pieces.dictionary) + 1].tolist(), body.to_pybytes().decode("latin-1")
-        ids = self._known([body[a:b] for a, b in zip(bounds, bounds[1:])])
-        code, size = pieces.indices.to_numpy(), np.fromiter(map(len, ids), np.int64, len(ids)) // 4
-        first, n = np.cumsum(size) - size, size[code]
+        known = self._known([body[a:b] for a, b in zip(bounds, bounds[1:])])[pieces.indices.to_numpy()]
+        first, n = self.first[known], self.count[known]
         total = np.append(0, np.cumsum(n))
-        flat = np.frombuffer(b"".join(ids), "<u4")[np.repeat(first[code] - total[:-1], n) + np.arange(total[-1])]
+        flat = self.ids[np.repeat(first - total[:-1], n) + np.arange(total[-1])]
         edge = total[np.searchsorted(start, off)].tolist()
         return [flat[a:b].tobytes() for a, b in zip(edge, edge[1:])]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """One look into the cache for each piece; the places of those it lacks are filled in once they are known."""
         if len(self.cache) > self.most:
-            self.cache.clear()
+            self.forget_words()
         if self.lower and self.split is not None:
             whole = [self._cuttable(x) for x in texts]
             cut = iter(self._encode_words([x for x, own in zip(texts, whole) if own]))
@@ -188,7 +305,7 @@ class Encoder:
 
 
 @lru_cache(maxsize=4)
-def encoder(path: str, kind: str, most: int = CACHE_PIECES) -> Encoder:
+def encoder(path: str, kind: str, most: int | None = None) -> Encoder:
     """One for each worker and vocabulary; the library's own threads stay off, since Spark's tasks fill the cores."""
     import os
 
@@ -222,7 +339,7 @@ def ids_of(data: bytes, wide: bool) -> np.ndarray:
     return np.frombuffer(data, "<u4" if wide else "<u2")
 
 
-def tokenised(docs: DataFrame, vocabulary: str, kind: str, end_id: int, id_col: str, text_col: str, cache_pieces: int = CACHE_PIECES) -> DataFrame:
+def tokenised(docs: DataFrame, vocabulary: str, kind: str, end_id: int, id_col: str, text_col: str, cache_pieces: int | None = None) -> DataFrame:
     """(id, n, wide, data): token ids with the end id, as little-endian integers of two bytes, or four where wide.
 
     Null texts count as empty. Texts are encoded where they are read, so that only ids need be shuffled.
@@ -232,10 +349,11 @@ def tokenised(docs: DataFrame, vocabulary: str, kind: str, end_id: int, id_col:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tok = encoder(vocabulary, kind, cache_pieces)
+        runs = (ARROW_ROWS, 1 << 20) if tok.lower else ()
         end = np.array([end_id], "<u4").tobytes()
         out: list[tuple] = []
         for batch in batches:
-            for name, data in encoded(batch, tok, (0,), 1):
+            for name, data in encoded(batch, tok, (0,), 1, *runs):
                 t = np.frombuffer(data + end, "<u4")
                 wide = bool(t.max() > 0xFFFF)
                 out.append((name, len(t), wide, (t if wide else t.astype("<u2")).tobytes()))

@@ -877,6 +877,35 @@ def test_a_distinct_word_of_a_batch_is_looked_up_once():
         assert len(asked) == len(set(asked)) > 10
 
 
+def test_words_are_merged_without_the_library():
+    """New words of up to WIDE bytes are merged here, many at once, as the library does; longer ones go to it; the cache starts anew when full."""
+    path, rnd = P.path("word_bpe_49k.json"), random.Random(9)
+    parts = ["the", "in", "tion", "er", "sch", "é", "ß", "ou", "aa", "aaa", "z", "ij", "anthro", "ß"]
+    words = sorted({"".join(rnd.choices(parts, k=rnd.randint(1, 9))) for _ in range(6000)} | {"=" * k for k in range(1, 70)} | {"é" * k for k in range(1, 40)} | {"a" * k for k in range(1, 70)})
+    library, tok = Tokenizer.from_file(path), Encoder(path, "word_level", 2000)
+    sent = []
+    tok.library = type("Watched", (), {"encode_batch_fast": lambda _, texts, **k: (sent.extend(texts), library.encode_batch_fast(texts, **k))[1]})()
+    for k in range(0, len(words), 500):
+        texts = [" ".join(words[i : i + 10]) for i in range(k, min(k + 500, len(words)), 10)]
+        assert [np.frombuffer(x, "<u4").tolist() for x in tok.encode(texts)] == [library.encode(x, add_special_tokens=False).ids for x in texts]
+        assert len(tok.cache) <= 2500
+    assert set(sent) == {x for x in words if len(x.encode()) > tokenise.WIDE}
+    assert Encoder(path, "word_level").most == tokenise.CACHE_WORDS < tokenise.CACHE_PIECES
+
+
+def test_few_neighbours_are_put_in_order_first(monkeypatch):
+    """Best first and ties by place, whatever is put in order at first, and the same with keys of half the width."""
+    rnd = np.random.default_rng(8)
+    score = rnd.integers(0, 40, 500) / 8
+    want = [k for k in np.argsort(-score, kind="stable").tolist() if score[k] > 0]
+    assert list(packing.best_first(score)) == want and list(packing.best_first(np.zeros(3))) == []
+    monkeypatch.setattr(packing, "FEW", 1)
+    assert list(packing.best_first(score)) == want
+    docs = [rnd.integers(0, 1 << 16, rnd.integers(1, 50)).astype("<u2") for _ in range(70)]
+    for few, many in zip(packing.counted(docs), packing.counted([d.astype("<u4") for d in docs])):
+        assert few.dtype == many.dtype and few.tolist() == many.tolist()
+
+
 def test_common_terms_are_scored_by_rows(monkeypatch):
     """Rows for the terms of many documents give what postings alone give, also when documents have been used."""
     rnd = np.random.default_rng(3)
