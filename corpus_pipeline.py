@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from histreplay.llm import exact_dedup, lang_id, mixing, near_dedup, packing
-from histreplay.llm.common import release, stored, written
+from histreplay.llm.common import give_back_heaps, release, stored, written
 from histreplay.llm.registry import SOURCE_WEIGHTS, vocabulary
 
 
@@ -30,6 +30,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
     Rows that repeat an id go or stay together. An empty table stays empty.
     """
+    give_back_heaps(spark)
     return near_dedup.drop_near_duplicates(docs)
 
 
@@ -46,6 +47,7 @@ def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
     Rows that repeat are packed each. An empty table gives no piece.
     """
+    give_back_heaps(spark)
     return packing.pack(docs, vocabulary("word_bpe_49k.json")).withColumnRenamed("id", "doc_id")
 
 

@@ -91,3 +91,13 @@ def test_stages_leave_only_their_last_table(spark):
     corpus_pipeline.run(spark, SF).count()
     kept = common._written[before:]
     assert any("mix_sources" in x for x in kept) and not any(n in x for x in kept for n in ("language_id", "exact_dedup", "near_dedup", "sketch", "links"))
+
+
+@pytest.mark.parametrize("name", ["near_dedup", "pack"])
+def test_large_stages_begin_with_small_heaps(spark, rows, name):
+    """Executors, here the driver's process, collect all their garbage before the stage's own work."""
+    beans = list(spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans())
+    full = lambda: sum(b.getCollectionCount() for b in beans if "Old" in b.getName() or "MarkSweep" in b.getName())
+    docs, before = frame(spark, rows), full()
+    stage(spark, name, docs)
+    assert full() > before
